@@ -20,8 +20,8 @@ from pyspark.sql.types import ArrayType, BinaryType, IntegerType, StringType, St
 from .common import long_field, scan_texts
 from .pieces import splitter
 
-#: Pieces remembered by a worker, and the longest piece that is (bounds: about 250 MB).
-CACHE_PIECES, CACHE_CHARS = 400_000, 64
+#: Pieces remembered by a worker, and the longest piece that is (bounds: about 350 MB); pieces replayed at once.
+CACHE_PIECES, CACHE_CHARS, REPLAY_PIECES = 1_200_000, 64, 20_000
 
 
 class MergeReplay:
@@ -32,49 +32,49 @@ class MergeReplay:
         self.first = [self.rank[bytes([b])] for b in range(256)]
         self.pair: dict[int, int] = {}  # pair of symbols -> the symbol it makes, or -1
         self.pieces = splitter(pattern)
-        self.known: dict[str, tuple[str, int, bytes]] = {}
+        self.ids: dict[str, str] = {}
+        self.bytes: dict[str, bytes] = {}
+        self.long: list[str] = []
 
     def makes(self, a: int, b: int) -> int:
-        key = a << 32 | b
-        made = self.pair.get(key)
-        if made is None:
-            made = self.rank.get(self.token[a] + self.token[b], -1)
-            if len(self.pair) >= 2_000_000:
-                self.pair.clear()
-            self.pair[key] = made
+        """The symbol of a pair, or -1."""
+        made = self.rank.get(self.token[a] + self.token[b], -1)
+        if len(self.pair) >= 2_000_000:
+            self.pair.clear()
+        self.pair[a << 32 | b] = made
         return made
 
     def replay(self, words: list[bytes]) -> list[list[int]]:
         """The ids of each word."""
-        first, makes = self.first, self.makes
-        sym, word, starts = [], [], []
-        for w, raw in enumerate(words):
+        first, makes, pair = self.first, self.makes, self.pair.get
+        sym, starts = [], []
+        for raw in words:
             starts.append(len(sym))
-            if (whole := self.rank.get(raw)) is not None:  # a word of the vocabulary is its own id
-                sym.append(whole)
-                word.append(w)
-            else:
-                sym.extend([first[b] for b in raw])
-                word.extend([w] * len(raw))
+            whole = self.rank.get(raw)  # a word of the vocabulary is its own id
+            sym += [first[b] for b in raw] if whole is None else [whole]
             sym.append(-1)  # the words' border
-            word.append(-1)
         n = len(sym)
         after, before = list(range(1, n + 1)), list(range(-1, n - 1))
         index: dict[int, list[int]] = {}
-        for i in range(n - 1):
-            a, b = sym[i], sym[i + 1]
-            if a >= 0 and b >= 0 and (r := makes(a, b)) >= 0:
-                index.setdefault(r, []).append(i)
+        for i, (a, b) in enumerate(zip(sym, sym[1:], strict=False)):
+            if a >= 0 and b >= 0:
+                r = pair(a << 32 | b)
+                if r is None:
+                    r = makes(a, b)
+                if r >= 0:
+                    if r in index:
+                        index[r].append(i)
+                    else:
+                        index[r] = [i]
         heap = list(index)
         heapq.heapify(heap)
-        gone = -2
         while heap:
             r = heapq.heappop(heap)
             places = index.pop(r, None)
             if places is None:
                 continue
             places.sort()
-            waiting: set[int] = set()  # words in which this rank must let a lower one pass
+            wait = -1  # up to this border the rank lets a lower one, that a merge has just made, pass
             later = []
             for i in places:
                 a = sym[i]
@@ -82,58 +82,82 @@ class MergeReplay:
                     continue
                 j = after[i]
                 b = sym[j]
-                if b < 0 or makes(a, b) != r:
+                if b < 0:
                     continue
-                if word[i] in waiting:
+                q = pair(a << 32 | b)
+                if (makes(a, b) if q is None else q) != r:
+                    continue
+                if i < wait:
                     later.append(i)
                     continue
-                sym[i], sym[j] = r, gone
+                sym[i], sym[j] = r, -2
                 k = after[i] = after[j]
                 before[k] = i
+                b = sym[k]
+                if b >= 0:
+                    q = pair(r << 32 | b)
+                    if q is None:
+                        q = makes(r, b)
+                    if q >= 0:
+                        if q in index:
+                            index[q].append(i)
+                        elif q == r:
+                            later.append(i)
+                        else:
+                            index[q] = [i]
+                            heapq.heappush(heap, q)
+                        if q < r:
+                            wait = sym.index(-1, i)
                 h = before[i]
-                for left, x, y in ((i, r, sym[k]), (h, sym[h] if h >= 0 else -1, r)):
-                    if x >= 0 and y >= 0 and (q := makes(x, y)) >= 0:
+                if h >= 0 and (a := sym[h]) >= 0:
+                    q = pair(a << 32 | r)
+                    if q is None:
+                        q = makes(a, r)
+                    if q >= 0:
                         if q in index:
-                            index[q].append(left)
+                            index[q].append(h)
                         elif q == r:
-                            later.append(left)
+                            later.append(h)
                         else:
-                            index[q] = [left]
+                            index[q] = [h]
                             heapq.heappush(heap, q)
                         if q < r:
-                            waiting.add(word[i])
+                            wait = sym.index(-1, i)
             if later:
                 index.setdefault(r, []).extend(later)
                 heapq.heappush(heap, r)
         out = []
-        for s in starts:
-            ids, i = [], s
-            while sym[i] >= 0:
-                ids.append(sym[i])
+        for i in starts:
+            ids = []
+            while (x := sym[i]) >= 0:
+                ids.append(x)
                 i = after[i]
             out.append(ids)
         return out
 
-    def block(self, texts: list[str]) -> list[list[tuple[str, int, bytes]]]:
-        """Per text its pieces as (ids in decimal, number of ids, bytes that the ids stand for)."""
+    def block(self, texts: list[str]) -> tuple[list[list[str]], dict[str, str], dict[str, bytes]]:
+        """(pieces of each text, piece -> ids in decimal, piece -> bytes that the ids stand for)."""
         split = [self.pieces(t) if t else [] for t in texts]
-        if len(self.known) > CACHE_PIECES:
-            self.known.clear()
-        known = self.known
-        new = list({p for s in split for p in s if p not in known})
-        token = self.token
-        fresh = {}
-        for p, ids in zip(new, self.replay([p.encode("utf-8") for p in new]), strict=True):
-            fresh[p] = (" ".join(map(str, ids)), len(ids), b"".join([token[i] for i in ids]))
-        known.update(fresh)
-        out = [[known[p] for p in s] for s in split]
-        for p in fresh:
-            if len(p) > CACHE_CHARS:
-                del known[p]
-        return out
+        own = set().union(*split)
+        for p in self.long:  # of the block before
+            del self.ids[p], self.bytes[p]
+        self.long = []
+        if len(self.ids) > CACHE_PIECES:  # what this block needs stays
+            self.ids = {p: v for p, v in self.ids.items() if p in own}
+            self.bytes = {p: self.bytes[p] for p in self.ids}
+        ids, raw, token = self.ids, self.bytes, self.token
+        new = list(own - ids.keys())
+        for at in range(0, len(new), REPLAY_PIECES):
+            part = new[at : at + REPLAY_PIECES]
+            for p, found in zip(part, self.replay([p.encode("utf-8") for p in part]), strict=True):
+                ids[p] = " ".join(map(str, found))
+                raw[p] = b"".join([token[i] for i in found])
+        self.long = [p for p in new if len(p) > CACHE_CHARS]
+        return split, ids, raw
 
     def encode(self, text: str) -> list[int]:
-        return [int(i) for ids, _, _ in self.block([text])[0] for i in ids.split()]
+        split, ids, _ = self.block([text])
+        return [int(i) for p in split[0] for i in ids[p].split()]
 
     def decode(self, ids) -> bytes:
         token = self.token
@@ -153,7 +177,8 @@ def encode(df: DataFrame, ranks: str, id_col: str = "doc_id", text_col: str = "t
     """(id, ids ARRAY<INT>) of every row; null text gives no ids, as the empty one does."""
 
     def rows(texts):
-        return [[[int(i) for ids, _, _ in pieces for i in ids.split()] for pieces in replayer(ranks).block(texts)]]
+        split, ids, _ = replayer(ranks).block(texts)
+        return [[[int(i) for p in pieces for i in ids[p].split()] for pieces in split]]
 
     return scan_texts(df, rows, [StructField("ids", ArrayType(IntegerType()))], id_col, text_col)
 
@@ -176,11 +201,13 @@ def roundtrip_digest(df: DataFrame, ranks: str, id_col: str = "doc_id", text_col
     """
 
     def rows(texts):
+        split, ids, raw = replayer(ranks).block(texts)
         n, a, b = [], [], []
-        for pieces in replayer(ranks).block(texts):
-            n.append(sum([p[1] for p in pieces]))
-            a.append(hashlib.sha256(" ".join([p[0] for p in pieces]).encode()).hexdigest())
-            b.append(hashlib.sha256(b"".join([p[2] for p in pieces])).hexdigest())
+        for pieces in split:
+            line = " ".join(map(ids.__getitem__, pieces))
+            n.append(line.count(" ") + 1 if line else 0)
+            a.append(hashlib.sha256(line.encode()).hexdigest())
+            b.append(hashlib.sha256(b"".join(map(raw.__getitem__, pieces))).hexdigest())
         return [n, a, b]
 
     return scan_texts(df, rows, [long_field("n_tokens"), StructField("ids_sha256", StringType()), StructField("decoded_sha256", StringType())], id_col, text_col)

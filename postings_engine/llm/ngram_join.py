@@ -3,8 +3,8 @@
 Plan. (1) One pass over the texts turns each into its set of n-gram hashes, and that into a 128-bit fingerprint and
 block signatures: the hash range is cut into K parts, K greater than the greatest possible symmetric difference of two
 linked sets, so that linked sets agree on a whole part (pigeonhole) and no link is lost; no counts of the corpus are
-needed and a passage that many documents share does not make them candidates. (2) Equal signatures give stars of
-candidates, stars give coarse groups. (3) Each group's sets, globally ordered, go into one radix tree; a set traverses
+needed. (2) Equal signatures give candidate pairs, which exact lower bounds on the difference of two sets thin out, and
+frequent signatures stars; their components are coarse groups. (3) Each group's sets, globally ordered, go into one radix tree; a set traverses
 it sharing the overlap of common beginnings, and subtrees are pruned by what can still come. (4) Groups too large for a
 task are first compared with one member each, in a join that Spark can split; the triangle inequality of the Jaccard
 distance tells which members need no further comparison. Equal sets are one node throughout.
@@ -26,9 +26,11 @@ from .components import connected
 #: Most n-grams (all members' sets together) that one task puts into a tree: 32 MB of hashes.
 GROUP_GRAMS = 4_000_000
 #: Rounds of comparing large groups with one member, before what is left is compared in pairs of blocks.
-LEADER_ROUNDS = 6
+LEADER_ROUNDS = 3
+#: Sets with one signature up to which all their pairs are candidates.
+SMALL_GROUP = 32
 #: Words whose hashes a worker remembers.
-CACHE_WORDS = 500_000
+CACHE_WORDS = 250_000
 _STEP = 0x9E3779B97F4A7C15
 _words: dict[bytes, int] = {}
 
@@ -57,104 +59,178 @@ def gram_hashes(raw: bytes | None, n: int) -> np.ndarray:
 
 
 class Signatures:
-    """Block signatures of sets for Jaccard similarity >= pct %."""
+    """Block signatures of sets for Jaccard similarity >= pct %.
+
+    A set of n leaves a linked one, if that is no smaller, a symmetric difference of at most spread(n). The smaller set of
+    a pair fixes the level, a number of parts greater than that; of these the first spread + 1, and a few in reserve for
+    empty parts, suffice. A set therefore signs its own level and those of the smaller sets that it may be linked with.
+    """
 
     def __init__(self, pct: int):
         if not 50 <= pct <= 100:
             raise ValueError("pct must lie between 50 and 100")
         self.pct = pct
         self.levels = [2]
-        self.edges: dict[int, tuple[np.ndarray, np.ndarray]] = {}
+        self.known: dict[int, tuple[np.ndarray, np.ndarray]] = {}
 
     def spread(self, n: int) -> int:
-        """The greatest symmetric difference that a set of n leaves to a linked one."""
         return n * (100 - self.pct) // self.pct
 
-    def level(self, n: int) -> int:
-        d = self.spread(n)
-        need = d + 1 + -(-d // 16)
-        while self.levels[-1] < need:
+    @staticmethod
+    def need(d: int) -> int:
+        return d + 1 + -(-d // 16)
+
+    def level(self, d: int) -> int:
+        while self.levels[-1] < self.need(d):
             self.levels.append(max(self.levels[-1] + 1, self.levels[-1] * 7 // 5))
-        return int(np.searchsorted(self.levels, need))
+        return int(np.searchsorted(self.levels, self.need(d)))
+
+    def reserve(self, level: int) -> int:
+        """So many empty parts a set of this level may have before the part that agrees may be an empty one."""
+        if not level:
+            return 1
+        d = (self.levels[level - 1] - 1) * 16 // 17  # the least spread of the level
+        while self.need(d) <= self.levels[level - 1]:
+            d += 1
+        return 1 + -(-d // 16)
 
     def parts(self, k: int) -> tuple[np.ndarray, np.ndarray]:
-        if k not in self.edges:
-            self.edges[k] = np.array([-(-i * 2**64 // k) for i in range(1, k)], np.uint64), mix64(np.arange(k, dtype=np.uint64) + np.uint64(k * 2**32))
-        return self.edges[k]
+        if k not in self.known:
+            self.known[k] = np.array([-(-i * 2**64 // k) for i in range(1, k)], np.uint64), mix64(np.arange(k, dtype=np.uint64) + np.uint64(k * 2**32))
+        return self.known[k]
 
     def __call__(self, grams: np.ndarray) -> np.ndarray:
         n = len(grams)
         d = self.spread(n)
-        if d == 0:
+        if n * 100 // self.pct == n and d == 0:
             return np.empty(0, np.uint64)  # only equal sets link with it
         out, bare = [], False
         sums = np.concatenate([[np.uint64(0)], np.cumsum(mix64(grams + np.uint64(_STEP)), dtype=np.uint64)])
-        for level in range(self.level(n), self.level(n * 100 // self.pct) + 1):
+        top = self.level(d)
+        for level in range(self.level(self.spread(-(-n * self.pct // 100))), top + 1):
             k = self.levels[level]
+            m = self.need(d) if level == top else k
             inner, salt = self.parts(k)
-            at = np.concatenate([[0], np.searchsorted(grams, inner), [n]])
+            at = np.concatenate([[0], np.searchsorted(grams, inner), [n]])[: m + 1]
             full = np.diff(at) > 0
-            out.append(mix64((sums[at[1:]] - sums[at[:-1]])[full] ^ salt[full]))
-            bare |= k - int(full.sum()) >= k - d  # the part that agrees may be an empty one
-        if bare:  # rare: fall back on the first grams in hash order, of which linked sets share one
+            out.append(mix64((sums[at[1:]] - sums[at[:-1]])[full] ^ salt[:m][full]))
+            bare |= m - int(full.sum()) >= self.reserve(level)
+        if bare:  # fall back on the first grams in hash order, of which linked sets share one
             out.append(mix64(grams[: n - -(-n * self.pct // 100) + 1] ^ np.uint64(0xA5A5A5A5A5A5A5A5)))
         return np.concatenate(out)
 
 
+def sketch(grams: np.ndarray) -> bytes:
+    """How many of a set's hashes fall into each of 128 ranges, at most 255: two sets differ in at least as many elements as
+    these numbers differ."""
+    return np.minimum(np.bincount((grams >> np.uint64(57)).astype(np.int64), minlength=128), 255).astype(np.uint8).tobytes()
+
+
+def may_link(n: np.ndarray, m: np.ndarray, apart: np.ndarray, pct: int) -> np.ndarray:
+    """Whether sets of n and m elements that differ in at least ``apart`` may still be linked."""
+    both = (n + m - apart) // 2
+    return 100 * both >= pct * (n + m - both)
+
+
 def fingerprints(df: DataFrame, n: int, pct: int, id_col: str, text_col: str) -> DataFrame:
-    """(id, n_shingles, a, b, sigs): a and b are the halves of the set's fingerprint."""
+    """(id, n, a, b, sketch, sigs): a and b are the halves of the set's fingerprint."""
     small_batches(df.sparkSession)
     data = df.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").cast("binary").alias("x"))
 
     def run(batches: Iterator[pa.RecordBatch]):
         make = Signatures(pct)
         for batch in batches:
-            size, fp, sigs, ends = [], [], [], [0]
+            size, fp, sk, sigs, ends = [], [], [], [], [0]
             for raw in batch.column(1).to_pylist():
                 g = gram_hashes(raw, n)
                 size.append(len(g))
                 fp.append(xxhash.xxh3_128_digest(g.tobytes()))
+                sk.append(sketch(g))
                 s = make(g) if len(g) else g
                 sigs.append(s)
                 ends.append(ends[-1] + len(s))
             ab = np.frombuffer(b"".join(fp), np.int64).reshape(-1, 2)
             flat = np.concatenate(sigs).view(np.int64) if sigs else np.empty(0, np.int64)
             lists = pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(flat))
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(size, pa.int64()), pa.array(ab[:, 0].copy()), pa.array(ab[:, 1].copy()), lists], names=["id", "n", "a", "b", "sigs"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(size, pa.int64()), pa.array(ab[:, 0].copy()), pa.array(ab[:, 1].copy()), pa.array(sk, pa.binary()), lists], names=["id", "n", "a", "b", "sketch", "sigs"])
 
     kind = typed(df, id_col).simpleString()
-    return data.mapInArrow(run, f"id {kind}, n bigint, a bigint, b bigint, sigs array<bigint>")
+    return data.mapInArrow(run, f"id {kind}, n bigint, a bigint, b bigint, sketch binary, sigs array<bigint>")
 
 
-def stars(docs: DataFrame) -> DataFrame:
-    """(ca, cb, a, b): links between the first node of each signature and its other ones."""
-    rows = docs.where("n > 0").select(F.explode("sigs").alias("s"), "a", "b")
+def candidates(docs: DataFrame) -> DataFrame:
+    """(x, y, big): pairs of fingerprint halves with a signature in common. A signature of up to SMALL_GROUP sets gives all
+    its pairs; a more frequent one a star round its first set, marked ``big``: its sets are one coarse group."""
+    rows = docs.where("n > 0").select(F.explode("sigs").alias("s"), "a")
     parts = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
 
+    def pairs(s, a):
+        """Of whole runs of equal s, without repeated rows."""
+        start = np.flatnonzero(np.concatenate([[True], s[1:] != s[:-1]]))
+        size = np.diff(np.append(start, len(s)))
+        long, out = np.repeat(size > SMALL_GROUP, size), []
+        at = np.repeat(start, size)
+        star = long & (at != np.arange(len(s)))
+        out.append(np.stack([a[at[star]], a[star], np.ones(int(star.sum()), np.int64)], 1))
+        for step in range(1, int(min(size.max(initial=1), SMALL_GROUP))):
+            hit = (s[step:] == s[:-step]) & ~long[step:]
+            out.append(np.stack([a[:-step][hit], a[step:][hit], np.zeros(int(hit.sum()), np.int64)], 1))
+        return np.concatenate(out)
+
     def run(batches):
-        last = None  # (signature, centre a, centre b)
+        held_s = held_a = np.empty(0, np.int64)
+        centre = None  # (signature, first set) of a long run that goes on
         for batch in batches:
-            s, a, b = (batch.column(i).to_numpy(zero_copy_only=False) for i in range(3))
-            m = len(s)
-            if not m:
+            s = np.concatenate([held_s, batch.column(0).to_numpy(zero_copy_only=False)])
+            a = np.concatenate([held_a, batch.column(1).to_numpy(zero_copy_only=False)])
+            if not len(s):
                 continue
-            first = np.empty(m, bool)
-            first[0], first[1:] = True, s[1:] != s[:-1]
-            at = np.maximum.accumulate(np.where(first, np.arange(m), 0))
-            ca, cb = a[at], b[at]
-            if last and s[0] == last[0]:
-                run0 = at == 0
-                ca[run0], cb[run0] = last[1], last[2]
-            keep = (a != ca) | (b != cb)
-            keep[1:] &= (s[1:] != s[:-1]) | (a[1:] != a[:-1]) | (b[1:] != b[:-1])
-            last = (s[-1], ca[-1], cb[-1])
-            if keep.any():
-                found = np.unique(np.stack([ca[keep], cb[keep], a[keep], b[keep]], 1), axis=0)
-                yield pa.RecordBatch.from_arrays([pa.array(found[:, i].copy()) for i in range(4)], names=["ca", "cb", "a", "b"])
-
-    # a signature is a hash: its rows are one group of candidates, never a frequent gram's
-    dealt = rows.repartition(parts, "s").sortWithinPartitions("s", "a", "b")
-    return dealt.mapInArrow(run, "ca bigint, cb bigint, a bigint, b bigint").distinct()
+            fresh = np.ones(len(s), bool)
+            fresh[1:] = (s[1:] != s[:-1]) | (a[1:] != a[:-1])
+            s, a = s[fresh], a[fresh]
+            found = []
+            if centre and s[0] == centre[0]:
+                own = s == centre[0]
+                own &= a != centre[1]
+                found.append(np.stack([np.full(int(own.sum()), centre[1]), a[own], np.ones(int(own.sum()), np.int64)], 1))
+                s, a = s[s != centre[0]], a[s != centre[0]]
+            if len(s):
+                last = int(np.searchsorted(s, s[-1]))  # the last run may go on
+                centre = None
+                if len(s) - last > SMALL_GROUP:
+                    centre = (s[-1], a[last])
+                    found.append(pairs(s, a))
+                    held_s = held_a = np.empty(0, np.int64)
+                else:
+                    if last:
+                        found.append(pairs(s[:last], a[:last]))
+                    held_s, held_a = s[last:], a[last:]
+            else:
+                held_s = held_a = np.empty(0, np.int64)
+            if found and len(e := np.concatenate(found)):
+                e = np.unique(e, axis=0)
+                yield pa.RecordBatch.from_arrays([pa.array(e[:, i].copy()) for i in range(3)], names=["x", "y", "big"])
+        if len(held_s) and len(e := pairs(held_s, held_a)):
+            yield pa.RecordBatch.from_arrays([pa.array(e[:, i].copy()) for i in range(3)], names=["x", "y", "big"])
+
+    # a signature is a hash of several grams: its rows are one group of candidates, never a single frequent gram's
+    dealt = rows.repartition(parts, "s").sortWithinPartitions("s", "a")
+    return dealt.mapInArrow(run, "x bigint, y bigint, big bigint").groupBy("x", "y").agg(F.max("big").alias("big"))
+
+
+def coarse_links(docs: DataFrame, classes: DataFrame, pct: int) -> DataFrame:
+    """(u, v) of nodes: the candidates, less the pairs whose sketches rule a link out."""
+    side = lambda k, node, n, sk: classes.select(F.col("a").alias(k), F.col("node").alias(node), F.col("n").alias(n), F.col("sketch").alias(sk))
+    rows = candidates(docs).join(side("x", "u", "nu", "su"), "x").join(side("y", "v", "nv", "sv"), "y").select("u", "v", "big", "nu", "nv", "su", "sv")
+
+    def run(batches):
+        for b in batches:
+            u, v, big, nu, nv = (b.column(i).to_numpy(zero_copy_only=False) for i in range(5))
+            x, y = (np.frombuffer(b"".join(b.column(i).to_pylist()), np.uint8).reshape(-1, 128).astype(np.int16) for i in (5, 6))
+            keep = (big == 1) | may_link(nu, nv, np.abs(x - y).sum(1, dtype=np.int64), pct)
+            yield pa.RecordBatch.from_arrays([pa.array(u[keep]), pa.array(v[keep])], names=["u", "v"])
+
+    return rows.mapInArrow(run, "u bigint, v bigint")
 
 
 class Tree:
@@ -226,7 +302,15 @@ def tree_links(sets: list[np.ndarray], pct: int) -> list[tuple[int, int]]:
         return i
 
     tree, mask = Tree(np.empty(0, np.int64)), np.zeros(len(count), bool)
-    for i in sorted(range(len(sets)), key=lambda i: (sizes[i], i)):
+    marks = np.frombuffer(b"".join(map(sketch, sets)), np.uint8).reshape(-1, 128).astype(np.int16)
+    order = sorted(range(len(sets)), key=lambda i: (sizes[i], i))
+    marks, by_size = marks[order], np.array(sizes)[order]
+    for k, i in enumerate(order):
+        first = int(np.searchsorted(by_size, -(-pct * sizes[i] // 100)))  # smaller sets are too small
+        near = np.flatnonzero(may_link(by_size[first:k], sizes[i], np.abs(marks[first:k] - marks[k]).sum(1, dtype=np.int64), pct)) + first
+        if not any(find(order[j]) != find(i) for j in near.tolist()):
+            tree.add(ranks[i], i)  # nothing in the tree that its sketch leaves open and that isn't in its component
+            continue
         mask[ranks[i]] = True
         for j in tree.linked(ranks[i], mask, pct):
             a, b = find(i), find(j)
@@ -354,10 +438,8 @@ def similar_groups(df: DataFrame, n: int = 3, pct: int = 90, id_col: str = "doc_
     nothing. Repeated rows are equal sets; an empty table gives an empty result. Sets are compared by 64-bit hashes.
     """
     docs = cut(fingerprints(df, n, pct, id_col, text_col))
-    classes = cut(docs.where("n > 0").groupBy("a", "b").agg(F.min("id").alias("least"), F.max("n").alias("n")).withColumn("node", F.monotonically_increasing_id()))
-    ids = classes.select("a", "b", "node")
-    star = stars(docs).join(ids.withColumnsRenamed({"a": "ca", "b": "cb", "node": "v"}), ["ca", "cb"]).join(ids.withColumnRenamed("node", "u"), ["a", "b"]).select("u", "v")
-    coarse = connected(star).select("node", F.col("comp").alias("g"))
+    classes = cut(docs.where("n > 0").groupBy("a", "b").agg(F.min("id").alias("least"), F.max("n").alias("n"), F.first("sketch").alias("sketch")).withColumn("node", F.monotonically_increasing_id()))
+    coarse = connected(coarse_links(docs, classes, pct)).select("node", F.col("comp").alias("g"))
     comps = cut(connected(set_links(df, coarse, classes, n, pct, text_col)))
     own = classes.select("a", "b", "node", "least").join(comps, "node", "left")
     named = own.where("comp is not null").groupBy("comp").agg(F.min("least").alias("label"))

@@ -100,6 +100,11 @@ def base_failed() -> Column:
     return (F.col("__q_n_words") < 20) | (100 * F.col("__q_n_repeat_words") > 30 * F.col("__q_n_words"))
 
 
+def _computed_once(c: Column) -> Column:
+    """c, in a projection through which Spark pushes no condition: below, it would repeat the costly columns many times."""
+    return c & (F.monotonically_increasing_id() >= 0)
+
+
 def judge(df: DataFrame, rules: tuple[Rule, ...] = RULES, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, kept) of every row.
 
@@ -107,14 +112,12 @@ def judge(df: DataFrame, rules: tuple[Rule, ...] = RULES, id_col: str = "doc_id"
     """
     base = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")
     q = measures(df.select(F.col(id_col), F.col(text_col)), text_col)
-    return q.select(id_col, *(F.col(f"__q_{c}").alias(c) for c in base), base_failed().alias("base_failed"), (~base_failed() & verdict(rules)).alias("kept"))
+    return q.select(id_col, *(F.col(f"__q_{c}").alias(c) for c in base), base_failed().alias("base_failed"), _computed_once(~base_failed() & verdict(rules)).alias("kept"))
 
 
 def keep(df: DataFrame, rules: tuple[Rule, ...] = RULES, text_col: str = "text") -> DataFrame:
     """The rows of ``df`` that are kept, with its columns."""
-    # the row number keeps Spark from pushing the condition below the projections, where it would repeat them many times over
-    q = measures(df, text_col).withColumns({"__q_kept": ~base_failed() & verdict(rules), "__q_row": F.monotonically_increasing_id()})
-    return q.where("__q_kept and __q_row >= 0").select(*df.columns)
+    return measures(df, text_col).withColumn("__q_kept", _computed_once(~base_failed() & verdict(rules))).where("__q_kept").select(*df.columns)
 
 
 ORACLE = r"""

@@ -20,8 +20,10 @@ from pyspark.sql.types import ArrayType, BinaryType, IntegerType, StringType, St
 from .common import long_field, scan_texts
 from .pieces import splitter
 
-#: Pieces remembered by a worker, and the longest piece that is (bounds: about 350 MB); pieces replayed at once.
-CACHE_PIECES, CACHE_CHARS, REPLAY_PIECES = 1_200_000, 64, 20_000
+#: Pieces remembered by a worker, and the longest piece that is (bounds: about 230 MB); pieces replayed at once.
+CACHE_PIECES, CACHE_CHARS, REPLAY_PIECES = 800_000, 64, 20_000
+#: Pairs of symbols remembered by a worker.
+CACHE_PAIRS = 400_000
 
 
 class MergeReplay:
@@ -39,7 +41,7 @@ class MergeReplay:
     def makes(self, a: int, b: int) -> int:
         """The symbol of a pair, or -1."""
         made = self.rank.get(self.token[a] + self.token[b], -1)
-        if len(self.pair) >= 2_000_000:
+        if len(self.pair) >= CACHE_PAIRS:
             self.pair.clear()
         self.pair[a << 32 | b] = made
         return made
@@ -141,7 +143,6 @@ class MergeReplay:
         own = set().union(*split)
         for p in self.long:  # of the block before
             del self.ids[p], self.bytes[p]
-        self.long = []
         if len(self.ids) > CACHE_PIECES:  # what this block needs stays
             self.ids = {p: v for p, v in self.ids.items() if p in own}
             self.bytes = {p: self.bytes[p] for p in self.ids}

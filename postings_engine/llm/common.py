@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.types import DataType, LongType, StructField, StructType
 
 #: Rows and bytes of one Arrow batch handed to Python: bounds a worker's memory however long the texts are.
-BATCH_ROWS, BATCH_BYTES = 1000, "8m"
+BATCH_ROWS, BATCH_BYTES = 500, "8m"
 #: The white space that ends a word in most contracts, as a Java regular expression class.
 SPACE = r"[\x20\x09-\x0D]"
 

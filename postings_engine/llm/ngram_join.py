@@ -3,8 +3,8 @@
 Plan. (1) One pass over the texts turns each into its set of n-gram hashes, and that into a 128-bit fingerprint and
 block signatures: the hash range is cut into K parts, K greater than the greatest possible symmetric difference of two
 linked sets, so that linked sets agree on a whole part (pigeonhole) and no link is lost; no counts of the corpus are
-needed. (2) Equal signatures give candidate pairs, which exact lower bounds on the difference of two sets thin out, and
-frequent signatures stars; their components are coarse groups. (3) Each group's sets, globally ordered, go into one radix tree; a set traverses
+needed. (2) Sets with an equal signature are compared by small count sketches, which bound their difference from below
+exactly; what these leave open makes coarse groups, of which only spanning links are kept. (3) Each group's sets, globally ordered, go into one radix tree; a set traverses
 it sharing the overlap of common beginnings, and subtrees are pruned by what can still come. (4) Groups too large for a
 task are first compared with one member each, in a join that Spark can split; the triangle inequality of the Jaccard
 distance tells which members need no further comparison. Equal sets are one node throughout.
@@ -23,12 +23,12 @@ from pyspark.sql import functions as F
 from .common import BitFilter, cut, mix64, small_batches, typed
 from .components import connected
 
-#: Most n-grams (all members' sets together) that one task puts into a tree: 32 MB of hashes.
-GROUP_GRAMS = 4_000_000
+#: Most n-grams (all members' sets together) that one task puts into a tree: 48 MB of hashes.
+GROUP_GRAMS = 6_000_000
 #: Rounds of comparing large groups with one member, before what is left is compared in pairs of blocks.
 LEADER_ROUNDS = 3
-#: Sets with one signature up to which all their pairs are candidates.
-SMALL_GROUP = 32
+#: Sets with one signature up to which they are compared by their sketches; more become one coarse group.
+BIG_GROUP = 2048
 #: Words whose hashes a worker remembers.
 CACHE_WORDS = 250_000
 _STEP = 0x9E3779B97F4A7C15
@@ -121,9 +121,18 @@ class Signatures:
 
 
 def sketch(grams: np.ndarray) -> bytes:
-    """How many of a set's hashes fall into each of 128 ranges, at most 255: two sets differ in at least as many elements as
-    these numbers differ."""
-    return np.minimum(np.bincount((grams >> np.uint64(57)).astype(np.int64), minlength=128), 255).astype(np.uint8).tobytes()
+    """How many of a set's hashes fall into each of M ranges, at most 255: two sets differ in at least as many elements as
+    these numbers differ. M is a power of two that grows with the set, so that ranges hold 4 to 8 elements."""
+    bits = max(6, (len(grams) // 8).bit_length())
+    return np.minimum(np.bincount((grams >> np.uint64(64 - bits)).astype(np.int64), minlength=1 << bits), 255).astype(np.uint8).tobytes()
+
+
+def unfolded(sketches: list[bytes]) -> np.ndarray:
+    """Sketches as rows of one width, the least of theirs: neighbouring ranges are added up."""
+    width = min(map(len, sketches))
+    if all(len(x) == width for x in sketches):
+        return np.frombuffer(b"".join(sketches), np.uint8).reshape(-1, width).astype(np.int16)
+    return np.stack([np.frombuffer(x, np.uint8).reshape(width, -1).sum(1, dtype=np.int16) for x in sketches])
 
 
 def may_link(n: np.ndarray, m: np.ndarray, apart: np.ndarray, pct: int) -> np.ndarray:
@@ -132,54 +141,63 @@ def may_link(n: np.ndarray, m: np.ndarray, apart: np.ndarray, pct: int) -> np.nd
     return 100 * both >= pct * (n + m - both)
 
 
-def fingerprints(df: DataFrame, n: int, pct: int, id_col: str, text_col: str) -> DataFrame:
-    """(id, n, a, b, sketch, sigs): a and b are the halves of the set's fingerprint."""
+def fingerprints(df: DataFrame, n: int, id_col: str, text_col: str) -> DataFrame:
+    """(id, n, a, b, sketch): a and b are the halves of the set's fingerprint."""
     small_batches(df.sparkSession)
     data = df.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").cast("binary").alias("x"))
 
     def run(batches: Iterator[pa.RecordBatch]):
-        make = Signatures(pct)
         for batch in batches:
-            size, fp, sk, sigs, ends = [], [], [], [], [0]
-            for raw in batch.column(1).to_pylist():
-                g = gram_hashes(raw, n)
-                size.append(len(g))
-                fp.append(xxhash.xxh3_128_digest(g.tobytes()))
-                sk.append(sketch(g))
-                s = make(g) if len(g) else g
-                sigs.append(s)
-                ends.append(ends[-1] + len(s))
-            ab = np.frombuffer(b"".join(fp), np.int64).reshape(-1, 2)
-            flat = np.concatenate(sigs).view(np.int64) if sigs else np.empty(0, np.int64)
-            lists = pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(flat))
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(size, pa.int64()), pa.array(ab[:, 0].copy()), pa.array(ab[:, 1].copy()), pa.array(sk, pa.binary()), lists], names=["id", "n", "a", "b", "sketch", "sigs"])
+            sets = [gram_hashes(raw, n) for raw in batch.column(1).to_pylist()]
+            ab = np.frombuffer(b"".join([xxhash.xxh3_128_digest(g.tobytes()) for g in sets]), np.int64).reshape(-1, 2)
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([len(g) for g in sets], pa.int64()), pa.array(ab[:, 0].copy()), pa.array(ab[:, 1].copy()), pa.array([sketch(g) for g in sets], pa.binary())], names=["id", "n", "a", "b", "sketch"])
 
     kind = typed(df, id_col).simpleString()
-    return data.mapInArrow(run, f"id {kind}, n bigint, a bigint, b bigint, sketch binary, sigs array<bigint>")
+    return data.mapInArrow(run, f"id {kind}, n bigint, a bigint, b bigint, sketch binary")
+
+
+def signed(df: DataFrame, n: int, pct: int, text_col: str) -> DataFrame:
+    """(s, a): the signatures of each text's set. They go straight from the texts into the shuffle; a task sends those of
+    equal sets once."""
+    data = df.select(F.col(text_col).cast("string").cast("binary").alias("x")).where("x is not null")
+
+    def run(batches: Iterator[pa.RecordBatch]):
+        make, seen = Signatures(pct), set()
+        for batch in batches:
+            sigs, own = [], []
+            for raw in batch.column(0).to_pylist():
+                g = gram_hashes(raw, n)
+                a = int.from_bytes(xxhash.xxh3_128_digest(g.tobytes())[:8], "little", signed=True)
+                if not len(g) or a in seen:
+                    continue
+                if len(seen) >= 1_000_000:
+                    seen.clear()
+                seen.add(a)
+                found = make(g)
+                sigs.append(found)
+                own.append(np.full(len(found), a, np.int64))
+            if sigs:
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(sigs).view(np.int64)), pa.array(np.concatenate(own))], names=["s", "a"])
 
+    return data.mapInArrow(run, "s bigint, a bigint")
 
-def candidates(docs: DataFrame) -> DataFrame:
-    """(x, y, big): pairs of fingerprint halves with a signature in common. A signature of up to SMALL_GROUP sets gives all
-    its pairs; a more frequent one a star round its first set, marked ``big``: its sets are one coarse group."""
-    rows = docs.where("n > 0").select(F.explode("sigs").alias("s"), "a")
-    parts = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
 
-    def pairs(s, a):
+def shared(rows: DataFrame) -> DataFrame:
+    """(s, a, centre) of the (s, a) whose signature several sets have. In groups of more than BIG_GROUP sets ``centre`` is the
+    first set of the group, else null."""
+    parts = int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+
+    def out(s, a):
         """Of whole runs of equal s, without repeated rows."""
         start = np.flatnonzero(np.concatenate([[True], s[1:] != s[:-1]]))
-        size = np.diff(np.append(start, len(s)))
-        long, out = np.repeat(size > SMALL_GROUP, size), []
-        at = np.repeat(start, size)
-        star = long & (at != np.arange(len(s)))
-        out.append(np.stack([a[at[star]], a[star], np.ones(int(star.sum()), np.int64)], 1))
-        for step in range(1, int(min(size.max(initial=1), SMALL_GROUP))):
-            hit = (s[step:] == s[:-step]) & ~long[step:]
-            out.append(np.stack([a[:-step][hit], a[step:][hit], np.zeros(int(hit.sum()), np.int64)], 1))
-        return np.concatenate(out)
+        size = np.repeat(np.diff(np.append(start, len(s))), np.diff(np.append(start, len(s))))
+        keep, big = size > 1, size > BIG_GROUP
+        first = a[np.repeat(start, np.diff(np.append(start, len(s))))]
+        return s[keep], a[keep], first[keep], ~big[keep]
 
     def run(batches):
         held_s = held_a = np.empty(0, np.int64)
-        centre = None  # (signature, first set) of a long run that goes on
+        centre = None  # (signature, first set) of a big group that goes on
         for batch in batches:
             s = np.concatenate([held_s, batch.column(0).to_numpy(zero_copy_only=False)])
             a = np.concatenate([held_a, batch.column(1).to_numpy(zero_copy_only=False)])
@@ -190,47 +208,87 @@ def candidates(docs: DataFrame) -> DataFrame:
             s, a = s[fresh], a[fresh]
             found = []
             if centre and s[0] == centre[0]:
-                own = s == centre[0]
-                own &= a != centre[1]
-                found.append(np.stack([np.full(int(own.sum()), centre[1]), a[own], np.ones(int(own.sum()), np.int64)], 1))
-                s, a = s[s != centre[0]], a[s != centre[0]]
+                m = int(np.searchsorted(s, centre[0], "right"))
+                found.append((s[:m], a[:m], np.full(m, centre[1]), np.zeros(m, bool)))
+                s, a = s[m:], a[m:]
+            held_s = held_a = np.empty(0, np.int64)
             if len(s):
                 last = int(np.searchsorted(s, s[-1]))  # the last run may go on
-                centre = None
-                if len(s) - last > SMALL_GROUP:
+                if len(s) - last > BIG_GROUP:
                     centre = (s[-1], a[last])
-                    found.append(pairs(s, a))
-                    held_s = held_a = np.empty(0, np.int64)
+                    found.append(out(s, a))
                 else:
-                    if last:
-                        found.append(pairs(s[:last], a[:last]))
+                    centre = None
                     held_s, held_a = s[last:], a[last:]
-            else:
-                held_s = held_a = np.empty(0, np.int64)
-            if found and len(e := np.concatenate(found)):
-                e = np.unique(e, axis=0)
-                yield pa.RecordBatch.from_arrays([pa.array(e[:, i].copy()) for i in range(3)], names=["x", "y", "big"])
-        if len(held_s) and len(e := pairs(held_s, held_a)):
-            yield pa.RecordBatch.from_arrays([pa.array(e[:, i].copy()) for i in range(3)], names=["x", "y", "big"])
+                    if last:
+                        found.append(out(s[:last], a[:last]))
+            for x in found:
+                if len(x[0]):
+                    yield pa.RecordBatch.from_arrays([pa.array(x[0]), pa.array(x[1]), pa.array(x[2], mask=x[3])], names=["s", "a", "centre"])
+        if len(held_s):
+            x = out(held_s, held_a)
+            yield pa.RecordBatch.from_arrays([pa.array(x[0]), pa.array(x[1]), pa.array(x[2], mask=x[3])], names=["s", "a", "centre"])
 
     # a signature is a hash of several grams: its rows are one group of candidates, never a single frequent gram's
-    dealt = rows.repartition(parts, "s").sortWithinPartitions("s", "a")
-    return dealt.mapInArrow(run, "x bigint, y bigint, big bigint").groupBy("x", "y").agg(F.max("big").alias("big"))
-
-
-def coarse_links(docs: DataFrame, classes: DataFrame, pct: int) -> DataFrame:
-    """(u, v) of nodes: the candidates, less the pairs whose sketches rule a link out."""
-    side = lambda k, node, n, sk: classes.select(F.col("a").alias(k), F.col("node").alias(node), F.col("n").alias(n), F.col("sketch").alias(sk))
-    rows = candidates(docs).join(side("x", "u", "nu", "su"), "x").join(side("y", "v", "nv", "sv"), "y").select("u", "v", "big", "nu", "nv", "su", "sv")
+    return rows.repartition(parts, "s").sortWithinPartitions("s", "a").mapInArrow(run, "s bigint, a bigint, centre bigint")
+
+
+def coarse_links(df: DataFrame, classes: DataFrame, n: int, pct: int, text_col: str) -> DataFrame:
+    """(u, v) of nodes whose components hold all links: in each group of equal signatures a spanning forest of the pairs that
+    their sketches don't rule out; in big groups a star of all their sets."""
+    rows = cut(shared(signed(df, n, pct, text_col)))
+    ids = classes.select("a", "node")
+    star = rows.where("centre is not null").select("a", "centre").distinct()
+    star = star.join(ids.withColumnRenamed("node", "u"), "a").join(ids.withColumnsRenamed({"a": "centre", "node": "v"}), "centre").select("u", "v")
+    parts = int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    small = rows.where("centre is null").join(classes.select("a", "node", "n", "sketch"), "a").select("s", "node", "n", "sketch").repartition(parts, "s").sortWithinPartitions("s", "node")
+
+    def links(node, size, marks):
+        root = np.arange(len(node))
+        for i in range(1, len(node)):
+            near = np.flatnonzero(may_link(size[:i], size[i], np.abs(marks[:i] - marks[i]).sum(1, dtype=np.int64), pct))
+            roots = np.unique(root[near])
+            if len(roots):
+                root[np.isin(root, roots)] = roots[0]
+                root[i] = roots[0]
+        hit = np.flatnonzero(root != np.arange(len(node)))
+        return node[hit], node[root[hit]]
 
     def run(batches):
+        held = None
         for b in batches:
-            u, v, big, nu, nv = (b.column(i).to_numpy(zero_copy_only=False) for i in range(5))
-            x, y = (np.frombuffer(b"".join(b.column(i).to_pylist()), np.uint8).reshape(-1, 128).astype(np.int16) for i in (5, 6))
-            keep = (big == 1) | may_link(nu, nv, np.abs(x - y).sum(1, dtype=np.int64), pct)
-            yield pa.RecordBatch.from_arrays([pa.array(u[keep]), pa.array(v[keep])], names=["u", "v"])
-
-    return rows.mapInArrow(run, "u bigint, v bigint")
+            marks = np.empty(b.num_rows, object)
+            marks[:] = b.column(3).to_pylist()
+            own = [b.column(i).to_numpy(zero_copy_only=False) for i in range(3)] + [marks]
+            held = own if held is None else [np.concatenate(x) for x in zip(held, own, strict=True)]
+            last = int(np.searchsorted(held[0], held[0][-1])) if len(held[0]) else 0
+            yield from compared(*(x[:last] for x in held))
+            held = [x[last:] for x in held]
+        if held is not None:
+            yield from compared(*held)
+
+    def compared(s, node, size, marks):
+        if not len(s):
+            return
+        start = np.append(np.flatnonzero(np.concatenate([[True], s[1:] != s[:-1]])), len(s))
+        two = start[:-1][np.diff(start) == 2]
+        width = np.array([min(len(marks[i]), len(marks[i + 1])) for i in two.tolist()], np.int64)
+        u, v = [np.empty(0, np.int64)], [np.empty(0, np.int64)]
+        for w in np.unique(width):
+            at = two[width == w]
+            x, y = (unfolded([*marks[at + k], bytes(int(w))])[:-1] for k in (0, 1))
+            ok = may_link(size[at], size[at + 1], np.abs(x - y).sum(1, dtype=np.int64), pct)
+            u.append(node[at[ok] + 1])
+            v.append(node[at[ok]])
+        for x, y in zip(start[:-1], start[1:], strict=True):
+            if y - x > 2:
+                p, q = links(node[x:y], size[x:y], unfolded(list(marks[x:y])))
+                u.append(p)
+                v.append(q)
+        e = np.unique(np.stack([np.concatenate(u), np.concatenate(v)], 1), axis=0)
+        yield pa.RecordBatch.from_arrays([pa.array(e[:, 0].copy()), pa.array(e[:, 1].copy())], names=["u", "v"])
+
+    return star.unionByName(small.mapInArrow(run, "u bigint, v bigint"))
 
 
 class Tree:
@@ -302,7 +360,7 @@ def tree_links(sets: list[np.ndarray], pct: int) -> list[tuple[int, int]]:
         return i
 
     tree, mask = Tree(np.empty(0, np.int64)), np.zeros(len(count), bool)
-    marks = np.frombuffer(b"".join(map(sketch, sets)), np.uint8).reshape(-1, 128).astype(np.int16)
+    marks = unfolded([sketch(x) for x in sets])
     order = sorted(range(len(sets)), key=lambda i: (sizes[i], i))
     marks, by_size = marks[order], np.array(sizes)[order]
     for k, i in enumerate(order):
@@ -383,8 +441,8 @@ def _needed_sets(df: DataFrame, nodes: DataFrame, count: int, n: int, text_col:
 def _with_leader(big: DataFrame, sets: DataFrame, pct: int) -> DataFrame:
     """(g, node, n, centre, cn, overlap) for every member of the large groups and its group's centre."""
     centres = big.groupBy("g").agg(F.min("node").alias("centre"))
-    led = centres.join(sets.select(F.col("node").alias("centre"), F.col("grams").alias("cgrams")).dropDuplicates(["centre"]), "centre")
-    rows = big.join(sets.dropDuplicates(["node"]), "node").join(led, "g").select("g", "node", "n", "centre", "grams", "cgrams")
+    led = centres.join(sets.select(F.col("node").alias("centre"), F.col("grams").alias("cgrams")), "centre").dropDuplicates(["g"])
+    rows = big.join(sets, "node").join(led, "g").select("g", "node", "n", "centre", "grams", "cgrams")
 
     def run(batches):
         for b in batches:
@@ -422,7 +480,7 @@ def set_links(df: DataFrame, groups: DataFrame, classes: DataFrame, n: int, pct:
         nearest = seen.where("not hit").groupBy("g").agg(F.min(far / F.col("union")).alias("d"))
         # whoever is linked with the centre is settled, unless a member that is not may be within reach
         reach = F.col("d") - (100 - pct) / 100 - 1e-9
-        rest = cut(seen.join(nearest, "g").where(~F.col("hit") | (far / F.col("union") >= reach)).select("g", "node", "n"))
+        rest = cut(seen.join(nearest, "g").where(~F.col("hit") | (far / F.col("union") >= reach)).select("g", "node", "n").distinct())
     # pairs of blocks: each task holds two of them
     blocks = large.withColumn("k", F.ceil(2 * F.col("w") / GROUP_GRAMS)).withColumn("i", F.pmod(F.xxhash64("node"), "k"))
     pair = F.transform(F.sequence(F.lit(0).cast("long"), F.col("k") - 1), lambda j: F.xxhash64("g", F.least("i", j), F.greatest("i", j)))
@@ -437,9 +495,9 @@ def similar_groups(df: DataFrame, n: int = 3, pct: int = 90, id_col: str = "doc_
     component_id is the smallest id reachable. Texts that are null or without words have an empty set and link with
     nothing. Repeated rows are equal sets; an empty table gives an empty result. Sets are compared by 64-bit hashes.
     """
-    docs = cut(fingerprints(df, n, pct, id_col, text_col))
+    docs = cut(fingerprints(df, n, id_col, text_col))
     classes = cut(docs.where("n > 0").groupBy("a", "b").agg(F.min("id").alias("least"), F.max("n").alias("n"), F.first("sketch").alias("sketch")).withColumn("node", F.monotonically_increasing_id()))
-    coarse = connected(coarse_links(docs, classes, pct)).select("node", F.col("comp").alias("g"))
+    coarse = connected(coarse_links(df, classes, n, pct, text_col)).select("node", F.col("comp").alias("g"))
     comps = cut(connected(set_links(df, coarse, classes, n, pct, text_col)))
     own = classes.select("a", "b", "node", "least").join(comps, "node", "left")
     named = own.where("comp is not null").groupBy("comp").agg(F.min("least").alias("label"))

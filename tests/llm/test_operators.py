@@ -140,7 +140,7 @@ def copies(seed=1, n=120):
 @pytest.mark.parametrize("grams", [4_000_000, 400])
 def test_groups(spark, n, pct, grams, monkeypatch):
     monkeypatch.setattr(ngram_join, "GROUP_GRAMS", grams)
-    monkeypatch.setattr(ngram_join, "SMALL_GROUP", 8 if grams == 400 else 32)
+    monkeypatch.setattr(ngram_join, "BIG_GROUP", 8 if grams == 400 else 2048)
     rows = copies()
     df = spark.createDataFrame(rows, "doc_id bigint, text string").repartition(3)
     assert {r.doc_id: (r.n_shingles, r.component_id) for r in ngram_join.similar_groups(df, n, pct).collect()} == brute_groups(rows, n, pct)

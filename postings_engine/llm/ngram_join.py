@@ -62,8 +62,10 @@ class Signatures:
     """Block signatures of sets for Jaccard similarity >= pct %.
 
     A set of n leaves a linked one, if that is no smaller, a symmetric difference of at most spread(n). The smaller set of
-    a pair fixes the level, a number of parts greater than that; of these the first spread + 1, and a few in reserve for
-    empty parts, suffice. A set therefore signs its own level and those of the smaller sets that it may be linked with.
+    a pair fixes the level, a number of parts greater than that; of these the first spread + 1, and an eighth in reserve
+    for empty parts, suffice. A set therefore signs its own level and those of the smaller sets that it may be linked with.
+    Where a level has more empty parts than the reserve, which levels this close together keep rare, single grams stand in
+    for it, for sets of that level only.
     """
 
     def __init__(self, pct: int):
@@ -78,21 +80,21 @@ class Signatures:
 
     @staticmethod
     def need(d: int) -> int:
-        return d + 1 + -(-d // 16)
+        return d + 1 + -(-d // 8)
 
     def level(self, d: int) -> int:
         while self.levels[-1] < self.need(d):
-            self.levels.append(max(self.levels[-1] + 1, self.levels[-1] * 7 // 5))
+            self.levels.append(max(self.levels[-1] + 1, self.levels[-1] * 13 // 10))
         return int(np.searchsorted(self.levels, self.need(d)))
 
     def reserve(self, level: int) -> int:
         """So many empty parts a set of this level may have before the part that agrees may be an empty one."""
         if not level:
             return 1
-        d = (self.levels[level - 1] - 1) * 16 // 17  # the least spread of the level
+        d = (self.levels[level - 1] - 1) * 8 // 9 - 2  # up to the least spread of the level
         while self.need(d) <= self.levels[level - 1]:
             d += 1
-        return 1 + -(-d // 16)
+        return 1 + -(-d // 8)
 
     def parts(self, k: int) -> tuple[np.ndarray, np.ndarray]:
         if k not in self.known:
@@ -104,7 +106,7 @@ class Signatures:
         d = self.spread(n)
         if n * 100 // self.pct == n and d == 0:
             return np.empty(0, np.uint64)  # only equal sets link with it
-        out, bare = [], False
+        out = []
         sums = np.concatenate([[np.uint64(0)], np.cumsum(mix64(grams + np.uint64(_STEP)), dtype=np.uint64)])
         top = self.level(d)
         for level in range(self.level(self.spread(-(-n * self.pct // 100))), top + 1):
@@ -114,9 +116,8 @@ class Signatures:
             at = np.concatenate([[0], np.searchsorted(grams, inner), [n]])[: m + 1]
             full = np.diff(at) > 0
             out.append(mix64((sums[at[1:]] - sums[at[:-1]])[full] ^ salt[:m][full]))
-            bare |= m - int(full.sum()) >= self.reserve(level)
-        if bare:  # fall back on the first grams in hash order, of which linked sets share one
-            out.append(mix64(grams[: n - -(-n * self.pct // 100) + 1] ^ np.uint64(0xA5A5A5A5A5A5A5A5)))
+            if m - int(full.sum()) >= self.reserve(level):  # the first grams in hash order, of which linked sets share one
+                out.append(mix64(grams[: n - -(-n * self.pct // 100) + 1] ^ ~salt[0]))
         return np.concatenate(out)
 
 
@@ -184,18 +185,27 @@ def signed(df: DataFrame, n: int, pct: int, text_col: str) -> DataFrame:
 
 def shared(rows: DataFrame) -> DataFrame:
     """(s, a, centre) of the (s, a) whose signature several sets have. In groups of more than BIG_GROUP sets ``centre`` is the
-    first set of the group, else null."""
+    first set of the group, else null. Other groups are named by a hash of their sets, so that groups with the same sets, as
+    near copies have by the hundred, become one; a task gives them once, repeats from other tasks remain."""
     parts = int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    seen: set[int] = set()
 
     def out(s, a):
         """Of whole runs of equal s, without repeated rows."""
         start = np.flatnonzero(np.concatenate([[True], s[1:] != s[:-1]]))
-        size = np.repeat(np.diff(np.append(start, len(s))), np.diff(np.append(start, len(s))))
-        keep, big = size > 1, size > BIG_GROUP
-        first = a[np.repeat(start, np.diff(np.append(start, len(s))))]
-        return s[keep], a[keep], first[keep], ~big[keep]
+        size = np.diff(np.append(start, len(s)))
+        name = np.add.reduceat(mix64(a.view(np.uint64)), start).view(np.int64)
+        once = np.zeros(len(name), bool)
+        once[np.unique(name, return_index=True)[1]] = True
+        once &= (size > 1) & np.array([x not in seen for x in name.tolist()])
+        if len(seen) > 1_000_000:
+            seen.clear()
+        seen.update(name[once].tolist())
+        keep, small = np.repeat(once | (size > BIG_GROUP), size), np.repeat(size <= BIG_GROUP, size)
+        return np.repeat(name, size)[keep], a[keep], np.repeat(a[start], size)[keep], small[keep]
 
     def run(batches):
+        seen.clear()
         held_s = held_a = np.empty(0, np.int64)
         centre = None  # (signature, first set) of a big group that goes on
         for batch in batches:
@@ -241,7 +251,7 @@ def coarse_links(df: DataFrame, classes: DataFrame, n: int, pct: int, text_col:
     star = rows.where("centre is not null").select("a", "centre").distinct()
     star = star.join(ids.withColumnRenamed("node", "u"), "a").join(ids.withColumnsRenamed({"a": "centre", "node": "v"}), "centre").select("u", "v")
     parts = int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    small = rows.where("centre is null").join(classes.select("a", "node", "n", "sketch"), "a").select("s", "node", "n", "sketch").repartition(parts, "s").sortWithinPartitions("s", "node")
+    small = rows.where("centre is null").select("s", "a").distinct().join(classes.select("a", "node", "n", "sketch"), "a").select("s", "node", "n", "sketch").repartition(parts, "s").sortWithinPartitions("s", "node")
 
     def links(node, size, marks):
         root = np.arange(len(node))

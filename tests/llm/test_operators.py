@@ -393,3 +393,19 @@ def test_pipeline(spark, sf_dir, tmp_path):
     assert Counter(r.doc_id for r in done) == Counter(r.doc_id for r in mixed.collect())
     text = {r.doc_id: r.text for r in clean.collect()}
     assert all(r.decoded_sha256 == hashlib.sha256(text[r.doc_id].encode()).hexdigest() for r in done)
+
+
+@pytest.mark.parametrize("pct", [50, 80, 90])
+def test_signatures_lose_no_link(pct):
+    """Any two sets at the threshold share a signature, small and large ones, with all changes on either side."""
+    make, rng = ngram_join.Signatures(pct), np.random.default_rng(7)
+    for n in [*range(2, 120), 500, 1999, 4000]:
+        for _ in range(3):
+            both = -(-n * pct // 100)
+            grams = rng.integers(0, 2**64, 2 * n, np.uint64)
+            less, more = np.sort(grams[:both]), np.sort(grams[:n])
+            k = next(k for k in range(n, 0, -1) if 100 * k < pct * (2 * n - k)) + 1  # least overlap of two sets of n
+            other = np.sort(np.concatenate([grams[:k], grams[n : 2 * n - k]]))
+            for x in (less, other):
+                if len(x) and not np.array_equal(x, more):
+                    assert set(make(x).tolist()) & set(make(more).tolist()), (n, len(x))

@@ -14,10 +14,12 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import DoubleType, IntegerType, StructField
 
-from .common import scan_texts, small_batches
+from .common import cut, scan_texts, small_batches
 
-#: Labelled rows that learning looks at, at most, and lexicon entries that come of them, at most.
+#: Labelled texts that learning looks at, at most, and lexicon entries that come of them, at most.
 MAX_LABELLED, MAX_ENTRIES = 20_000, 2_000
+#: Different words that must stand before a lexicon word in toxic texts. Absolute: a share of the occurrences would tighten as they grow.
+MIN_CONTEXTS = 5
 # Signs and digits that stand for letters, and letters of other scripts that look like Latin ones.
 SIGNS = dict(zip("0134578@$!|€£", "oieastbasiiel", strict=True))
 LOOKALIKES = dict(
@@ -122,18 +124,20 @@ def words_of(text: str, fold: Fold) -> set[str]:
 
 
 def learn(docs: DataFrame, labels: DataFrame, max_labelled: int = MAX_LABELLED, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic") -> Lexicon:
-    """A lexicon from labelled rows, at most ``max_labelled`` of them, those with the least hashes of their ids.
+    """A lexicon from labelled texts, at most ``max_labelled`` different ones, those with the least hashes.
 
     Words are counted by class over texts; candidates are those far likelier in toxic texts, by odds and by a likelihood
-    ratio that chance would not reach among so many words. Copies of one text would vote many times for its chance
-    words, so a candidate must also stand in various contexts (words before it). Null labels and texts are left out;
-    without both classes the lexicon is empty and every score low.
+    ratio that chance would not reach among so many words. Equal texts have one vote, that of most of their labels, so
+    copies do not vote for the chance words of their text; a candidate must also stand in several contexts (words before
+    it). Null labels and texts are left out; without both classes the lexicon is empty and every score low.
     """
     spark = docs.sparkSession
     small_batches(spark)
     chosen = labels.where(F.col(label_col).isNotNull() & F.col(id_col).isNotNull()).groupBy(F.col(id_col).alias("id")).agg(F.max(label_col).alias("y"))
-    chosen = chosen.orderBy(F.xxhash64("id"), "id").limit(max_labelled)
-    rows = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("x")).where("x is not null").join(F.broadcast(chosen), "id")  # at most max_labelled ids
+    data = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("x"), F.xxhash64(text_col).alias("h")).where("x is not null")
+    votes = data.select("id", "h").join(chosen, "id").groupBy("h").agg(F.min("id").alias("id"), F.avg((F.col("y") > 0).cast("int")).alias("share"))
+    votes = votes.orderBy("h").limit(max_labelled).select("id", "h", (F.col("share") >= 0.5).cast("int").alias("y"))
+    rows = cut(data.join(F.broadcast(votes), ["id", "h"]).dropDuplicates(["h"]).select("id", "x", "y"))  # at most max_labelled texts
 
     def counts(batches):
         fold, n = Fold(), {}
@@ -173,8 +177,8 @@ def learn(docs: DataFrame, labels: DataFrame, max_labelled: int = MAX_LABELLED,
                     last = x
             yield pa.RecordBatch.from_pydict({"w": pa.array(w, pa.string()), "c": pa.array(c, pa.string())})
 
-    contexts = rows.where("y > 0").select("x").mapInArrow(before, "w string, c string").groupBy("w").agg(F.count_distinct("c").alias("c"), F.count(F.lit(1)).alias("n"))
-    various = {r.w for r in contexts.collect() if r.c >= max(3, 0.25 * r.n)}  # at most as many as candidates
+    contexts = rows.where("y > 0").select("x").mapInArrow(before, "w string, c string").groupBy("w").agg(F.count_distinct("c").alias("c"))
+    various = {r.w for r in contexts.collect() if r.c >= MIN_CONTEXTS}  # at most as many as candidates
     weights = {w: v for w, v in weights.items() if w in various}
     return fit_curve(rows, Lexicon(weights))
 

@@ -227,6 +227,27 @@ def test_toxicity_held_out(spark, duck):
     assert toxicity.learn(docs, labels.limit(0)).weights == {}
 
 
+def test_toxicity_copies_of_one_text_keep_the_lexicon(spark):
+    rng = random.Random(5)
+    bad = ["zorg", "blaff", "krunt"]
+    word = lambda: "".join(rng.choice("abcdefgh") for _ in range(4))
+    rows = []
+    for k in range(400):
+        w = [word() for _ in range(rng.randrange(20, 60))]
+        if k % 8 == 0:
+            w[rng.randrange(len(w))] = rng.choice(bad)
+        rows.append((k, " ".join(w), int(k % 8 == 0)))
+    hot = " ".join([word(), *(x for b in bad for x in (b, word()))])
+    rows += [(1000 + k, hot, int(k > 0)) for k in range(600)]  # one of the copies has the other label
+    df = spark.createDataFrame(rows, "doc_id bigint, text string, toxic int")
+    docs, labels = df.select("doc_id", "text"), df.select("doc_id", "toxic")
+    lexicon = toxicity.learn(docs.union(docs.where("doc_id = 8")), labels)
+    assert set(lexicon.weights) == set(bad)
+    got = {r.doc_id: r.predicted for r in toxicity.score(docs, lexicon).collect()}
+    assert all(got[k] == y for k, _, y in rows if k < 1000) and all(got[k] == 1 for k, _, _ in rows if k >= 1000)
+    assert toxicity.learn(docs, labels, max_labelled=401).weights == lexicon.weights
+
+
 # --- 5 and 6 ---------------------------------------------------------------------------------------------------------
 
 

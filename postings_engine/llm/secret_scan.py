@@ -15,12 +15,13 @@ from .common import long_field, scan_texts
 
 #: Kinds of the fixed patterns, in the order in which spans with one start are listed; the entropy kinds follow.
 BASE_KINDS = ("assign", "access", "hex")
-KINDS = (*BASE_KINDS, "entropy_hex", "entropy_mixed")
+KINDS = (*BASE_KINDS, "entropy_hex", "entropy_mixed", "entropy_alnum", "entropy_letters")
 # The patterns of the contract.
 ASSIGN = re.compile(r"""(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", re.IGNORECASE | re.ASCII)
 ACCESS = re.compile(r"AKIA[A-Z0-9]{16,}")  # runs of 20 and more: a shorter run has no longer one inside
 HEX = re.compile(r"[0-9a-f]{24,}")
 KEYWORDS = ("password", "passwd", "secret", "token", "api")
+CONSONANTS = frozenset("bcdfghjklmnpqrstvwxzBCDFGHJKLMNPQRSTVWXZ")
 CANDIDATE = re.compile(r"(?<![A-Za-z0-9+/_=-])[A-Za-z0-9+/_=-]{20,}")
 
 
@@ -33,13 +34,23 @@ class EntropyRule:
     mixed_bits: float = 3.9
     #: A window of the mixed class must hold at least so many digits, and letters of both cases or one of ``+/_=-``.
     digits: int = 2
+    #: Random strings change between lower, upper and digit far more often than words with numbers do. From so many changes
+    #: in a window on, lower thresholds count: with both cases and a digit, with one case and ``digits`` digits (base36,
+    #: base32), with letters of both cases only.
+    changes_mixed: int = 7
+    changes_alnum: int = 3
+    changes_letters: int = 7
+    #: Letters of both cases with fewer changes than this also need the run of consonants, as names in camel case have up to 9.
+    changes_sure: int = 10
+    changed_bits: float = 3.3
+    #: A window of letters of one case has no changes; it counts with a run of so many consonants, which words hardly have.
+    consonants: int = 6
     #: What a candidate (whole, with the 12 characters before it) may be without being a secret.
     allow: tuple[str, ...] = field(
         default=(
             r"^[0-9a-fA-F]{8}(-[0-9a-fA-F]{4}){3}-[0-9a-fA-F]{12}$",  # identifiers by RFC 9562
             r"^(.)\1+$",
             r"EXAMPLE",
-            r"^[A-Za-z]+([_/=+-]+[A-Za-z]+)*$",  # words joined by signs
             r"^[0-9]+([_/=+-]+[0-9]+)*$",  # numbers and dates
             r"^(0123456789|abcdefghij|ABCDEFGHIJ)",
         )
@@ -53,7 +64,7 @@ class EntropyScan:
         self.rule = rule
         self.allow = [re.compile(p) for p in rule.allow]
         self.before = [re.compile(p) for p in rule.allow_before]
-        self.clog = [0.0] + [c * math.log2(c) for c in range(1, rule.window + 1)]
+        self.clog = [0.0] + [c * math.log2(c) for c in range(1, rule.window + 2)]  # a window holds one more before its oldest leaves
 
     def windows(self, s: str, least: float, mixed: bool) -> list[tuple[int, int]]:
         """Spans of s that windows of enough entropy cover. Counts are kept while the window slides."""
@@ -93,6 +104,52 @@ class EntropyScan:
                     spans.append((a, i + 1))
         return spans
 
+    def changes(self, s: str) -> list[tuple[str, int, int]]:
+        """(kind, start, end) of spans of s covered by windows that change class often, or are letters without words' vowels."""
+        r, w, clog = self.rule, self.rule.window, self.clog
+        count: dict[str, int] = {}
+        total = 0.0
+        n = {"d": 0, "u": 0, "l": 0, "s": 0}
+        cls = ["d" if "0" <= c <= "9" else "u" if "A" <= c <= "Z" else "l" if "a" <= c <= "z" else "s" for c in s]
+        turn = [i > 0 and "s" not in (cls[i - 1], cls[i]) and cls[i - 1] != cls[i] for i in range(len(s))]
+        turns = run = 0
+        tight = -1  # first place of the latest run of enough consonants
+        spans: dict[str, list[tuple[int, int]]] = {}
+        for i, ch in enumerate(s):
+            c = count.get(ch, 0)
+            total += clog[c + 1] - clog[c]
+            count[ch] = c + 1
+            n[cls[i]] += 1
+            turns += turn[i]
+            run = run + 1 if ch in CONSONANTS else 0
+            if run >= r.consonants:
+                tight = i - r.consonants + 1
+            a = i - w + 1
+            if a > 0:
+                old = s[a - 1]
+                c = count[old]
+                total += clog[c - 1] - clog[c]
+                count[old] = c - 1
+                n[cls[a - 1]] -= 1
+            if a >= 0:
+                turns -= turn[a]  # the change into a window's first character lies outside it
+                if math.log2(w) - total / w < r.changed_bits - 1e-9:
+                    continue
+                if n["u"] and n["l"]:
+                    kind = "entropy_mixed" if n["d"] else "entropy_letters"
+                    good = turns >= r.changes_mixed if n["d"] else not n["s"] and turns >= r.changes_letters and (tight >= a or turns >= r.changes_sure)
+                elif n["d"]:
+                    kind, good = "entropy_alnum", n["d"] >= r.digits and n["s"] <= 1 and turns >= r.changes_alnum
+                else:
+                    kind, good = "entropy_letters", not n["s"] and tight >= a
+                if good:
+                    own = spans.setdefault(kind, [])
+                    if own and a <= own[-1][1]:
+                        own[-1] = (own[-1][0], i + 1)
+                    else:
+                        own.append((a, i + 1))
+        return [(kind, a, b) for kind, own in spans.items() for a, b in own]
+
     def __call__(self, text: str) -> list[tuple[str, int, int]]:
         out = []
         for m in CANDIDATE.finditer(text):
@@ -105,10 +162,24 @@ class EntropyScan:
             hexes = not s.strip("0123456789abcdef") or not s.strip("0123456789ABCDEF")
             least = self.rule.hex_bits if hexes else self.rule.mixed_bits
             kind = "entropy_hex" if hexes else "entropy_mixed"
-            out += [(kind, m.start() + a, m.start() + b) for a, b in self.windows(s, least, not hexes)]
+            found = [(kind, a, b) for a, b in self.windows(s, least, not hexes)]
+            if not hexes:
+                found = joined(found + self.changes(s))
+            out += [(k, m.start() + a, m.start() + b) for k, a, b in found]
         return out
 
 
+def joined(spans: list[tuple[str, int, int]]) -> list[tuple[str, int, int]]:
+    """Spans of one kind that touch or overlap become one."""
+    out: list[tuple[str, int, int]] = []
+    for kind, a, b in sorted(spans):
+        if out and out[-1][0] == kind and a <= out[-1][2]:
+            out[-1] = (kind, out[-1][1], max(out[-1][2], b))
+        else:
+            out.append((kind, a, b))
+    return out
+
+
 def base_spans(text: str) -> list[tuple[str, int, int]]:
     out = []
     low = text.lower()

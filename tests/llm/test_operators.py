@@ -191,6 +191,23 @@ def test_entropy():
     assert (got == want).all()
 
 
+@pytest.mark.parametrize(
+    ("letters", "least"),
+    [("abcdefghijklmnopqrstuvwxyz0123456789", 0.9), ("ABCDEFGHIJKLMNOPQRSTUVWXYZ0123456789", 0.9), ("ABCDEFGHIJKLMNOPQRSTUVWXYZ234567", 0.8), ("abcdefghijklmnopqrstuvwxyzABCDEFGHIJKLMNOPQRSTUVWXYZ0123456789", 0.95), ("abcdefghijklmnopqrstuvwxyzABCDEFGHIJKLMNOPQRSTUVWXYZ", 0.6), ("abcdefghijklmnopqrstuvwxyz", 0.6)],
+)
+def test_entropy_of_random_keys(letters, least):
+    scan, rng = secret_scan.EntropyScan(secret_scan.EntropyRule()), random.Random(7)
+    for n in (20, 40):
+        keys = ["".join(rng.choice(letters) for _ in range(n)) for _ in range(300)]
+        assert sum(bool(scan(f'key: "{k}"')) for k in keys) >= least * 300, n
+
+
+def test_entropy_leaves_words_and_rulers():
+    scan = secret_scan.EntropyScan(secret_scan.EntropyRule())
+    for t in ("+" + "-" * 40 + "+", "internationalisation", "some-long-kebab-case-name-here", "AbstractSingletonProxyFactoryBean", "chteheitbergeerberer", "report_2024_11_26_final_version", "THISISALLUPPERCASEWRITING"):
+        assert scan(t) == [], t
+
+
 def test_redaction(spark):
     df = spark.createDataFrame([(1, "token = 'abcdef0123456789abcdef0123' ok", 3), (2, None, None)], "doc_id bigint, text string, spans int")
     got = {r.doc_id: r.text for r in secret_scan.redact(df).collect()}

@@ -156,22 +156,28 @@ def markov4_bits(lists: Lists, by: Column | None = None, bits: int = 16) -> Data
     return c.groupBy(*keys).agg(F.round(F.sum(entropy_bits(c, "zeros", "ones")), 3).alias("payload_bits"), F.lit(4 * bits).cast("long").alias("model_bits"))
 
 
-def bitmap_context_counts(gaps: np.ndarray, sizes: np.ndarray, d: int, k: int, w: int) -> np.ndarray:
+def bitmap_context_counts(gaps: np.ndarray, sizes: np.ndarray, d: int, k: int, w: int, before: np.ndarray | None = None, carry: list | None = None, last: np.ndarray | None = None) -> np.ndarray:
     """Counts (context, bit) over the rows of the matrix: the last k bits and the ones in the w bits before. Runs of zeros
-    longer than k + w stay in one context and are counted in one step."""
+    longer than k + w stay in one context and are counted in one step. For shards, ``before`` holds the last ids of the
+    shards before, ``carry`` the last k + w gaps before (context only) and ``last`` whether the zeros up to d follow."""
     n = np.zeros((2**k * (w + 1), 2), np.int64)
     at = 0
-    for m in sizes.tolist():
+    for row, m in enumerate(sizes.tolist()):
         g = gaps[at : at + m]
         at += m
-        runs = np.append(g - 1, d - g.sum())
+        known = np.asarray(carry[row] if carry is not None else [], np.int64)
+        runs = g - 1
+        ended = last is None or last[row]
+        if ended:
+            runs = np.append(runs, d - g.sum() - (before[row] if before is not None else 0))
         short = np.minimum(runs, k + w)
         n[0, 0] += int((runs - short).sum())
-        width = short + 1
-        ends = np.cumsum(width) - 1
+        width = np.concatenate([np.minimum(known - 1, k + w), short]) + 1
+        skip = int(width[: len(known)].sum())
         bits = np.zeros(int(width.sum()), np.int64)
-        bits[ends[:-1]] = 1
-        bits = bits[:-1]
+        bits[np.cumsum(width) - 1] = 1
+        if ended:
+            bits = bits[:-1]  # no id closes the last run
         total = np.concatenate([np.zeros(k + w + 1, np.int64), np.cumsum(bits)])
         code = np.zeros(len(bits), np.int64)
         for j in range(k, 0, -1):
@@ -179,23 +185,32 @@ def bitmap_context_counts(gaps: np.ndarray, sizes: np.ndarray, d: int, k: int, w
             code[:j] *= 2
         i = np.arange(len(bits)) + k + w
         ctx = code + 2**k * (total[i - k] - total[i - k - w]) if w else code
-        np.add.at(n, (ctx, bits), 1)
+        np.add.at(n, (ctx[skip:], bits[skip:]), 1)
     return n
 
 
 def bitmap_context_bits(lists: Lists, k: int, w: int, adaptive: bool = False, bits: int = 8) -> DataFrame:
-    """(payload_bits, model_bits) of (k, w) contexts on bits; adaptive without forgetting is the order-free form."""
+    """(payload_bits, model_bits) of (k, w) contexts on bits; adaptive without forgetting is the order-free form.
+
+    A list over several shards is counted as one row of the matrix: each shard takes the last k + w bits along."""
     d = lists.d
 
     def run(batches):
         total = np.zeros((2**k * (w + 1), 2), np.int64)
         for b in batches:
             gaps, sizes = _arrays(pa.Table.from_batches([b]))
-            total += bitmap_context_counts(gaps, sizes, d, k, w)
+            before, carry, last = (b.column(c) for c in ("before", "carry", "last"))
+            total += bitmap_context_counts(gaps, sizes, d, k, w, before.to_numpy(zero_copy_only=False), carry.to_pylist(), last.to_numpy(zero_copy_only=False))
         used = np.flatnonzero(total.sum(1))
         yield pa.RecordBatch.from_pydict({"ctx": pa.array(used), "zeros": pa.array(total[used, 0].copy()), "ones": pa.array(total[used, 1].copy())})
 
-    c = lists.gaps.where(F.col("n") == F.size("gaps")).select("gaps").mapInArrow(run, "ctx bigint, zeros bigint, ones bigint").groupBy("ctx").agg(F.sum("zeros").alias("zeros"), F.sum("ones").alias("ones"))
+    whole, columns = F.col("n") == F.size("gaps"), ("gaps", "before", "carry", "last")
+    one = lists.gaps.where(whole).withColumns({"carry": F.array().cast("array<bigint>"), "last": F.lit(True)}).select(*columns)
+    own, reach = Window.partitionBy("term").orderBy("shard"), max(1, k + w)
+    ends = F.collect_list(F.slice("gaps", -F.least(F.lit(reach), F.size("gaps")), reach)).over(own.rowsBetween(-reach, -1))  # each row has an id, so these reach k + w bits back
+    some = lists.gaps.where(~whole).withColumns({"carry": F.flatten(ends), "last": F.lead("shard").over(own).isNull()})
+    some = some.withColumn("carry", F.when(F.size("carry") > reach, F.slice("carry", -reach, reach)).otherwise(F.col("carry"))).select(*columns)
+    c = one.unionByName(some).mapInArrow(run, "ctx bigint, zeros bigint, ones bigint").groupBy("ctx").agg(F.sum("zeros").alias("zeros"), F.sum("ones").alias("ones"))
     rows = np.array([[r.zeros, r.ones] for r in c.collect()], np.int64).reshape(-1, 2)  # at most 2**k * (w + 1)
     payload = trits.order_free_bits(rows) if adaptive else trits.ideal_bits(rows, trits.quantise(rows, max(bits, 2)))
     model = 0 if adaptive else bits * 2**k * (w + 1)

@@ -77,6 +77,18 @@ def test_shards_are_lists_of_their_own(spark):
         assert coders.roundtrip_mismatches(gaps, coders.decode(done)).first().mismatches == 0
 
 
+@pytest.mark.parametrize("shard", [2, 8, 16])
+def test_bit_contexts_count_every_shard(spark, shard):
+    pairs = [("x", i) for i in range(1, 60, 3)] + [("x", 30), ("x", 32), ("x", 33), ("y", 7), ("z", 9), ("z", 50)]
+    pairs = spark.createDataFrame(pairs, "term string, ord bigint")
+    cut, whole = (Lists(postings.to_gaps(pairs, shard=s), 64, 3, 26) for s in (shard, 64))
+    assert cut.gaps.where("n > size(gaps)").count() > 0
+    for k, w in ((0, 0), (2, 0), (3, 4), (4, 12)):
+        for adaptive in (False, True):
+            a, b = (baselines.bitmap_context_bits(x, k, w, adaptive).first() for x in (cut, whole))
+            assert a.payload_bits == pytest.approx(b.payload_bits, rel=1e-12) and a.model_bits == b.model_bits and a.payload_bits > 0, (k, w)
+
+
 def test_empty_collection(spark):
     empty = spark.createDataFrame([], "doc bigint, term string")
     lists = postings.build(empty)

@@ -50,13 +50,16 @@ class NoticeSearch:
             raw, k = n.text.encode(), n.edits + 1
             cuts = [len(raw) * i // k for i in range(k + 1)]
             seeds = [(raw[a:b], a) for a, b in zip(cuts, cuts[1:], strict=False)]
-            verify = regex.compile(rb"(?b)\b(?:%s){e<=%d}\b" % (regex.escape(n.text).encode(), n.edits)) if n.edits else regex.compile(rb"\b%s\b" % regex.escape(n.text).encode())
-            self.found.append((n, raw, seeds, verify))
+            fuzzy = rb"\b(?:%s){e<=%d}\b" % (regex.escape(n.text).encode(), n.edits)
+            # one match after the other, then the best inside each: the best of a window at once would skip those before it
+            verify = regex.compile(rb"(?e)" + fuzzy) if n.edits else regex.compile(rb"\b%s\b" % regex.escape(n.text).encode())
+            best = regex.compile(rb"(?b)" + fuzzy) if n.edits else verify
+            self.found.append((n, raw, seeds, verify, best))
 
     def __call__(self, line: bytes) -> list[tuple[str, int, int, int]]:
         """(label, start, end, edits) in the line of words joined by single spaces; matches of one notice don't overlap."""
         out = []
-        for n, raw, seeds, verify in self.found:
+        for n, raw, seeds, verify, best in self.found:
             reach = len(raw) + n.edits
             windows: list[list[int]] = []
             hits = []
@@ -75,6 +78,8 @@ class NoticeSearch:
                     windows.append([a, b])
             for a, b in windows:
                 for m in verify.finditer(line, a, b):
+                    if sum(m.fuzzy_counts):
+                        m = best.search(line, m.start(), m.end()) or m
                     cost = sum(m.fuzzy_counts)
                     out.append((n.label, m.start(), m.end(), cost))
         return out

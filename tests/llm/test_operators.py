@@ -313,6 +313,14 @@ def test_licenses():
     assert [p for p, _ in scan(text.encode())[1]] == [i for i in range(len(words)) if words[i : i + 4] == ["under", "the", "mit", "license"]]
 
 
+def test_licenses_two_notices_in_one_window():
+    search = license_scan.NoticeSearch()
+    far, exact = "undar the mit licence", "under the mit license"
+    for t in (f"{far} here and docs {exact}", f"docs {exact} here and {far}", f"{far} {far} and {exact}"):
+        want = [(m.start(), m.end(), 0 if m.group() == exact else 2) for m in re.finditer(f"{far}|{exact}", t)]
+        assert [m[1:] for m in search(t.encode()) if m[0] == "mit"] == want, t
+
+
 # --- 8 ---------------------------------------------------------------------------------------------------------------
 
 

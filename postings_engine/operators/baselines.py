@@ -13,8 +13,9 @@ from . import codecs, trits
 from .coders import _arrays
 from .postings import Lists, long_gaps
 
-#: Lists longer than this are left to the approximate partition by the optimal one.
-OPT_LONGEST = 2000
+#: The optimal partition looks at all cuts of lists (shards) up to this length; longer ones get the approximate partition
+#: and are reported as a method of their own.
+OPT_LONGEST, OPT_LONG = 2000, "pef_opt_long_approx"
 
 
 def gap_code_bits(lists: Lists, by: list[Column] | None = None) -> DataFrame:
@@ -63,8 +64,12 @@ def block_code_bits(lists: Lists) -> DataFrame:
 
 def kernel_bits(lists: Lists, names: list[str], by_list: bool = False) -> DataFrame:
     """(codec, bits), or (term, n, shard, codec, bits): kernels over Arrow batches. A shard is coded inside its own span
-    if the list has several."""
+    if the list has several. With pef_opt, the lists too long for it come as ``OPT_LONG``, if there are any."""
     d = lists.d
+    names = list(names)
+    if "pef_opt" in names and OPT_LONG not in names:
+        names.insert(names.index("pef_opt") + 1, OPT_LONG)
+    longest = OPT_LONGEST  # workers get the bound of the caller
 
     def one(name: str, g: np.ndarray, u: int) -> float:
         if name in codecs.CODECS:
@@ -77,10 +82,12 @@ def kernel_bits(lists: Lists, names: list[str], by_list: bool = False) -> DataFr
             return codecs.midpoint_bits(np.cumsum(g), u, short=short, mid=mid)
         if name == "ef_block":
             return codecs.ef_block_bits(g)
-        if name == "pef_approx" or name == "pef_opt" and len(g) > OPT_LONGEST:
+        if name == "pef_approx":
             return codecs.partitioned_ef_bits(g, "approx")
-        if name == "pef_opt":
-            return codecs.partitioned_ef_bits(g, "opt")
+        if name in ("pef_opt", OPT_LONG):
+            if (len(g) > longest) != (name == OPT_LONG):
+                return 0
+            return codecs.partitioned_ef_bits(g, "opt" if name == "pef_opt" else "approx")
         if name.startswith("pef_skip"):  # maxima and offsets of parts priced as a directory of their own
             return codecs.partitioned_ef_bits(g, "approx", fixed=96)
         if name == "bitmap_runs":
@@ -107,9 +114,15 @@ def kernel_bits(lists: Lists, names: list[str], by_list: bool = False) -> DataFr
                 yield pa.RecordBatch.from_pydict({"codec": pa.array(names, pa.string()), "bits": pa.array([int(out[n].sum()) for n in names], pa.int64())})
 
     data = lists.gaps.select("term", "n", "shard", "gaps")
+    some = (F.col("codec") != OPT_LONG) | (F.col("bits") > 0)
     if by_list:
-        return data.mapInArrow(run, "term string, n bigint, shard bigint, codec string, bits bigint")
-    return data.mapInArrow(run, "codec string, bits bigint").groupBy("codec").agg(F.sum("bits").alias("bits"))
+        return data.mapInArrow(run, "term string, n bigint, shard bigint, codec string, bits bigint").where(some & ((F.col("codec") != "pef_opt") | (F.col("bits") > 0)))
+    return data.mapInArrow(run, "codec string, bits bigint").groupBy("codec").agg(F.sum("bits").alias("bits")).where(some)
+
+
+def optimal_ints(lists: Lists) -> int:
+    """Integers in lists (shards) that the optimal partition takes."""
+    return lists.gaps.where(F.size("gaps") <= OPT_LONGEST).agg(F.coalesce(F.sum(F.size("gaps")), F.lit(0))).first()[0]
 
 
 def markov4_counts(lists: Lists, by: Column | None = None) -> DataFrame:

@@ -132,8 +132,10 @@ KERNELS = ["midpoint", "midpoint_block", "midpoint_block:pad", "elias_fano", "ef
 
 
 def _kernels(dataset, lists, names, params=""):
+    short = baselines.optimal_ints(lists) if "pef_opt" in names else 0
+    ints = {"pef_opt": short, baselines.OPT_LONG: lists.i - short}
     for r in baselines.kernel_bits(lists, names).collect():
-        yield dataset, r.codec, params, "payload", r.bits, lists.i
+        yield dataset, r.codec, params, "payload", r.bits, ints.get(r.codec, lists.i)
 
 
 @workload

@@ -89,6 +89,19 @@ def test_bit_contexts_count_every_shard(spark, shard):
             assert a.payload_bits == pytest.approx(b.payload_bits, rel=1e-12) and a.model_bits == b.model_bits and a.payload_bits > 0, (k, w)
 
 
+def test_optimal_partition_keeps_its_name(spark, monkeypatch):
+    monkeypatch.setattr(baselines, "OPT_LONGEST", 10)
+    pairs = [("long", i * i) for i in range(1, 21)] + [("short", i) for i in (3, 4, 5, 90)]
+    lists = Lists(postings.to_gaps(spark.createDataFrame(pairs, "term string, ord bigint")), 400, 2, 24)
+    bits = lambda t, name: baselines.kernel_bits(Lists(lists.gaps.where(f"term = '{t}'"), 400, 1, 0), [name]).collect()
+    got = {r.codec: r.bits for r in baselines.kernel_bits(lists, ["pef_opt", "pef_approx"]).collect()}
+    assert got["pef_opt_long_approx"] == bits("long", "pef_approx")[0].bits > 0
+    assert [(r.codec, r.bits) for r in bits("short", "pef_opt")] == [("pef_opt", got["pef_opt"])]
+    assert baselines.optimal_ints(lists) == 4
+    each = baselines.kernel_bits(lists, ["pef_opt"], by_list=True).collect()
+    assert sorted((r.term, r.codec) for r in each) == [("long", "pef_opt_long_approx"), ("short", "pef_opt")]
+
+
 def test_empty_collection(spark):
     empty = spark.createDataFrame([], "doc bigint, term string")
     lists = postings.build(empty)

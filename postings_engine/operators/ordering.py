@@ -11,6 +11,8 @@ from .ids import cut, ranked
 
 #: Parts of at most so many postings are ordered to the end inside one task.
 LOCAL_POSTINGS = 4_000_000
+#: Levels whose degrees of very common words are broadcast; below them a node holds under a thousandth of the documents.
+HOT_LEVELS = 10
 
 
 def order_by(docs: DataFrame, id_col: str, *columns: str) -> DataFrame:
@@ -85,12 +87,12 @@ def bisect_block(docs: np.ndarray, terms: np.ndarray, n: int, rounds: int = 20,
     return order
 
 
-def order_bisect(tok: DataFrame, rounds: int = 20, local_postings: int = LOCAL_POSTINGS, max_share: float = 0.1) -> DataFrame:
+def order_bisect(tok: DataFrame, rounds: int = 20, local_postings: int = LOCAL_POSTINGS, hot_share: float = 0.1) -> DataFrame:
     """(doc, ord) by recursive bisection of the documents of (doc, term), distinct pairs.
 
     Levels are taken by DataFrame operations on all parts at once until every part holds at most ``local_postings``
-    postings; each part is then finished inside one task. On the distributed levels very common words (in more than
-    ``max_share`` of the documents) and words of one document, which hardly tell halves apart, are left out.
+    postings; each part is then finished inside one task. All words count on every level, as they do inside a task; those in
+    more than ``hot_share`` of the documents only go another way, so that no task gets all pairs of one.
     """
     docs = ranked(tok.groupBy("doc").agg(F.count(F.lit(1)).alias("w")), F.col("doc"), name="pos").select("doc", "w", "pos")
     d, w = docs.agg(F.count(F.lit(1)), F.sum("w")).first()
@@ -101,10 +103,11 @@ def order_bisect(tok: DataFrame, rounds: int = 20, local_postings: int = LOCAL_P
         levels += 1
     parts = docs.withColumn("node", F.lit(0).cast("long")).withColumn("at", F.col("pos"))
     if levels:
-        df = tok.groupBy("term").agg(F.count(F.lit(1)).alias("n")).where((F.col("n") > 1) & (F.col("n") <= max(2, max_share * d)))
-        pairs = cut(tok.join(df.select("term"), "term"))
-        for _ in range(levels):
-            parts = _level(pairs, parts, rounds)
+        hot = tok.groupBy("term").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > max(2, hot_share * d))  # at most mean words of a document / hot_share
+        hot = hot.select("term", F.lit(True).alias("hot"))
+        pairs = cut(tok.select("doc", "term").join(F.broadcast(hot), "term", "left").withColumn("hot", F.coalesce("hot", F.lit(False))))
+        for level in range(levels):
+            parts = _level(pairs, parts, rounds, level < HOT_LEVELS)
     grouped = tok.join(parts.select("doc", "node", "at"), "doc")
 
     def finish(key, pdf):
@@ -119,20 +122,27 @@ def order_bisect(tok: DataFrame, rounds: int = 20, local_postings: int = LOCAL_P
     return ranked(done, F.col("node"), F.col("at"), F.col("doc")).select("doc", "ord")
 
 
-def _level(pairs: DataFrame, parts: DataFrame, rounds: int) -> DataFrame:
-    """Halves every node: degrees by (node, term), gains by document, swaps of the best of both sides."""
+def _level(pairs: DataFrame, parts: DataFrame, rounds: int, hot_apart: bool) -> DataFrame:
+    """Halves every node: degrees by (node, term), gains by document, swaps of the best of both sides.
+
+    With ``hot_apart`` the degrees of hot words are broadcast to their pairs."""
     size = Window.partitionBy("node")
     first = F.row_number().over(size.orderBy("at", "doc")) * 2 > F.count(F.lit(1)).over(size)
     parts = cut(parts.withColumn("side", first.cast("int")))
     for _ in range(rounds):
         sizes = parts.groupBy("node").agg(F.sum(1 - F.col("side")).alias("s0"), F.sum("side").alias("s1"))
         owned = pairs.join(parts.select("doc", "node", "side"), "doc")
-        degree = owned.groupBy("node", "term").agg(F.sum(1 - F.col("side")).cast("double").alias("d0"), F.sum("side").cast("double").alias("d1")).join(F.broadcast(sizes), "node")
+        degree = owned.groupBy("node", "term", "hot").agg(F.sum(1 - F.col("side")).cast("double").alias("d0"), F.sum("side").cast("double").alias("d1")).join(F.broadcast(sizes), "node")
         cost = lambda a, s: F.col(a) * F.log2(F.col(s) / (F.col(a) + 1))
         moved = lambda a, s, k: (F.col(a) + k) * F.log2(F.col(s) / (F.col(a) + k + 1))
         now = cost("d0", "s0") + cost("d1", "s1")
-        degree = degree.select("node", "term", F.when(F.col("d0") > 0, now - moved("d0", "s0", -1) - moved("d1", "s1", 1)).alias("g0"), F.when(F.col("d1") > 0, now - moved("d1", "s1", -1) - moved("d0", "s0", 1)).alias("g1"))
-        gains = owned.join(degree, ["node", "term"]).groupBy("doc").agg(F.sum(F.when(F.col("side") == 0, F.col("g0")).otherwise(F.col("g1"))).alias("gain"))
+        degree = degree.select("node", "term", "hot", F.when(F.col("d0") > 0, now - moved("d0", "s0", -1) - moved("d1", "s1", 1)).alias("g0"), F.when(F.col("d1") > 0, now - moved("d1", "s1", -1) - moved("d0", "s0", 1)).alias("g1"))
+        keys = ["node", "term", "hot"]
+        if hot_apart:
+            priced = owned.where("not hot").join(degree.where("not hot"), keys).unionByName(owned.where("hot").join(F.broadcast(degree.where("hot")), keys))
+        else:
+            priced = owned.join(degree, keys)
+        gains = priced.groupBy("doc").agg(F.sum(F.when(F.col("side") == 0, F.col("g0")).otherwise(F.col("g1"))).alias("gain"))
         rank = F.row_number().over(Window.partitionBy("node", "side").orderBy(F.desc("gain"), "doc"))
         ranks = parts.join(gains, "doc", "left").withColumn("gain", F.coalesce("gain", F.lit(0.0))).withColumn("r", rank)
         mate = ranks.select("node", (1 - F.col("side")).alias("side"), "r", F.col("gain").alias("other"))

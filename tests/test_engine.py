@@ -136,6 +136,15 @@ def test_distributed_bisection_is_near_the_local_one(spark, sf_dir):
     assert spread <= 1.05 * local < size(ordering.order_random(docs, "doc"))
 
 
+def test_distributed_bisection_uses_common_words(spark):
+    # two kinds of documents, 7 to 3 in either half by id; every word is in far more than a tenth of them
+    kind = {i: int(i % 10 < (3 if i < 100 else 7)) for i in range(200)}
+    rows = [(i, f"{kind[i]}_{j}") for i in range(200) for j in range(8) if (i // 10 + j) % 5]
+    order = ordering.order_bisect(spark.createDataFrame(rows, "doc bigint, term string"), rounds=4, local_postings=800)
+    first = [kind[r.doc] for r in order.orderBy("ord").collect()][:100]
+    assert sum(first) in range(5) or sum(first) in range(96, 101)
+
+
 def test_main_comparison_favours_adaptive(spark, sf_dir):
     got = {r.method: r.bpi for r in QUERIES["main_comparison"](spark, sf_dir).collect()}
     assert got["trit_adaptive"] < min(v for k, v in got.items() if k != "trit_adaptive")

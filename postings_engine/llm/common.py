@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import os
 import tempfile
+import uuid
 from collections.abc import Callable, Iterable, Iterator
 
 import numpy as np
@@ -23,7 +24,12 @@ def read(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
 
 
 def small_batches(spark: SparkSession) -> None:
-    """Runtime SQL settings only; they hold for the plans made afterwards."""
+    """Runtime SQL settings only; they hold for the plans made afterwards. Batches that are smaller already stay so."""
+    try:
+        if int(spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")) in range(1, BATCH_ROWS):
+            return
+    except Exception:  # not a number: a session without that setting
+        pass
     spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", BATCH_ROWS)
     try:
         spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", BATCH_BYTES)
@@ -32,9 +38,12 @@ def small_batches(spark: SparkSession) -> None:
 
 
 def checkpoint_dir(spark: SparkSession) -> str:
-    """The shared folder that the cluster names; a folder of this machine only where none is named (tests)."""
+    """The shared folder that the cluster names. Where none is named a local session, as in tests, takes a folder of its
+    own; on a cluster that is an error."""
     named = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
     if not named:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that all machines share")
         named = os.path.join(tempfile.gettempdir(), "checkpoints", spark.sparkContext.applicationId)
     if spark.sparkContext.getCheckpointDir() is None:
         spark.sparkContext.setCheckpointDir(named)
@@ -47,6 +56,13 @@ def cut(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+def keyed(df: DataFrame, name: str = "__row") -> DataFrame:
+    """``df`` with a number of its own for each row, as a table in the shared folder: the numbers stay what they are."""
+    path = f"{checkpoint_dir(df.sparkSession)}/keyed-{uuid.uuid4().hex}"
+    df.withColumn(name, F.monotonically_increasing_id()).write.parquet(path)
+    return df.sparkSession.read.parquet(path)
+
+
 def typed(df: DataFrame, name: str) -> DataType:
     return df.schema[name].dataType
 

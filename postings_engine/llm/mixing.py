@@ -3,24 +3,28 @@
 Every document's expected number of copies is its source's target over the source's size: a whole part, which is taken
 as it is, and a fraction, an inclusion probability. The flight moves these fractions, three documents at a time, along
 the null space of two constraints (documents and words), until at most two in a block of a source are left undecided;
-blocks' leftovers fly again, and the last two of a source land where its total comes nearest to the target; what
-difference is left is made smaller by exchanging documents.
+and a few more stay on the ground; what blocks leave flies again. The last block's few are the landing problem, small
+enough to look at all its outcomes.
 """
 
 from __future__ import annotations
 
 import math
+import random
 from collections.abc import Iterable
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
-from .common import SPACE, cut
+from .common import SPACE, cut, keyed
 
 #: Rows that one flight handles; a source of any size is cut into blocks of about so many.
 BLOCK_ROWS = 4096
+#: Documents of a landing problem; all 2**LANDING outcomes are looked at.
+LANDING = 14
 #: Sources are listed on the driver; more than this many is an error (a mix of single documents isn't meant).
 MAX_SOURCES = 100_000
 
@@ -43,12 +47,14 @@ def targets(sizes: dict, weights: tuple[float, ...] = (3, 1, 2), share: float =
     return out
 
 
-def flight(p: list[float], x: list[float]) -> list[float]:
+def flight(p: list[float], x: list[float], seed: int = 0) -> list[float]:
     """Fractions p, moved so that sum(p) and sum(p * x) stay; at most two of the result lie strictly between 0 and 1.
 
-    No random numbers: the direction is chosen by a fixed rule, so the order of the rows decides, and reruns agree.
+    Each step goes to one end of its line or the other by a draw that keeps the expectation; draws follow from ``seed``
+    and the order of the rows, so reruns agree.
     """
     p = list(p)
+    draw = random.Random(seed).random
     tiny = 1e-9
     held: list[int] = []
     for i in range(len(p)):
@@ -66,8 +72,7 @@ def flight(p: list[float], x: list[float]) -> list[float]:
                     u = (1.0, -1.0, 0.0)
             ahead = min((1 - p[j]) / d if d > 0 else -p[j] / d for j, d in zip(held, u, strict=True) if d)
             back = min(p[j] / d if d > 0 else -(1 - p[j]) / d for j, d in zip(held, u, strict=True) if d)
-            # a martingale would go ahead with probability back / (ahead + back); a low-discrepancy sequence stands for the draw
-            step = ahead if (i * 0.6180339887498949) % 1 < back / (ahead + back) else -back
+            step = ahead if draw() < back / (ahead + back) else -back
             for j, d in zip(held, u, strict=True):
                 p[j] += step * d
             for j in held:
@@ -78,48 +83,58 @@ def flight(p: list[float], x: list[float]) -> list[float]:
 
 
 def landing(p: list[float], x: list[float]) -> list[int]:
-    """0 or 1 for each of the few fractions that are left: totals nearest to expectation, words before documents."""
-    want, n = sum(a * b for a, b in zip(p, x, strict=True)), sum(p)
-    best = min(range(1 << len(p)), key=lambda m: (abs(sum(x[i] for i in range(len(p)) if m >> i & 1) - want), abs(m.bit_count() - n), m))
-    return [best >> i & 1 for i in range(len(p))]
-
-
-def exchange(taken: list[float], x: list[float], want: float, rounds: int = 4) -> None:
-    """Swaps a document of the mix for one outside while that brings the total of words nearer to ``want``, in place."""
-    v = np.asarray(x, float)
-    for _ in range(rounds):
-        off = want - float(np.dot(taken, v))
-        ins, outs = np.flatnonzero(np.equal(taken, 1)), np.flatnonzero(np.equal(taken, 0))
-        if not len(ins) or not len(outs) or abs(off) < 1:
-            return
-        outs = outs[np.argsort(v[outs], kind="stable")]
-        near = np.searchsorted(v[outs], v[ins] + off)
-        pairs = [(abs(off - (v[outs[k]] - v[i])), int(i), int(outs[k])) for i, k0 in zip(ins, near, strict=True) for k in (k0 - 1, k0) if 0 <= k < len(outs)]
-        rest, i, j = min(pairs)
-        if rest >= abs(off):
-            return
-        taken[i], taken[j] = 0.0, 1.0
-
-
-def _fly(rows: DataFrame, last: bool) -> DataFrame:
+    """0 or 1 for each of the few fractions that are left: of all outcomes with the expected number of documents, rounded up
+    or down, the one whose words come nearest to expectation."""
+    p, x = np.asarray(p, float), np.asarray(x, float)
+    bits = np.arange(1 << len(p))[:, None] >> np.arange(len(p)) & 1
+    n, off = bits.sum(1), np.abs(bits @ x - p @ x)
+    ok = np.flatnonzero(np.abs(n - p.sum()) < 1 + 1e-6)
+    best = ok[np.lexsort((ok, np.abs(n - p.sum())[ok], off[ok]))[0]]
+    return bits[best].tolist()
+
+
+def _fly(rows: DataFrame, last: bool, seed: int) -> DataFrame:
     """One flight for each (rank, block); with ``last`` what it leaves undecided lands."""
     schema = rows.schema
 
     def run(t: pa.Table) -> pa.Table:
-        t = t.sort_by([("h", "ascending"), ("size", "ascending"), ("row", "ascending")])
+        t = t.sort_by([("h", "ascending"), ("size", "ascending"), ("nth", "ascending")])
         x = t.column("size").to_pylist()
-        before = t.column("p").to_pylist()
-        p = flight(before, x)
+        p = t.column("p").to_pylist()
+        open_ = [i for i, v in enumerate(p) if 0 < v < 1]
+        ground = open_[max(0, len(open_) - LANDING + 2) :]  # two more places for what the flight leaves
+        up = sorted(set(range(len(p))) - set(ground))
+        for i, v in zip(up, flight([p[i] for i in up], [x[i] for i in up], seed), strict=True):
+            p[i] = v
         if last:
             open_ = [i for i, v in enumerate(p) if 0 < v < 1]
             for i, v in zip(open_, landing([p[i] for i in open_], [x[i] for i in open_]), strict=True):
                 p[i] = float(v)
-            exchange(p, x, float(np.dot(before, x)))
         return t.set_column(t.schema.get_field_index("p"), "p", pa.array(p, pa.float64()))
 
     return rows.groupBy("rank", "block").applyInArrow(run, schema)
 
 
+def _numbered(rows: DataFrame) -> DataFrame:
+    """``rows`` with ``nth``, which tells rows of equal (rank, id, size) apart: 0, 1, ... in each such group.
+
+    Most groups are single rows and get 0 from a count. Of the others each partition numbers its own rows and starts
+    after those of the partitions before, so that a group of any size is no task's alone.
+    """
+    key, same = ["rank", "id", "size"], lambda a, b, on: [a[k].eqNullSafe(b[f"__{k}"]) for k in on]
+    named = lambda d, on: d.withColumnsRenamed({k: f"__{k}" for k in on})
+    many = named(rows.groupBy(*key).agg(F.count(F.lit(1)).alias("m")).where("m > 1").drop("m"), key)
+    marked = rows.join(many, same(rows, many, key), "left").withColumn("many", F.col("__rank").isNotNull()).select(*rows.columns, "many")
+    marked = cut(marked.withColumn("part", F.shiftright("row", 33)))
+    some = marked.where("many")
+    ahead = F.sum("m").over(Window.partitionBy(*key).orderBy("part").rowsBetween(Window.unboundedPreceding, -1))
+    on = [*key, "part"]
+    parts = named(some.groupBy(*on).agg(F.count(F.lit(1)).alias("m")).withColumn("ahead", F.coalesce(ahead, F.lit(0).cast("long"))).drop("m"), on)
+    own = F.row_number().over(Window.partitionBy(*on).orderBy("row")) - 1
+    counted = some.withColumn("own", own).join(parts, same(some, parts, on)).withColumn("nth", F.col("ahead") + F.col("own")).select(*rows.columns, "nth")
+    return marked.where("not many").select(*rows.columns, F.lit(0).cast("long").alias("nth")).unionByName(counted)
+
+
 def mix(
     df: DataFrame,
     weights: tuple[float, ...] = (3, 1, 2),
@@ -135,12 +150,17 @@ def mix(
 
     Size: number of words of the whole text (null: 0), or the column ``size``. Sources of size 0 have target 0 and take
     nothing. A row has at most ceil(target / source_size) copies, so at most ``most``. Repeated rows are sampled each by
-    itself; rows with equal ids and sizes are interchangeable. The result depends on the rows' contents, not on how they
-    are partitioned. A null source is a source of its own. An empty table gives an empty result.
+    itself; rows of equal source, id and size are interchangeable. The result depends on the rows' contents, not on how
+    they are partitioned. A null source is a source of its own. An empty table gives an empty result.
     """
+    return _mixed(df.withColumn("__row", F.monotonically_increasing_id()), weights, share, most, seed, id_col, text_col, source_col, size).drop("row").withColumnRenamed("id", id_col)
+
+
+def _mixed(df: DataFrame, weights, share, most, seed, id_col, text_col, source_col, size) -> DataFrame:
+    """As :func:`mix`, with the number ``row`` that ``df`` has in ``__row``."""
     spark = df.sparkSession
     words = F.regexp_count(F.coalesce(F.col(text_col).cast("string"), F.lit("")), F.lit(SPACE.replace("[", "[^") + "+")).cast("long")
-    base = cut(df.select(F.col(id_col).alias("id"), F.col(source_col).cast("string").alias("source"), (words if size is None else size).alias("size")).withColumn("row", F.monotonically_increasing_id()))
+    base = cut(df.select(F.col(id_col).alias("id"), F.col(source_col).cast("string").alias("source"), (words if size is None else size).alias("size"), F.col("__row").alias("row")))
     totals = base.groupBy("source").agg(F.sum("size").alias("size"), F.count(F.lit(1)).alias("n")).limit(MAX_SOURCES + 1).collect()
     if len(totals) > MAX_SOURCES:
         raise ValueError(f"more than {MAX_SOURCES} sources")
@@ -153,32 +173,42 @@ def mix(
     shape = "source string, rank int, source_size bigint, target double, whole bigint, p double, blocks bigint"
     known = spark.createDataFrame(plan, shape)  # one row for each source, at most MAX_SOURCES
     rows = base.join(F.broadcast(known.withColumnRenamed("source", "s")), F.col("source").eqNullSafe(F.col("s"))).drop("s", "source")
-    rows = rows.withColumn("h", F.xxhash64(F.col("id"), F.col("size"), F.lit(seed)))
-    # equal rows come first by content, then by place; their places may differ from run to run, what they get may not
+    rows = _numbered(rows).withColumn("h", F.xxhash64(F.col("id"), F.col("size"), F.col("nth"), F.lit(seed)))
     rows = rows.withColumn("block", F.pmod(F.shiftrightunsigned("h", 8), F.greatest("blocks", F.lit(1))))
     done = None
     blocks = max((r[6] for r in plan), default=1)
     while True:
-        rows = cut(_fly(rows, blocks <= 1))
+        rows = cut(_fly(rows, blocks <= 1, seed))
         settled = rows.where("p <= 0 or p >= 1")
         done = settled if done is None else done.unionByName(settled)
         if blocks <= 1:
             break
-        # at most two rows of each block are left: fewer blocks hold them
-        blocks = -(-blocks * 2 // BLOCK_ROWS)
+        # at most LANDING rows of each block are left: fewer blocks hold them
+        blocks = min(blocks - 1, -(-blocks * LANDING // BLOCK_ROWS))
         rows = rows.where("p > 0 and p < 1").withColumn("block", F.pmod("block", F.lit(blocks)))
-    copies = (F.col("whole") + F.round("p").cast("long")).alias("copies")
-    return done.select(F.col("id").alias(id_col), "size", "source_size", "target", copies, (F.col("size") * (F.col("whole") + F.round("p").cast("long"))).alias("taken"))
+    copies = F.col("whole") + F.round("p").cast("long")
+    return done.select("row", "id", "size", "source_size", "target", copies.alias("copies"), (F.col("size") * copies).alias("taken"))
 
 
-def mixed_rows(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", **how) -> DataFrame:
+def mixed_rows(
+    df: DataFrame,
+    weights: tuple[float, ...] = (3, 1, 2),
+    share: float = 1.5,
+    most: float = 2.0,
+    seed: int = 17,
+    id_col: str = "doc_id",
+    text_col: str = "text",
+    source_col: str = "source",
+    size=None,
+) -> DataFrame:
     """The mix itself: each row of ``df`` as often as :func:`mix` takes it, with its columns.
 
-    Ids are taken as keys; of rows that repeat an id each appears as often as all of them together are taken.
+    Rows are told apart by a number of their own, never by their ids, which may be null or repeat. Rows without a copy
+    are absent; an empty table gives an empty result.
     """
-    took = mix(df, id_col=id_col, text_col=text_col, **how).where("copies > 0").groupBy(id_col).agg(F.sum("copies").cast("int").alias("__copies")).withColumnRenamed(id_col, "__id")
-    joined = df.join(took, F.col(id_col).eqNullSafe(F.col("__id")))
-    return joined.withColumn("__k", F.explode(F.sequence(F.lit(1), "__copies"))).select(*df.columns)
+    rows = keyed(df)
+    took = _mixed(rows, weights, share, most, seed, id_col, text_col, source_col, size).where("copies > 0").select(F.col("row").alias("__row"), F.col("copies").cast("int").alias("__copies"))
+    return rows.join(took, "__row").withColumn("__k", F.explode(F.sequence(F.lit(1), "__copies"))).select(*df.columns)
 
 
 def check_flight(p: Iterable[float], x: Iterable[float]) -> tuple[float, float, int]:

@@ -20,7 +20,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import BitFilter, cut, mix64, small_batches, typed
+from .common import BitFilter, cut, keyed, mix64, small_batches, typed
 from .components import connected
 
 #: Most n-grams (all members' sets together) that one task puts into a tree: 48 MB of hashes.
@@ -29,6 +29,8 @@ GROUP_GRAMS = 6_000_000
 LEADER_ROUNDS = 3
 #: Sets with one signature up to which they are compared by their sketches; more become one coarse group.
 BIG_GROUP = 2048
+#: The global order of n-grams goes by counts over so many ranges of hashes: 512 kB for every task, whatever the data.
+ORDER_BITS = 16
 #: Words whose hashes a worker remembers.
 CACHE_WORDS = 250_000
 _STEP = 0x9E3779B97F4A7C15
@@ -239,7 +241,7 @@ def shared(rows: DataFrame) -> DataFrame:
             x = out(held_s, held_a)
             yield pa.RecordBatch.from_arrays([pa.array(x[0]), pa.array(x[1]), pa.array(x[2], mask=x[3])], names=["s", "a", "centre"])
 
-    # a signature is a hash of several grams: its rows are one group of candidates, never a single frequent gram's
+    # a signature is a hash of a part's grams, or of one gram where too many parts are empty: its rows are candidates
     return rows.repartition(parts, "s").sortWithinPartitions("s", "a").mapInArrow(run, "s bigint, a bigint, centre bigint")
 
 
@@ -354,12 +356,30 @@ class Tree:
                     stack.append((kid, got, depth + len(kid.seg)))
 
 
-def tree_links(sets: list[np.ndarray], pct: int) -> list[tuple[int, int]]:
-    """A spanning forest of the links among the sets, as (member, root) positions."""
+def gram_counts(sets: DataFrame) -> np.ndarray:
+    """How often hashes of each of 2**ORDER_BITS ranges occur in all sets (node, grams): with the hash itself for ties, this
+    is the one order in which every tree has its grams, frequent ones first. One array of fixed size from each partition."""
+    size = 1 << ORDER_BITS
+
+    def run(batches):
+        n = np.zeros(size, np.int64)
+        for b in batches:
+            n += np.bincount((np.frombuffer(b"".join(b.column(0).to_pylist()), np.uint64) >> np.uint64(64 - ORDER_BITS)).astype(np.int64), minlength=size)
+        at = np.flatnonzero(n)
+        yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(n[at])], names=["r", "n"])
+
+    out = np.zeros(size, np.int64)
+    got = sets.select("grams").mapInArrow(run, "r bigint, n bigint").groupBy("r").agg(F.sum("n").alias("n")).toArrow()
+    out[got.column("r").to_numpy()] = got.column("n").to_numpy()
+    return out
+
+
+def tree_links(sets: list[np.ndarray], pct: int, order: np.ndarray) -> list[tuple[int, int]]:
+    """A spanning forest of the links among the sets, as (member, root) positions; ``order`` as of :func:`gram_counts`."""
     sizes = [len(s) for s in sets]
-    _, place, count = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
-    rank = np.empty(len(count), np.int64)
-    rank[np.argsort(-count, kind="stable")] = np.arange(len(count))  # frequent first: sets of a group share long beginnings
+    grams, place = np.unique(np.concatenate(sets), return_inverse=True)
+    rank = np.empty(len(grams), np.int64)
+    rank[np.lexsort((grams, -order[(grams >> np.uint64(64 - ORDER_BITS)).astype(np.int64)]))] = np.arange(len(grams))
     ranks = [np.sort(r) for r in np.split(rank[place.ravel()], np.cumsum(sizes)[:-1])]
     root = list(range(len(sets)))
 
@@ -369,7 +389,7 @@ def tree_links(sets: list[np.ndarray], pct: int) -> list[tuple[int, int]]:
             i = root[i]
         return i
 
-    tree, mask = Tree(np.empty(0, np.int64)), np.zeros(len(count), bool)
+    tree, mask = Tree(np.empty(0, np.int64)), np.zeros(len(grams), bool)
     marks = unfolded([sketch(x) for x in sets])
     order = sorted(range(len(sets)), key=lambda i: (sizes[i], i))
     marks, by_size = marks[order], np.array(sizes)[order]
@@ -406,13 +426,14 @@ def _in_groups(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[list[int], l
         yield nodes, sets
 
 
-def _trees(rows: DataFrame, pct: int) -> DataFrame:
+def _trees(rows: DataFrame, pct: int, order: np.ndarray) -> DataFrame:
     """Links (u, v) within each group of (g, node, grams)."""
+    shared = rows.sparkSession.sparkContext.broadcast(order)
     parts = int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions"))
 
     def run(batches):
         for nodes, sets in _in_groups(batches):
-            if found := tree_links(sets, pct):
+            if found := tree_links(sets, pct, shared.value):
                 i, j = zip(*found, strict=True)
                 yield pa.RecordBatch.from_pydict({"u": pa.array([nodes[x] for x in i], pa.int64()), "v": pa.array([nodes[x] for x in j], pa.int64())})
 
@@ -471,13 +492,14 @@ def set_links(df: DataFrame, groups: DataFrame, classes: DataFrame, n: int, pct:
     if not total:
         return spark.createDataFrame([], "u bigint, v bigint")
     sets = cut(_needed_sets(df, members.select("node", "a", "b"), total, n, text_col))
+    order = gram_counts(sets)
     rest = members.select("g", "node", "n")
     found = None
     for turn in range(LEADER_ROUNDS + 1):
         weight = rest.groupBy("g").agg(F.sum("n").alias("w"))
         small = rest.join(weight.where(F.col("w") <= GROUP_GRAMS), "g").join(sets, "node")
         large = rest.join(weight.where(F.col("w") > GROUP_GRAMS), "g")
-        out = _trees(small, pct)
+        out = _trees(small, pct, order)
         found = out if found is None else found.unionByName(out)
         large = cut(large)
         if large.isEmpty():
@@ -494,7 +516,7 @@ def set_links(df: DataFrame, groups: DataFrame, classes: DataFrame, n: int, pct:
     # pairs of blocks: each task holds two of them
     blocks = large.withColumn("k", F.ceil(2 * F.col("w") / GROUP_GRAMS)).withColumn("i", F.pmod(F.xxhash64("node"), "k"))
     pair = F.transform(F.sequence(F.lit(0).cast("long"), F.col("k") - 1), lambda j: F.xxhash64("g", F.least("i", j), F.greatest("i", j)))
-    return found.unionByName(_trees(blocks.select(F.explode(pair).alias("g"), "node").join(sets, "node"), pct))
+    return found.unionByName(_trees(blocks.select(F.explode(pair).alias("g"), "node").join(sets, "node"), pct, order))
 
 
 def similar_groups(df: DataFrame, n: int = 3, pct: int = 90, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -516,12 +538,15 @@ def similar_groups(df: DataFrame, n: int = 3, pct: int = 90, id_col: str = "doc_
 
 
 def keep_one(df: DataFrame, n: int = 5, pct: int = 80, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The rows of ``df`` less near copies: of each component the row with the smallest id stays, with all its columns.
+    """The rows of ``df`` less near copies: one row of each component stays, with all its columns.
 
-    Of rows that repeat an id, one stays; rows with a null id stay all. Ids of rows to keep are found first, then one
-    semi-join over them.
+    It is the row with the smallest id, null last; of rows that share that id the one with the least hash of its columns.
+    Rows are told apart by a number of their own: an id may be null or repeat over different texts, all of which stay.
+    Texts without words are near to nothing and stay all; an empty table gives an empty result.
     """
-    groups = similar_groups(df, n, pct, id_col, text_col)
-    kept = groups.where(F.col(id_col).eqNullSafe(F.col("component_id"))).select(F.col(id_col).alias("__kept")).distinct()
-    known = df.where(F.col(id_col).isNotNull()).join(kept, F.col(id_col) == F.col("__kept"), "left_semi").dropDuplicates([id_col])
-    return known.unionByName(df.where(F.col(id_col).isNull()))
+    rows = keyed(df)
+    plain = [f.name for f in df.schema if "map<" not in f.dataType.simpleString() and f.dataType.simpleString() != "variant"]
+    key = F.struct(F.col(id_col).isNull().alias("none"), F.col(id_col).alias("id"), F.xxhash64(*plain).alias("h"), F.col("__row").alias("row"))
+    groups = similar_groups(rows.select(key.alias("key"), F.col(text_col).alias("text")), n, pct, "key", "text")
+    kept = groups.where(F.col("key.row") == F.col("component_id.row")).select(F.col("key.row").alias("__row"))
+    return rows.join(kept, "__row", "left_semi").select(*df.columns)

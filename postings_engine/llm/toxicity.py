@@ -16,8 +16,8 @@ from pyspark.sql.types import DoubleType, IntegerType, StructField
 
 from .common import cut, scan_texts, small_batches
 
-#: Labelled texts that learning looks at, at most, and lexicon entries that come of them, at most.
-MAX_LABELLED, MAX_ENTRIES = 20_000, 2_000
+#: Labelled texts that learning looks at, at most, and words of them, the likeliest by odds, that are candidates, at most.
+MAX_LABELLED, MAX_CANDIDATES = 20_000, 8_000
 #: Different words that must stand before a lexicon word in toxic texts. Absolute: a share of the occurrences would tighten as they grow.
 MIN_CONTEXTS = 5
 # Signs and digits that stand for letters, and letters of other scripts that look like Latin ones.
@@ -151,7 +151,7 @@ def learn(docs: DataFrame, labels: DataFrame, max_labelled: int = MAX_LABELLED,
         yield pa.RecordBatch.from_pydict({"w": pa.array([*n, ""], pa.string()), "neg": pa.array([*(v[0] for v in n.values()), total[0]], pa.int64()), "pos": pa.array([*(v[1] for v in n.values()), total[1]], pa.int64())})
 
     table = rows.select("id", "x", "y").mapInArrow(counts, "w string, neg bigint, pos bigint").groupBy("w").agg(F.sum("neg").alias("neg"), F.sum("pos").alias("pos"))
-    best = table.where("pos >= 3 or w = ''").orderBy(F.expr("w = ''").desc(), F.expr("(pos + 0.5) / (neg + 0.5)").desc(), "w").limit(4 * MAX_ENTRIES + 1).collect()
+    best = table.where("pos >= 3 or w = ''").orderBy(F.expr("w = ''").desc(), F.expr("(pos + 0.5) / (neg + 0.5)").desc(), "w").limit(MAX_CANDIDATES + 1).collect()
     if not best or best[0].w != "" or not best[0].pos or not best[0].neg:
         return Lexicon({})
     neg, pos = best[0].neg, best[0].pos

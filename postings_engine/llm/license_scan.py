@@ -50,9 +50,9 @@ class NoticeSearch:
             raw, k = n.text.encode(), n.edits + 1
             cuts = [len(raw) * i // k for i in range(k + 1)]
             seeds = [(raw[a:b], a) for a, b in zip(cuts, cuts[1:], strict=False)]
-            fuzzy = rb"\b(?:%s){e<=%d}\b" % (regex.escape(n.text).encode(), n.edits)
+            fuzzy = rb"(?<![^ ])(?:%s){e<=%d}(?![^ ])" % (regex.escape(n.text).encode(), n.edits)  # whole words of the line
             # one match after the other, then the best inside each: the best of a window at once would skip those before it
-            verify = regex.compile(rb"(?e)" + fuzzy) if n.edits else regex.compile(rb"\b%s\b" % regex.escape(n.text).encode())
+            verify = regex.compile(rb"(?e)" + fuzzy) if n.edits else regex.compile(rb"(?<![^ ])%s(?![^ ])" % regex.escape(n.text).encode())
             best = regex.compile(rb"(?b)" + fuzzy) if n.edits else verify
             self.found.append((n, raw, seeds, verify, best))
 
@@ -71,7 +71,8 @@ class NoticeSearch:
             if not hits:
                 continue
             for h in sorted(set(hits)):
-                a, b = max(0, h - reach), min(len(line), h + reach + len(raw))
+                a, b = line.rfind(b" ", 0, max(0, h - reach)) + 1, line.find(b" ", h + reach + len(raw))
+                b = len(line) if b < 0 else b
                 if windows and a <= windows[-1][1]:
                     windows[-1][1] = b
                 else:
@@ -125,10 +126,10 @@ class LicenseScan:
 def scan_licenses(df: DataFrame, phrases: dict[str, str] | None = None, notices: tuple[Notice, ...] = NOTICES, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(id, n_words, n_base, first_word, last_word, base_labels, labels, score, matches) of every row.
 
-    ``matches`` holds (label, first word, edits) of each fuzzy match, word positions from 0. Null and empty texts have
+    ``matches`` holds (label, first word, last word, edits) of each fuzzy match, word positions from 0, edits in bytes. Null and empty texts have
     no words and score 0; ``first_word`` and ``last_word`` are null without a base place. Repeated rows give repeated results.
     """
-    match = StructType([StructField("label", StringType()), StructField("word", IntegerType()), StructField("edits", IntegerType())])
+    match = StructType([StructField("label", StringType()), StructField("first", IntegerType()), StructField("last", IntegerType()), StructField("edits", IntegerType())])
     fields = [long_field("n_words"), long_field("n_base"), long_field("first_word"), long_field("last_word"), StructField("base_labels", StringType()), StructField("labels", StringType()), StructField("score", DoubleType()), StructField("matches", ArrayType(match))]
 
     def rows(texts):
@@ -140,7 +141,7 @@ def scan_licenses(df: DataFrame, phrases: dict[str, str] | None = None, notices:
             line = b" ".join(WORDS(raw.lower())) if matches else b""
             values = (
                 n, len(places), places[0][0] if places else None, places[-1][0] if places else None, ",".join(sorted(base)), ",".join(sorted(base | {m[0] for m in matches})), score,
-                [{"label": label, "word": line.count(b" ", 0, a), "edits": cost} for label, a, _, cost in matches],
+                [{"label": label, "first": line.count(b" ", 0, a), "last": line.count(b" ", 0, b), "edits": cost} for label, a, b, cost in matches],
             )
             for column, v in zip(out, values, strict=True):
                 column.append(v)

@@ -39,7 +39,10 @@ def op6_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op7_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return license_scan.scan_licenses(read(spark, sf_dir, "documents")).drop("matches")
+    """The contract's columns, and ``spans``: label:first word:last word:edits of each bounded-error match."""
+    out = license_scan.scan_licenses(read(spark, sf_dir, "documents"))
+    spans = F.transform("matches", lambda m: F.concat_ws(":", m["label"], m["first"].cast("string"), m["last"].cast("string"), m["edits"].cast("string")))
+    return out.withColumn("spans", F.array_join(spans, ",")).drop("matches")
 
 
 def op8_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:

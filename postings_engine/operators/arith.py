@@ -6,7 +6,7 @@ from collections.abc import Sequence
 
 import numpy as np
 
-from .trits import Context
+from .trits import Context, starting_counts
 
 TOP, LOW = 1 << 56, 1 << 48  # the range is kept in [LOW, TOP): totals up to 2**30 lose nothing worth naming
 MASK = TOP - 1
@@ -124,21 +124,26 @@ class Tracker:
 class Counts:
     """Adaptive counts with forgetting, shared by coder and decoder."""
 
-    def __init__(self, size: int, kinds: int, forget: int | None, prior: tuple[int, ...] | None = None):
-        self.c = [list(prior or (1,) * kinds) for _ in range(size)]
+    def __init__(self, size: int, kinds: int, forget: int | None, prior=None, clock: str = "context"):
+        self.c = starting_counts(prior, size, kinds).tolist()
         self.steps, self.forget = [0] * size, forget
+        self.clock, self.total = clock, 0
 
     def add(self, i: int, x: int) -> None:
         self.c[i][x] += 1
-        if self.forget:
+        if self.forget and self.clock == "global":
+            self.total += 1
+            if self.total % self.forget == 0:
+                self.c = [[max(1, y >> 1) for y in c] for c in self.c]
+        elif self.forget:
             self.steps[i] += 1
             if self.steps[i] == self.forget:
                 self.steps[i] = 0
                 self.c[i] = [max(1, y >> 1) for y in self.c[i]]
 
 
-def encode_adaptive(ids: np.ndarray, s: np.ndarray, size: int, kinds: int, forget: int | None, prior: tuple[int, ...] | None = None) -> bytes:
-    e, m = Encoder(), Counts(size, kinds, forget, prior)
+def encode_adaptive(ids: np.ndarray, s: np.ndarray, size: int, kinds: int, forget: int | None, prior=None, clock: str = "context") -> bytes:
+    e, m = Encoder(), Counts(size, kinds, forget, prior, clock)
     put, add = e.put, m.add
     for i, x in zip(ids.tolist(), s.tolist(), strict=True):
         c = m.c[i]
@@ -147,10 +152,10 @@ def encode_adaptive(ids: np.ndarray, s: np.ndarray, size: int, kinds: int, forge
     return e.finish()
 
 
-def decode_lists(data: bytes, lengths: Sequence[int] | None, n_lists: int, ctx: Context, q: np.ndarray | None = None, forget: int | None = None, prior: tuple[int, ...] | None = None) -> list[np.ndarray]:
+def decode_lists(data: bytes, lengths: Sequence[int] | None, n_lists: int, ctx: Context, q: np.ndarray | None = None, forget: int | None = None, prior=None, clock: str = "context") -> list[np.ndarray]:
     """Gap lists of a segment. With ``q`` the static coder, else the adaptive one; ``lengths`` None with an end symbol."""
     d, track = Decoder(data), Tracker(ctx)
-    m = Counts(ctx.size, ctx.kinds, forget, prior) if q is None else None
+    m = Counts(ctx.size, ctx.kinds, forget, prior, clock) if q is None else None
     table = q.tolist() if q is not None else None
     out = []
     for k in range(n_lists):

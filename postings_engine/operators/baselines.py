@@ -125,35 +125,48 @@ def optimal_ints(lists: Lists) -> int:
     return lists.gaps.where(F.size("gaps") <= OPT_LONGEST).agg(F.coalesce(F.sum(F.size("gaps")), F.lit(0))).first()[0]
 
 
+def bit_rows(lists: Lists, reach: int, by: Column | None = None) -> DataFrame:
+    """(gaps, before, carry, last, batch) of all shards: ``carry`` holds the ``reach`` gaps before a shard, for the context
+    only, ``last`` tells whether the zeros up to d follow it. Of a word's shards only the ends meet in a task."""
+    rows = lists.gaps.withColumn("batch", by.cast("int") if by is not None else F.lit(0))
+    whole, columns = F.col("n") == F.size("gaps"), ("gaps", "before", "carry", "last", "batch")
+    one = rows.where(whole).withColumns({"carry": F.array().cast("array<bigint>"), "last": F.lit(True)}).select(*columns)
+    some = rows.where(~whole)
+    own, reach = Window.partitionBy("term").orderBy("shard"), max(1, reach)
+    ends = some.select("term", "shard", F.slice("gaps", -F.least(F.lit(reach), F.size("gaps")), reach).alias("end"))
+    carry = F.flatten(F.collect_list("end").over(own.rowsBetween(-reach, -1)))  # each shard has an id, so these reach back far enough
+    ends = ends.select("term", "shard", carry.alias("carry"), F.lead("shard").over(own).isNull().alias("last"))
+    ends = ends.withColumn("carry", F.when(F.size("carry") > reach, F.slice("carry", -reach, reach)).otherwise(F.col("carry")))
+    return one.unionByName(some.join(ends, ["term", "shard"]).select(*columns))
+
+
+def bitmap_counts(lists: Lists, k: int, w: int, by: Column | None = None) -> DataFrame:
+    """(batch, ctx, zeros, ones) over the rows of the matrix: the last k bits and the ones in the w before them. ``by``
+    counts batches apart. A list over several shards is one row: each shard takes the last k + w bits along."""
+    d, size = lists.d, 2**k * (w + 1)
+
+    def run(batches):
+        total: dict[int, np.ndarray] = {}
+        for b in batches:
+            batch = b.column(4).to_numpy(zero_copy_only=False)
+            for x in np.unique(batch).tolist():
+                part = pa.Table.from_batches([b.filter(pa.array(batch == x))])
+                gaps, sizes = _arrays(part)
+                before, carry, last = (part.column(c) for c in ("before", "carry", "last"))
+                n = bitmap_context_counts(gaps, sizes, d, k, w, before.to_numpy(), carry.to_pylist(), last.to_numpy())
+                total[x] = total[x] + n if x in total else n
+        for x, n in total.items():
+            used = np.flatnonzero(n.sum(1))
+            yield pa.RecordBatch.from_pydict({"batch": pa.array(np.full(len(used), x, np.int32)), "ctx": pa.array(used), "zeros": pa.array(n[used, 0].copy()), "ones": pa.array(n[used, 1].copy())})
+
+    return bit_rows(lists, k + w, by).mapInArrow(run, "batch int, ctx bigint, zeros bigint, ones bigint").groupBy("batch", "ctx").agg(F.sum("zeros").alias("zeros"), F.sum("ones").alias("ones"))
+
+
 def markov4_counts(lists: Lists, by: Column | None = None) -> DataFrame:
-    """(state, zeros, ones), state = the two bits before: eight sums over consecutive gaps, no bit is made.
-
-    The zeros after a list's last id count too. ``by`` counts batches apart."""
-    g, p, q = F.col("gap"), F.col("p"), F.col("q")
-    own = Window.partitionBy("term").orderBy("shard", "i")
-    rows = long_gaps(lists.gaps).select("term", "n", "shard", "i", "gap", *([by.alias("batch")] if by is not None else []))
-    rows = rows.withColumns({"p": F.lag("gap").over(own), "q": F.lead("gap").over(own), "at": F.sum("gap").over(own)})
-    tail = F.lit(lists.d) - F.col("at")
-    # before a gap the last bit is the one that closed the gap before it, and the bit before that is one too if that gap was 1
-    after = F.when(p.isNull(), "00").when(p == 1, F.when(F.col("two"), "11").otherwise("01")).otherwise("01")
-    rows = rows.withColumn("two", F.coalesce((p == 1) & F.lag("gap", 2).over(own).isNotNull(), F.lit(False)))
-    shifted = lambda s: F.when(F.substring(s, 2, 1) == "1", "10").otherwise("00")
-    event = lambda s, bit, n: F.struct(s.alias("state"), F.lit(bit).alias("bit"), n.cast("long").alias("n"))
-    zero = F.lit(0).cast("long")
-    closing = F.when(g == 1, F.when(after.isin("01", "11"), "11").otherwise("01")).otherwise("01")
-    last = q.isNull()
-    events = F.array(
-        event(F.when(g == 1, after).when(g == 2, shifted(after)).otherwise(F.lit("00")), 1, F.lit(1)),
-        event(after, 0, F.when(g >= 2, 1).otherwise(zero)),
-        event(shifted(after), 0, F.when(g >= 3, 1).otherwise(zero)),
-        event(F.lit("00"), 0, F.greatest(g - 3, zero)),
-        event(closing, 0, F.when(last & (tail >= 1), 1).otherwise(zero)),
-        event(F.lit("10"), 0, F.when(last & (tail >= 2), 1).otherwise(zero)),
-        event(F.lit("00"), 0, F.when(last, F.greatest(tail - 2, zero)).otherwise(zero)),
-    )
-    keep = [*(["batch"] if by is not None else []), F.explode(events).alias("e")]
-    keys = [*(["batch"] if by is not None else []), F.col("e.state").alias("state")]
-    return rows.select(*keep).groupBy(*keys).agg(F.sum(F.when(F.col("e.bit") == 0, F.col("e.n")).otherwise(0)).alias("zeros"), F.sum(F.when(F.col("e.bit") == 1, F.col("e.n")).otherwise(0)).alias("ones"))
+    """(state, zeros, ones), state = the two bits before. The zeros after a list's last id count too. ``by`` counts batches
+    apart."""
+    c = bitmap_counts(lists, 2, 0, by).withColumn("state", F.lpad(F.bin("ctx"), 2, "0"))
+    return c.select(*(["batch"] if by is not None else []), "state", "zeros", "ones")
 
 
 def entropy_bits(counts: DataFrame, *columns: str) -> Column:
@@ -206,24 +219,7 @@ def bitmap_context_bits(lists: Lists, k: int, w: int, adaptive: bool = False, bi
     """(payload_bits, model_bits) of (k, w) contexts on bits; adaptive without forgetting is the order-free form.
 
     A list over several shards is counted as one row of the matrix: each shard takes the last k + w bits along."""
-    d = lists.d
-
-    def run(batches):
-        total = np.zeros((2**k * (w + 1), 2), np.int64)
-        for b in batches:
-            gaps, sizes = _arrays(pa.Table.from_batches([b]))
-            before, carry, last = (b.column(c) for c in ("before", "carry", "last"))
-            total += bitmap_context_counts(gaps, sizes, d, k, w, before.to_numpy(zero_copy_only=False), carry.to_pylist(), last.to_numpy(zero_copy_only=False))
-        used = np.flatnonzero(total.sum(1))
-        yield pa.RecordBatch.from_pydict({"ctx": pa.array(used), "zeros": pa.array(total[used, 0].copy()), "ones": pa.array(total[used, 1].copy())})
-
-    whole, columns = F.col("n") == F.size("gaps"), ("gaps", "before", "carry", "last")
-    one = lists.gaps.where(whole).withColumns({"carry": F.array().cast("array<bigint>"), "last": F.lit(True)}).select(*columns)
-    own, reach = Window.partitionBy("term").orderBy("shard"), max(1, k + w)
-    ends = F.collect_list(F.slice("gaps", -F.least(F.lit(reach), F.size("gaps")), reach)).over(own.rowsBetween(-reach, -1))  # each row has an id, so these reach k + w bits back
-    some = lists.gaps.where(~whole).withColumns({"carry": F.flatten(ends), "last": F.lead("shard").over(own).isNull()})
-    some = some.withColumn("carry", F.when(F.size("carry") > reach, F.slice("carry", -reach, reach)).otherwise(F.col("carry"))).select(*columns)
-    c = one.unionByName(some).mapInArrow(run, "ctx bigint, zeros bigint, ones bigint").groupBy("ctx").agg(F.sum("zeros").alias("zeros"), F.sum("ones").alias("ones"))
+    c = bitmap_counts(lists, k, w)
     rows = np.array([[r.zeros, r.ones] for r in c.collect()], np.int64).reshape(-1, 2)  # at most 2**k * (w + 1)
     payload = trits.order_free_bits(rows) if adaptive else trits.ideal_bits(rows, trits.quantise(rows, max(bits, 2)))
     model = 0 if adaptive else bits * 2**k * (w + 1)

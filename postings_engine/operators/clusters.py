@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-import numpy as np
-import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
@@ -14,8 +12,8 @@ from .postings import Lists, to_gaps, to_ids
 
 # The edges of the density classes, 1 to 7, each open below and closed above.
 EDGES = (0.0, 0.0002, 0.001, 0.01, 0.03, 0.1, 0.2, 1.0)
-#: Entries of all reference lists together that are handed to every task.
-MAX_REFERENCE = 8_000_000
+#: Parts of a cluster's documents that name their own candidates for its reference list, and ids of a range of one.
+SLICES, RANGE = 64, 256
 
 
 def batch_of(density: Column) -> Column:
@@ -45,11 +43,18 @@ def cluster_terms(lists: Lists, c: int = 8, features: int = 64, seed: int = 1, i
     return model.transform(data).select("term", F.col("prediction").alias("c"))
 
 
+def _best(df: DataFrame, by: Column, r: int) -> DataFrame:
+    """(c, ord, rank): in each cluster the r documents with the greatest ``by``, ties by id, ranked by id from 1. Each of
+    SLICES parts of a cluster names its own r first, so that no task sees all documents of one."""
+    rows = df.withColumn("by", by).withColumn("slice", F.pmod(F.xxhash64("ord"), F.lit(SLICES)))
+    for key in (["c", "slice"], ["c"]):
+        rows = rows.withColumn("k", F.row_number().over(Window.partitionBy(*key).orderBy(F.desc("by"), "ord"))).where(F.col("k") <= r)
+    return rows.select("c", "ord", F.row_number().over(Window.partitionBy("c").orderBy("ord")).alias("rank"))
+
+
 def reference_lists(pairs: DataFrame, clusters: DataFrame, r: int) -> DataFrame:
     """(c, ord, rank): in each cluster the r documents in most of its lists, ties by id, ranked by id from 1."""
-    df = pairs.join(clusters, "term").groupBy("c", "ord").agg(F.count(F.lit(1)).alias("df"))
-    best = df.withColumn("k", F.row_number().over(Window.partitionBy("c").orderBy(F.desc("df"), "ord"))).where(F.col("k") <= r)
-    return best.select("c", "ord", F.row_number().over(Window.partitionBy("c").orderBy("ord")).alias("rank"))
+    return _best(pairs.join(clusters, "term").groupBy("c", "ord").agg(F.count(F.lit(1)).alias("df")), F.col("df"), r)
 
 
 def space_reference_lists(pairs: DataFrame, clusters: DataFrame, r: int, d: int) -> DataFrame:
@@ -57,40 +62,31 @@ def space_reference_lists(pairs: DataFrame, clusters: DataFrame, r: int, d: int)
     of an id among d and among r, less the cost of naming the document once."""
     df = pairs.join(clusters, "term").groupBy("c", "ord").agg(F.count(F.lit(1)).alias("df"))
     saved = F.col("df") * F.log2(F.lit(float(max(2, d)) / r)) - F.log2(F.lit(float(max(2, d))))
-    best = df.withColumn("s", saved).where("s > 0").withColumn("k", F.row_number().over(Window.partitionBy("c").orderBy(F.desc("s"), "ord"))).where(F.col("k") <= r)
-    return best.select("c", "ord", F.row_number().over(Window.partitionBy("c").orderBy("ord")).alias("rank"))
+    return _best(df.withColumn("s", saved).where("s > 0"), F.col("s"), r)
 
 
 def split_by_reference(pairs: DataFrame, clusters: DataFrame, reference: DataFrame, shrink: bool = True) -> DataFrame:
     """(term, c, part, x): 'hit' with the position in the cluster's reference list, or 'rest' with the id, less the number
     of reference ids below it if ``shrink``.
 
-    The reference lists go to every task if they have at most MAX_REFERENCE entries; else ranks come from one sorted
-    union of reference and ids in each cluster.
+    Ids are cut into ranges of RANGE. For each cluster and range a row holds its reference ids and how many lie in the
+    ranges before; pairs meet it in a join by cluster and range.
     """
-    rows = pairs.join(clusters, "term")
-    if reference.count() <= MAX_REFERENCE:
-        lists = reference.groupBy("c").agg(F.sort_array(F.collect_list("ord")).alias("ids")).collect()
-        known = pairs.sparkSession.sparkContext.broadcast({x.c: np.array(x.ids, np.int64) for x in lists})
-
-        def run(batches):
-            for b in batches:
-                c, x = b.column(1).to_numpy(zero_copy_only=False), b.column(2).to_numpy(zero_copy_only=False)
-                below, hit = np.zeros(len(x), np.int64), np.zeros(len(x), bool)
-                for k in np.unique(c):
-                    mine, ids = c == k, known.value.get(int(k), np.empty(0, np.int64))
-                    at = np.searchsorted(ids, x[mine])
-                    below[mine] = at
-                    hit[mine] = (at < len(ids)) & (ids[np.minimum(at, len(ids) - 1)] == x[mine]) if len(ids) else False
-                value = np.where(hit, below + 1, x - below if shrink else x)
-                yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(np.where(hit, "hit", "rest").tolist(), pa.string()), pa.array(value)], names=["term", "c", "part", "x"])
-
-        return rows.select("term", "c", "ord").mapInArrow(run, "term string, c int, part string, x bigint")
-    marks = rows.select("term", "c", "ord", F.lit(1).alias("own")).unionByName(reference.select(F.lit(None).cast("string").alias("term"), "c", "ord", F.lit(0).alias("own")))
-    below = F.sum(1 - F.col("own")).over(Window.partitionBy("c").orderBy("ord", "own").rowsBetween(Window.unboundedPreceding, 0))
-    hit = F.max(1 - F.col("own")).over(Window.partitionBy("c", "ord"))
-    out = marks.withColumns({"below": below, "hit": hit}).where("own = 1")
-    return out.select("term", "c", F.when(F.col("hit") == 1, "hit").otherwise("rest").alias("part"), F.when(F.col("hit") == 1, F.col("below")).otherwise(F.col("ord") - (F.col("below") if shrink else 0)).alias("x"))
+    cell = F.floor(F.col("ord") / RANGE).cast("long")
+    held = reference.groupBy("c", cell.alias("cell")).agg(F.sort_array(F.collect_list("ord")).alias("ids"))
+    ahead = F.sum("m").over(Window.partitionBy("c").orderBy("cell").rowsBetween(Window.unboundedPreceding, -1))  # over numbers of ranges only
+    after = F.coalesce(F.lead("cell").over(Window.partitionBy("c").orderBy("cell")), F.lit(None).cast("long"))
+    counts = held.select("c", "cell", F.size("ids").alias("m")).withColumns({"ahead": F.coalesce(ahead, F.lit(0).cast("long")), "next": after})
+    top = pairs.agg(F.coalesce(F.max(cell), F.lit(0))).first()[0]
+    # ranges without a reference id share what the last one with some has
+    spread = counts.select("c", F.explode(F.sequence("cell", F.greatest(F.col("cell"), F.coalesce(F.col("next") - 1, F.lit(top))))).alias("cell"), F.col("cell").alias("at"), "ahead", "m")
+    known = spread.join(held.withColumnRenamed("cell", "at"), ["c", "at"]).select("c", "cell", F.when(F.col("cell") == F.col("at"), F.col("ahead")).otherwise(F.col("ahead") + F.col("m")).alias("ahead"), F.when(F.col("cell") == F.col("at"), F.col("ids")).otherwise(F.array().cast("array<bigint>")).alias("ids"))
+    rows = pairs.join(clusters, "term").withColumn("cell", cell).join(known, ["c", "cell"], "left")
+    ids = F.coalesce("ids", F.array().cast("array<bigint>"))
+    below = F.coalesce("ahead", F.lit(0).cast("long")) + F.size(F.filter(ids, lambda y: y < F.col("ord")))
+    hit = F.array_contains(ids, F.col("ord"))
+    value = F.when(hit, below + 1).otherwise(F.col("ord") - (below if shrink else 0))
+    return rows.select("term", "c", F.when(hit, "hit").otherwise("rest").alias("part"), value.cast("long").alias("x"))
 
 
 def clustered_bits(lists: Lists, clusters: DataFrame, r: int, name: str = "midpoint", shrink: bool = True, reference: DataFrame | None = None) -> DataFrame:

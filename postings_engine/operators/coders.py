@@ -16,13 +16,19 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions import closed
-from . import arith, trits
+from . import arith, lanes, trits
 from .ids import running
 from .postings import Lists, checked
 from .trits import Context
 
 #: Trits of a segment: a minute of one Python worker; 22 bits' worth make one stream of the small tables.
 SEGMENT_TRITS = 1 << 22
+#: Contexts up to which a worker keeps its counts of a model until the end; of larger models it sends what each batch has.
+DENSE_CONTEXTS = 1 << 16
+#: Groups of settings of an adaptive sweep; the gaps are sent once to each.
+SWEEP_GROUPS = 4
+#: Counts that a static model's fractions make where they start an adaptive one.
+PRIOR_COUNTS = 16
 #: Contexts that a static model may have, so that counts and model always fit the driver and every worker.
 MAX_CONTEXTS = 1 << 22
 SEGMENT = (
@@ -63,6 +69,11 @@ def symbols(gaps: np.ndarray, sizes: np.ndarray, kinds: int) -> tuple[np.ndarray
 def context_counts(lists: DataFrame, contexts: dict[str, Context]) -> DataFrame:
     """(model, ctx, n0, n1, n2, n3) for each named context model: one pass for all of them, additive counts."""
 
+    def sparse(name, ctx, n):
+        wide = np.zeros((len(ctx), 4), np.int64)
+        wide[:, : n.shape[1]] = n
+        return pa.RecordBatch.from_pydict({"model": pa.array([name] * len(ctx), pa.string()), "ctx": pa.array(ctx), **{f"n{j}": pa.array(wide[:, j].copy()) for j in range(4)}})
+
     def run(batches):
         total: dict[str, np.ndarray] = {}
         for b in batches:
@@ -75,13 +86,16 @@ def context_counts(lists: DataFrame, contexts: dict[str, Context]) -> DataFrame:
                 if c.kinds not in cache:
                     cache[c.kinds] = symbols(gaps, sizes, c.kinds)
                 s, pos = cache[c.kinds]
-                n = trits.counts(c.ids(s, pos), s, c.size, c.kinds)
+                ids = c.ids(s, pos)
+                if c.size > DENSE_CONTEXTS:
+                    used, own = np.unique(ids, return_inverse=True)
+                    yield sparse(name, used, trits.counts(own, s, len(used), c.kinds))
+                    continue
+                n = trits.counts(ids, s, c.size, c.kinds)
                 total[name] = total[name] + n if name in total else n
         for name, n in total.items():
             used = np.flatnonzero(n.sum(1))
-            wide = np.zeros((len(used), 4), np.int64)
-            wide[:, : n.shape[1]] = n[used]
-            yield pa.RecordBatch.from_pydict({"model": pa.array([name] * len(used), pa.string()), "ctx": pa.array(used), **{f"n{j}": pa.array(wide[:, j].copy()) for j in range(4)}})
+            yield sparse(name, used, n[used])
 
     for c in contexts.values():
         if c.size > MAX_CONTEXTS:
@@ -111,21 +125,24 @@ def static_model(lists: DataFrame, ctx: Context, bits: int = 8, balanced: bool =
 
 
 def pack_model(q: np.ndarray, bits: int) -> bytes:
-    b = arith.Bits()
-    for row in q[:, :-1].tolist():
-        for x in row:
-            b.put(x, bits)
-    return b.bytes()
+    flat = q[:, :-1].astype(np.int64).ravel()
+    return np.packbits((flat[:, None] >> np.arange(bits - 1, -1, -1) & 1).astype(np.uint8)).tobytes()
 
 
 def unpack_model(raw: bytes, size: int, kinds: int, bits: int) -> np.ndarray:
-    b = arith.Bits(raw)
-    q = np.array([[b.get(bits) for _ in range(kinds - 1)] for _ in range(size)], np.int64)
+    n = size * (kinds - 1)
+    b = np.unpackbits(np.frombuffer(raw, np.uint8), count=n * bits).reshape(n, bits).astype(np.int64)
+    q = (b << np.arange(bits - 1, -1, -1)).sum(1).reshape(size, kinds - 1)
     last = np.where(q.sum(1) > 0, (1 << bits) - 1 - q.sum(1), 0)
     empty = q.sum(1) == 0  # only ends, or never seen: all to the last symbol
     return np.concatenate([q, np.where(empty, (1 << bits) - 1, last)[:, None]], 1)
 
 
+def prior_of(q: np.ndarray) -> np.ndarray:
+    """Starting counts of an adaptive model from a static one's fractions."""
+    return np.maximum(1, PRIOR_COUNTS * q // np.maximum(q.sum(1, keepdims=True), 1))
+
+
 def _delta_coded(values: list[int]) -> tuple[bytes, int]:
     b = arith.Bits()
     for v in values:
@@ -133,52 +150,75 @@ def _delta_coded(values: list[int]) -> tuple[bytes, int]:
     return b.bytes(), 8 * len(b.out) + b.n
 
 
-def encode(lists: Lists, method: str = "trit_adaptive", ctx: Context | None = None, bits: int = 8, forget: int | None = None, order: str = "length", target: int = SEGMENT_TRITS, prior: tuple[int, ...] | None = None, payload: bool = True) -> DataFrame:
+def encode(
+    lists: Lists,
+    method: str = "trit_adaptive",
+    ctx: Context | None = None,
+    bits: int = 8,
+    forget: int | None = None,
+    order: str = "length",
+    target: int = SEGMENT_TRITS,
+    prior: tuple[int, ...] | str | None = None,
+    payload: bool = True,
+    halving: str = "context",
+    lanes_: int | None = None,
+) -> DataFrame:
     """Segments of ``lists`` by 'trit_static' or 'trit_adaptive' (quatrits if the context codes 4 kinds of symbol).
 
-    Without ``ctx`` the parameters follow the number of integers. ``payload`` False: sizes only, no coder runs.
+    Without ``ctx`` the parameters follow the number of integers. ``prior``: starting counts of the adaptive coder, or
+    'static' for those of a stored static model (an extension). ``halving``: 'context' or 'global'. ``payload`` False:
+    sizes only, no coder runs. ``lanes_``: interleaved streams of a segment, by default as many as its symbols allow; with
+    1, and where contexts or fractions are too wide for lanes, the sequential arithmetic coder writes.
     """
     if ctx is None:
         if method == "trit_static":
-            k, w, k_init = trits.choose_static(lists.i, k_max=16)
+            k, w, k_init = trits.choose_static(lists.i, most=MAX_CONTEXTS)
         else:
             k, w, k_init, auto = trits.choose_adaptive(lists.i)
             forget = auto if forget is None else forget
         ctx = trits.hybrid(k, w, k_init)
-    q = model = None
-    if method == "trit_static":
+    q = None
+    if method == "trit_static" or prior == "static":
         _, q = static_model(lists.gaps, ctx, bits)
-        model = pack_model(q, bits)
     elif method != "trit_adaptive":
         raise ValueError(method)
-    spark = lists.gaps.sparkSession
-    shared = spark.sparkContext.broadcast(q)  # at most MAX_CONTEXTS rows
+    shared = lists.gaps.sparkSession.sparkContext.broadcast(q)  # at most MAX_CONTEXTS rows
     schema = _segment_schema()
-    head = json.dumps({"ctx": asdict(ctx), "bits": bits, "forget": forget, "prior": prior}).encode()
+    if ctx.reach > lanes.REACH or bits > lanes.SCALE - 2:
+        lanes_ = 1
+    head = {"ctx": asdict(ctx), "bits": bits, "forget": forget, "prior": prior, "halving": halving}
 
     def code(t: pa.Table) -> pa.Table:
         t = t.sort_by([("__k", "ascending"), ("term", "ascending"), ("shard", "ascending")])
         gaps, sizes = _arrays(t)
         s, pos = symbols(gaps, sizes, ctx.kinds)
         ids = ctx.ids(s, pos)
-        q = shared.value
+        q, start = shared.value, prior
+        if prior == "static":
+            q, start = None, prior_of(shared.value)
+        n = lanes_ or lanes.lanes_for(len(s), q is None)
         if q is not None:
             ideal = trits.ideal_bits(trits.counts(ids, s, ctx.size, ctx.kinds), q)
-            out = arith.encode_static(ids, s, q) if payload else b""
         else:
-            ideal = trits.adaptive_bits(ids, s, ctx.size, ctx.kinds, forget, prior=prior)
-            out = arith.encode_adaptive(ids, s, ctx.size, ctx.kinds, forget, prior) if payload else b""
+            ideal = trits.adaptive_bits(ids, s, ctx.size, ctx.kinds, forget, halving, start)
+        if not payload:
+            out = b""
+        elif n > 1:
+            out, _ = lanes.encode(ids, s, np.bincount(np.cumsum(pos == 0) - 1), ctx, q, n, forget, start, halving)
+        else:
+            out = arith.encode_static(ids, s, q) if q is not None else arith.encode_adaptive(ids, s, ctx.size, ctx.kinds, forget, start, halving)
         lengths, lbits = (b"", 0) if ctx.kinds == 4 else _delta_coded(sizes.tolist())
         terms = t.column("term").to_pylist()
+        seg = t.column("seg")[0].as_py()
         row = {
-            "seg": t.column("seg")[0].as_py(), "method": method, "term_lo": min(terms), "term_hi": max(terms), "n_lists": len(terms), "n_ints": int(sizes.sum()), "symbols": len(s), "header": head, "lengths": lengths,
-            "model": b"", "payload": out, "lengths_bits": lbits, "ideal_bits": ideal, "terms": terms, "ns": t.column("n").to_pylist(), "shards": t.column("shard").to_pylist(), "before": t.column("before").to_pylist(),
+            "seg": seg, "method": method, "term_lo": min(terms), "term_hi": max(terms), "n_lists": len(terms), "n_ints": int(sizes.sum()), "symbols": len(s), "header": json.dumps(head | {"lanes": n}).encode(), "lengths": lengths,
+            "model": pack_model(shared.value, bits) if seg == 0 and shared.value is not None else b"", "payload": out, "lengths_bits": lbits, "ideal_bits": ideal, "terms": terms, "ns": t.column("n").to_pylist(),
+            "shards": t.column("shard").to_pylist(), "before": t.column("before").to_pylist(),
         }
         return pa.Table.from_pylist([row], schema=schema)
 
     rows = segmented(lists.gaps, order, target).select("seg", "__k", "term", "n", "shard", "before", "gaps")
-    done = rows.groupBy("seg").applyInArrow(code, SEGMENT)
-    return done.withColumn("model", F.when(F.col("seg") == 0, F.lit(model)).otherwise(F.col("model"))) if model is not None else done
+    return rows.groupBy("seg").applyInArrow(code, SEGMENT)
 
 
 def _segment_schema() -> pa.Schema:
@@ -188,24 +228,46 @@ def _segment_schema() -> pa.Schema:
     return to_arrow_schema(StructType.fromDDL(SEGMENT))
 
 
+_models: dict[tuple, np.ndarray] = {}
+
+
+def decoded(r: dict, model: bytes) -> tuple[np.ndarray, np.ndarray]:
+    """(gaps of all lists, how many each has) of one segment's row; a worker unpacks a model once."""
+    h = json.loads(r["header"])
+    h["ctx"]["windows"] = tuple(h["ctx"]["windows"])
+    ctx, prior, q = Context(**h["ctx"]), h["prior"], None
+    if r["method"] == "trit_static" or prior == "static":
+        key = (hash(model), ctx, h["bits"])
+        if key not in _models:
+            _models.clear()
+            _models[key] = unpack_model(model, ctx.size, ctx.kinds, h["bits"])
+        q = _models[key]
+        if prior == "static":
+            q, prior = None, prior_of(q)
+    bits = arith.Bits(r["lengths"])
+    lengths = None if ctx.kinds == 4 else [bits.get_delta() for _ in range(r["n_lists"])]
+    if h.get("lanes", 1) > 1:
+        return lanes.decode(r["payload"], lengths, r["n_lists"], ctx, q, h["forget"], prior, h["halving"])
+    got = arith.decode_lists(r["payload"], lengths, r["n_lists"], ctx, q, h["forget"], prior, h.get("halving", "context"))
+    return np.concatenate([*got, np.empty(0, np.int64)]), np.array([len(x) for x in got], np.int64)
+
+
+def model_of(segments: DataFrame) -> bytes:
+    """The stored model, which stands in the first segment; empty without one."""
+    first = segments.where("length(model) > 0").select("model").limit(1).collect()
+    return bytes(first[0].model) if first else b""
+
+
 def decode(segments: DataFrame, model: bytes | None = None) -> DataFrame:
     """(term, n, shard, before, gaps) back from segments. The model of the static coder stands in the first segment."""
-    if model is None:
-        first = segments.where("length(model) > 0").select("model").limit(1).collect()
-        model = bytes(first[0].model) if first else b""
-    shared = segments.sparkSession.sparkContext.broadcast(model)
+    shared = segments.sparkSession.sparkContext.broadcast(model_of(segments) if model is None else model)
 
     def run(batches):
         for b in batches:
             for r in b.to_pylist():
-                h = json.loads(r["header"])
-                h["ctx"]["windows"] = tuple(h["ctx"]["windows"])
-                ctx = Context(**h["ctx"])
-                q = unpack_model(shared.value, ctx.size, ctx.kinds, h["bits"]) if r["method"] == "trit_static" else None
-                bits = arith.Bits(r["lengths"])
-                sizes = None if ctx.kinds == 4 else [bits.get_delta() for _ in range(r["n_lists"])]
-                lists = arith.decode_lists(r["payload"], sizes, r["n_lists"], ctx, q, h["forget"], h["prior"] and tuple(h["prior"]))
-                yield pa.RecordBatch.from_pydict({"term": pa.array(r["terms"], pa.string()), "n": pa.array(r["ns"], pa.int64()), "shard": pa.array(r["shards"], pa.int64()), "before": pa.array(r["before"], pa.int64()), "gaps": pa.array([x.tolist() for x in lists], pa.list_(pa.int64()))})
+                gaps, n = decoded(r, shared.value)
+                lists = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(n)]).astype(np.int32)), pa.array(gaps))
+                yield pa.RecordBatch.from_arrays([pa.array(r["terms"], pa.string()), pa.array(r["ns"], pa.int64()), pa.array(r["shards"], pa.int64()), pa.array(r["before"], pa.int64()), lists], names=["term", "n", "shard", "before", "gaps"])
 
     return segments.select("method", "n_lists", "header", "lengths", "payload", "terms", "ns", "shards", "before").mapInArrow(run, "term string, n bigint, shard bigint, before bigint, gaps array<bigint>")
 
@@ -237,17 +299,24 @@ def sweep_static(lists: Lists, contexts: dict[str, Context], bits: int | str = 8
     return lists.gaps.sparkSession.createDataFrame([(a, b, c, float(d)) for a, b, c, d in rows], "model string, contexts bigint, model_bits bigint, payload_bits double")
 
 
-def sweep_adaptive(lists: Lists, contexts: dict[str, tuple[Context, int | None]], order: str = "length", target: int = SEGMENT_TRITS) -> DataFrame:
-    """(model, payload_bits) for each (context, forget): every pair of segment and setting is a task's work of its own."""
+def sweep_adaptive(lists: Lists, contexts: dict[str, tuple[Context, int | None]], order: str = "length", target: int = SEGMENT_TRITS, halving: str = "context", prior=None) -> DataFrame:
+    """(model, payload_bits) for each (context, forget); a task takes a segment and a share of the settings."""
     names = list(contexts)
+    groups = min(SWEEP_GROUPS, len(names))
     rows = segmented(lists.gaps, order, target).select("seg", "__k", "term", "shard", "gaps")
-    rows = rows.withColumn("c", F.explode(F.lit(list(range(len(names))))))
+    rows = rows.withColumn("c", F.explode(F.lit(list(range(groups)))))
 
     def code(t: pa.Table) -> pa.Table:
         t = t.sort_by([("__k", "ascending"), ("term", "ascending"), ("shard", "ascending")])
-        name = names[t.column("c")[0].as_py()]
-        c, forget = contexts[name]
-        s, pos = symbols(*_arrays(t), c.kinds)
-        return pa.table({"model": pa.array([name]), "bits": pa.array([trits.adaptive_bits(c.ids(s, pos), s, c.size, c.kinds, forget)])})
+        own = names[t.column("c")[0].as_py() :: groups]
+        gaps, sizes = _arrays(t)
+        out, cache = [], {}
+        for name in own:
+            c, forget = contexts[name]
+            if c.kinds not in cache:
+                cache[c.kinds] = symbols(gaps, sizes, c.kinds)
+            s, pos = cache[c.kinds]
+            out.append(trits.adaptive_bits(c.ids(s, pos), s, c.size, c.kinds, forget, halving, prior))
+        return pa.table({"model": pa.array(own), "bits": pa.array(out, pa.float64())})
 
     return rows.groupBy("seg", "c").applyInArrow(code, "model string, bits double").groupBy("model").agg(F.sum("bits").alias("payload_bits"))

@@ -11,8 +11,12 @@ from pyspark.sql.window import Window
 
 
 def checkpoint_dir(spark: SparkSession) -> str:
-    """The shared folder that the cluster names; one of this machine only where none is named (tests)."""
-    named = spark.conf.get("spark.checkpoint.dir", None) or os.path.join(tempfile.gettempdir(), "checkpoints", spark.sparkContext.applicationId)
+    """The shared folder that the cluster names. Where none is named a local session, as in tests, takes a folder of its
+    own; on a cluster that is an error."""
+    named = spark.conf.get("spark.checkpoint.dir", None)
+    if not named and not spark.sparkContext.master.startswith("local"):
+        raise ValueError("set spark.checkpoint.dir to a folder that all machines share")
+    named = named or os.path.join(tempfile.gettempdir(), "checkpoints", spark.sparkContext.applicationId)
     if spark.sparkContext.getCheckpointDir() is None:
         spark.sparkContext.setCheckpointDir(named)
     return named

@@ -6,6 +6,7 @@ from collections.abc import Iterable
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
 
 def lookup(pairs: DataFrame, terms: Iterable[str]) -> DataFrame:
@@ -46,12 +47,13 @@ def segments_for(segments: DataFrame, terms: Iterable[str]) -> DataFrame:
 def blocks(lists: DataFrame, size: int = 128) -> DataFrame:
     """(term, blk, first, max, n): a directory of the blocks of each list, for skipping."""
     rows = lists.select("term", "shard", F.posexplode("gaps").alias("i", "gap"), "before")
-    from pyspark.sql.window import Window
-
     at = F.col("before") + F.sum("gap").over(Window.partitionBy("term", "shard").orderBy("i"))
     return rows.withColumn("id", at).groupBy("term", "shard", F.floor(F.col("i") / size).cast("int").alias("blk")).agg(F.min("id").alias("first"), F.max("id").alias("max"), F.count(F.lit(1)).alias("n"))
 
 
-def in_blocks(directory: DataFrame, ids: DataFrame) -> DataFrame:
-    """(ord, term, blk): which blocks may hold each id, a range join on their bounds (``ids`` is a query set)."""
-    return directory.join(F.broadcast(ids), (F.col("ord") >= F.col("first")) & (F.col("ord") <= F.col("max"))).select("ord", "term", "shard", "blk")
+def in_blocks(directory: DataFrame, ids: DataFrame, span: int = 4096) -> DataFrame:
+    """(ord, term, shard, blk): which blocks may hold each id. Both sides meet by ranges of ``span`` ids, so neither is
+    broadcast: a block is in as many ranges as it spans, at most its own length in ids over ``span``, and one more."""
+    cells = F.sequence(F.floor(F.col("first") / span), F.floor(F.col("max") / span))
+    rows = directory.withColumn("cell", F.explode(cells)).join(ids.withColumn("cell", F.floor(F.col("ord") / span)), "cell")
+    return rows.where("ord between first and max").select("ord", "term", "shard", "blk")

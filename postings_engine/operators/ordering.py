@@ -3,9 +3,8 @@
 from __future__ import annotations
 
 import numpy as np
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql.window import Window
 
 from .ids import cut, ranked
 
@@ -122,13 +121,20 @@ def order_bisect(tok: DataFrame, rounds: int = 20, local_postings: int = LOCAL_P
     return ranked(done, F.col("node"), F.col("at"), F.col("doc")).select("doc", "ord")
 
 
+def _placed(rows: DataFrame, keys: list[str], *order: Column) -> DataFrame:
+    """``rows`` with their place ``r``, from 1, in the group of equal ``keys`` and the group's size ``m``: one range sort of
+    all groups, so that a group of any size is spread; what is broadcast is two numbers for each group (part of a level)."""
+    every = ranked(rows, *map(F.col, keys), *order, name="__g")
+    groups = every.groupBy(*keys).agg(F.min("__g").alias("__least"), F.count(F.lit(1)).alias("m"))
+    return every.join(F.broadcast(groups), keys).withColumn("r", F.col("__g") - F.col("__least") + 1).drop("__g", "__least")
+
+
 def _level(pairs: DataFrame, parts: DataFrame, rounds: int, hot_apart: bool) -> DataFrame:
     """Halves every node: degrees by (node, term), gains by document, swaps of the best of both sides.
 
     With ``hot_apart`` the degrees of hot words are broadcast to their pairs."""
-    size = Window.partitionBy("node")
-    first = F.row_number().over(size.orderBy("at", "doc")) * 2 > F.count(F.lit(1)).over(size)
-    parts = cut(parts.withColumn("side", first.cast("int")))
+    parts = _placed(parts, ["node"], F.col("at"), F.col("doc"))
+    parts = cut(parts.withColumn("side", (F.col("r") * 2 > F.col("m")).cast("int")).drop("r", "m"))
     for _ in range(rounds):
         sizes = parts.groupBy("node").agg(F.sum(1 - F.col("side")).alias("s0"), F.sum("side").alias("s1"))
         owned = pairs.join(parts.select("doc", "node", "side"), "doc")
@@ -143,8 +149,7 @@ def _level(pairs: DataFrame, parts: DataFrame, rounds: int, hot_apart: bool) ->
         else:
             priced = owned.join(degree, keys)
         gains = priced.groupBy("doc").agg(F.sum(F.when(F.col("side") == 0, F.col("g0")).otherwise(F.col("g1"))).alias("gain"))
-        rank = F.row_number().over(Window.partitionBy("node", "side").orderBy(F.desc("gain"), "doc"))
-        ranks = parts.join(gains, "doc", "left").withColumn("gain", F.coalesce("gain", F.lit(0.0))).withColumn("r", rank)
+        ranks = _placed(parts.join(gains, "doc", "left").withColumn("gain", F.coalesce("gain", F.lit(0.0))), ["node", "side"], F.desc("gain"), F.col("doc"))
         mate = ranks.select("node", (1 - F.col("side")).alias("side"), "r", F.col("gain").alias("other"))
         swapped = cut(ranks.join(mate, ["node", "side", "r"], "left").withColumn("swap", F.coalesce(F.col("gain") + F.col("other") > 1e-9, F.lit(False))))
         parts = swapped.withColumn("side", F.when(F.col("swap"), 1 - F.col("side")).otherwise(F.col("side"))).select("doc", "w", "pos", "node", "at", "side")

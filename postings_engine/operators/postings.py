@@ -4,6 +4,8 @@ from __future__ import annotations
 
 from dataclasses import dataclass
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
@@ -39,21 +41,31 @@ def postings_from_column(df: DataFrame, value: Column, row: Column) -> DataFrame
 
 
 def to_gaps(pairs: DataFrame, shard: int = SHARD) -> DataFrame:
-    """(term, n, shard, before, gaps) of distinct (term, ord). A frequent word's list is spread over shards by range."""
-    lists = pairs.groupBy("term", F.floor((F.col("ord") - 1) / shard).cast("long").alias("shard")).agg(F.sort_array(F.collect_list("ord")).alias("ids"))
-    own = Window.partitionBy("term").orderBy("shard")  # over shards, few rows even of the longest list
-    before = F.coalesce(F.lag(F.element_at("ids", -1)).over(own), F.lit(0).cast("long"))
-    n = F.sum(F.size("ids")).over(Window.partitionBy("term")).cast("long")
-    rows = lists.withColumns({"before": before, "n": n})
+    """(term, n, shard, before, gaps) of distinct (term, ord). A frequent word's list is spread over shards by range; only
+    a shard's count and last id, never its ids, meet those of the word's other shards in a task."""
+    own = F.floor((F.col("ord") - 1) / shard).cast("long").alias("shard")
+    lists = pairs.groupBy("term", own).agg(F.sort_array(F.collect_list("ord")).alias("ids"))
+    ends = pairs.groupBy("term", own).agg(F.max("ord").alias("last"), F.count(F.lit(1)).alias("m"))
+    word = Window.partitionBy("term")
+    ends = ends.select("term", "shard", F.coalesce(F.lag("last").over(word.orderBy("shard")), F.lit(0).cast("long")).alias("before"), F.sum("m").over(word).alias("n"))
     gaps = F.transform("ids", lambda x, i: x - F.when(i == 0, F.col("before")).otherwise(F.get("ids", i - 1)))
-    return rows.select("term", "n", "shard", "before", gaps.alias("gaps"))
+    return lists.join(ends, ["term", "shard"]).select("term", "n", "shard", "before", gaps.alias("gaps"))
 
 
 def to_ids(gaps: DataFrame) -> DataFrame:
-    """(term, ord) back from shards of gaps."""
-    zero = F.struct(F.col("before").alias("x"), F.array().cast("array<bigint>").alias("a"))
-    ids = F.aggregate("gaps", zero, lambda s, g: F.struct((s["x"] + g).alias("x"), F.concat(s["a"], F.array(s["x"] + g)).alias("a")), lambda s: s["a"])
-    return gaps.select("term", F.explode(ids).alias("ord"))
+    """(term, ord) back from shards of gaps, running sums over Arrow arrays."""
+
+    def run(batches):
+        for b in batches:
+            col = b.column(2)
+            n = np.diff(col.offsets.to_numpy())
+            total = np.cumsum(col.flatten().to_numpy(zero_copy_only=False))
+            ends = np.cumsum(n)
+            start = np.concatenate([[0], total])[ends - n]  # sums of the rows before
+            ords = total + np.repeat(b.column(1).to_numpy(zero_copy_only=False) - start, n)
+            yield pa.RecordBatch.from_arrays([b.column(0).take(pa.array(np.repeat(np.arange(len(n)), n))), pa.array(ords)], names=["term", "ord"])
+
+    return gaps.select("term", "before", "gaps").mapInArrow(run, "term string, ord bigint")
 
 
 def long_gaps(lists: DataFrame) -> DataFrame:

@@ -195,12 +195,15 @@ def quantise(n: np.ndarray, bits: int, balanced: bool = False) -> np.ndarray:
     return q
 
 
-def choose_static(ints: int, share: float = 0.02, bits: int = 8, k_max: int | None = None) -> tuple[int, int, int]:
-    """(k, w, k_init) with w = k + 1, k_init = ceil(k / 3), k as large as a model of ``share`` of the integers allows."""
+def choose_static(ints: int, share: float = 0.02, bits: int = 8, k_max: int | None = None, most: int | None = None) -> tuple[int, int, int]:
+    """(k, w, k_init) with w = k + 1, k_init = ceil(k / 3), k as large as a model of ``share`` of the integers allows, and of
+    ``most`` contexts, if that is given."""
     k = 1
-    while (k_max is None or k < k_max) and hybrid(k + 1, k + 2, -(-(k + 1) // 3)).model_bits(bits) <= share * ints:
+    while True:
+        c = hybrid(k + 1, k + 2, -(-(k + 1) // 3))
+        if c.model_bits(bits) > share * ints or k_max is not None and k >= k_max or most is not None and c.size > most:
+            return k, k + 1, -(-k // 3)
         k += 1
-    return k, k + 1, -(-k // 3)
 
 
 def choose_adaptive(ints: int) -> tuple[int, int, int, int]:
@@ -209,32 +212,68 @@ def choose_adaptive(ints: int) -> tuple[int, int, int, int]:
     return k, k, min(2 * k - 1, 8), 1 << min(max(k, 8), 16)
 
 
-def adaptive_bits(ids: np.ndarray, s: np.ndarray, size: int, kinds: int = 3, forget: int | None = 256, halving: str = "context", prior: tuple[int, ...] | None = None) -> float:
-    """Ideal bits of one adaptive stream: counts start at the prior, grow by one, and are halved (floor, at least 1) after
-    every ``forget`` steps of a context, or of the whole stream with halving='global'."""
-    c = [list(prior or (1,) * kinds) for _ in range(size)]
-    steps, total, logs = [0] * size, 0, {}
-    log2 = np.log2
-    out = 0.0
-    for i, x in zip(ids.tolist(), s.tolist(), strict=True):
-        n = c[i]
-        key = (n[x], sum(n))
-        v = logs.get(key)
-        if v is None:
-            v = logs[key] = float(log2(key[1]) - log2(key[0]))
-        out += v
-        n[x] += 1
-        if forget:
-            if halving == "context":
-                steps[i] += 1
-                if steps[i] == forget:
-                    steps[i] = 0
-                    c[i] = [max(1, y >> 1) for y in n]
-            else:
-                total += 1
-                if total % forget == 0:
-                    c = [[max(1, y >> 1) for y in y_] for y_ in c]
-    return out
+def adaptive_bits(ids: np.ndarray, s: np.ndarray, size: int, kinds: int = 3, forget: int | None = 256, halving: str = "context", prior: tuple[int, ...] | np.ndarray | None = None) -> float:
+    """Ideal bits of one adaptive stream: counts start at the prior (one row, or one for each context), grow by one, and are halved (floor, at least 1) after
+    every ``forget`` steps of a context, or of the whole stream with halving='global'.
+
+    Between two halvings a count is what it was after the first plus what has occurred since, so all contexts go through
+    their n-th period together; by the global clock, all symbols of a period do.
+    """
+    first = starting_counts(prior, size, kinds)
+    if not len(s):
+        return 0.0
+    s = s.astype(np.int64)
+    if halving == "global" and forget:
+        c, out = first.copy(), 0.0
+        for a in range(0, len(s), forget):
+            i, x = ids[a : a + forget], s[a : a + forget]
+            same, all_ = _earlier(i, x, kinds)
+            out += float((np.log2(c[i].sum(1) + all_) - np.log2(c[i, x] + same)).sum())
+            if len(i) == forget:
+                np.add.at(c, (i, x), 1)
+                c = np.maximum(c >> 1, 1)
+        return out
+    by = np.argsort(ids, kind="stable")
+    i, x = ids[by], s[by]
+    n = np.bincount(ids, minlength=size)
+    place = np.arange(len(i)) - np.repeat(np.cumsum(n) - n, n)
+    period = place // forget if forget else np.zeros_like(place)
+    starts = np.flatnonzero(np.concatenate([[True], (i[1:] != i[:-1]) | (period[1:] != period[:-1])]))  # of (context, period)
+    run = np.repeat(np.arange(len(starts)), np.diff(np.append(starts, len(i))))
+    total = np.bincount(run * kinds + x, minlength=len(starts) * kinds).reshape(-1, kinds)
+    c = np.empty((len(starts), kinds), np.int64)
+    turn = period[starts]
+    order = np.argsort(turn, kind="stable")
+    cuts = np.searchsorted(turn[order], np.arange(int(turn.max()) + 2))
+    for t in range(len(cuts) - 1):
+        own = order[cuts[t] : cuts[t + 1]]
+        c[own] = first[i[starts[own]]] if t == 0 else np.maximum(c[own - 1] + total[own - 1] >> 1, 1)
+    same, all_ = np.zeros(len(x), np.int64), np.arange(len(x)) - starts[run]
+    for k in range(kinds):
+        z = x == k
+        before = np.cumsum(z) - z
+        same[z] = (before - before[starts][run])[z]
+    return float((np.log2(c.sum(1)[run] + all_) - np.log2(c[run, x] + same)).sum())
+
+
+def starting_counts(prior, size: int, kinds: int) -> np.ndarray:
+    """Counts of all contexts before the first symbol: ones, a row for all, or a table."""
+    own = np.ones(kinds, np.int64) if prior is None else np.asarray(prior, np.int64)
+    return np.broadcast_to(own, (size, kinds)).copy()
+
+
+def _earlier(group: np.ndarray, x: np.ndarray, kinds: int) -> tuple[np.ndarray, np.ndarray]:
+    """How often each element's symbol, and any symbol, has occurred before in its group."""
+
+    def rank(key):
+        by = np.argsort(key, kind="stable")
+        k = key[by]
+        start = np.flatnonzero(np.concatenate([[True], k[1:] != k[:-1]]))
+        out = np.empty(len(k), np.int64)
+        out[by] = np.arange(len(k)) - np.repeat(start, np.diff(np.append(start, len(k))))
+        return out
+
+    return rank(group * kinds + x), rank(group)
 
 
 def order_free_bits(n: np.ndarray, prior: int = 1) -> float:

@@ -82,23 +82,16 @@ class PostingsReader(DataSourceReader):
         return [SegmentPartition(p) for p in sorted(glob.glob(f"{self.path}/**/*.parquet", recursive=True))]
 
     def read(self, partition):
-        import json
-
         import numpy as np
         import pyarrow.parquet as pq
 
-        from postings_engine.operators import arith
-        from postings_engine.operators.trits import Context
+        from postings_engine.operators.coders import decoded
 
         for r in pq.ParquetFile(partition.rows).read().to_pylist():
-            h = json.loads(r["header"])
-            if h.get("bits") and r["model"]:
+            if r["model"]:
                 raise ValueError("static segments need their model: read them with read_index and decode")
-            h["ctx"]["windows"] = tuple(h["ctx"]["windows"])
-            ctx = Context(**h["ctx"])
-            bits = arith.Bits(r["lengths"])
-            sizes = None if ctx.kinds == 4 else [bits.get_delta() for _ in range(r["n_lists"])]
-            lists = arith.decode_lists(r["payload"], sizes, r["n_lists"], ctx, None, h["forget"], h["prior"] and tuple(h["prior"]))
+            gaps, n = decoded(r | {"method": "trit_adaptive"}, b"")
+            lists = np.split(gaps, np.cumsum(n)[:-1])
             for term, before, gaps in zip(r["terms"], r["before"], lists, strict=True):
                 for x in (before + np.cumsum(gaps)).tolist():
                     yield term, x

@@ -52,18 +52,18 @@ def test_mini(mini):
     assert (g.gamma_bits, g.delta_bits, g.vbyte_bits, g.nibble_bits, g.unary_bits) == (58, 66, 144, 80, 60)
 
 
-def test_split_by_reference_both_ways(spark, mini, monkeypatch):
+@pytest.mark.parametrize("span", [256, 3])
+def test_split_by_reference(spark, mini, span, monkeypatch):
+    monkeypatch.setattr(clusters, "RANGE", span)
     pairs = postings.to_ids(mini.gaps)
     own = pairs.select("term").distinct().withColumn("c", F.lit(0))
     ref = clusters.reference_lists(pairs, own, 4)
     assert [r.ord for r in ref.orderBy("ord").collect()] == [2, 4, 11, 16]
     want = {("a", "hit"): [4], ("a", "rest"): [9], ("b", "hit"): [1, 3], ("b", "rest"): [5, 6, 8, 10], ("c", "hit"): [1, 2], ("c", "rest"): [2], ("d", "hit"): [3], ("e", "hit"): [2, 4], ("e", "rest"): [3, 4, 7, 11]}
-    for most in (clusters.MAX_REFERENCE, 0):
-        monkeypatch.setattr(clusters, "MAX_REFERENCE", most)
-        got: dict = {}
-        for r in clusters.split_by_reference(pairs, own, ref).collect():
-            got.setdefault((r.term, r.part), []).append(r.x)
-        assert {k: sorted(v) for k, v in got.items()} == want
+    got: dict = {}
+    for r in clusters.split_by_reference(pairs, own, ref).collect():
+        got.setdefault((r.term, r.part), []).append(r.x)
+    assert {k: sorted(v) for k, v in got.items()} == want
 
 
 def test_shards_are_lists_of_their_own(spark):

@@ -72,29 +72,11 @@ def kernel_bits(lists: Lists, names: list[str], by_list: bool = False) -> DataFr
     longest = OPT_LONGEST  # workers get the bound of the caller
 
     def one(name: str, g: np.ndarray, u: int) -> float:
-        if name in codecs.CODECS:
-            return codecs.CODECS[name].bits(g, u)
-        if name.startswith("midpoint_block"):
-            parts = codecs.blocked_midpoint(g, u, pad="pad" in name, skip="plain" if "plain" in name else "trimmed" if "trimmed" in name else None)
-            return sum(parts.values())
-        if name.startswith("midpoint_"):
-            _, short, mid = name.split(":")
-            return codecs.midpoint_bits(np.cumsum(g), u, short=short, mid=mid)
-        if name == "ef_block":
-            return codecs.ef_block_bits(g)
-        if name == "pef_approx":
-            return codecs.partitioned_ef_bits(g, "approx")
         if name in ("pef_opt", OPT_LONG):
             if (len(g) > longest) != (name == OPT_LONG):
                 return 0
-            return codecs.partitioned_ef_bits(g, "opt" if name == "pef_opt" else "approx")
-        if name.startswith("pef_skip"):  # maxima and offsets of parts priced as a directory of their own
-            return codecs.partitioned_ef_bits(g, "approx", fixed=96)
-        if name == "bitmap_runs":
-            return codecs.bitmap_runs_bits(g, u)
-        if name == "bitmap_chunks":
-            return codecs.bitmap_chunks_bits(g)
-        return codecs.compressed_bits(g, name)
+            name = "pef_opt" if name == "pef_opt" else "pef_approx"
+        return codecs.CODECS[name].bits(g, u)
 
     def run(batches):
         for b in batches:

@@ -607,57 +607,63 @@ def _middle(a, b, mid: str):
     return a + np.where(n + 1 <= p + p // 2, np.maximum(n - p // 2, 0), p - 1).clip(0, np.maximum(n - 1, 0))
 
 
-def _center_put(b: Bits, x: int, r: int) -> None:
+def _place(r: int, leaf: bool, short: str) -> int:
+    """What is added, modulo r, to a value so that the values with short codewords come first."""
     few = (2 << r.bit_length() - 1) - r
-    first = (r - few) // 2
-    put_truncated(b, (x - first) % r, r)
+    if short == "none":
+        return 0
+    return few // 2 if leaf and short == "center+leaf_ends" else -((r - few) // 2)
 
 
-def _center_get(b: Bits, r: int) -> int:
-    few = (2 << r.bit_length() - 1) - r
-    first = (r - few) // 2
-    return (get_truncated(b, r) + first) % r
+def put_ids(b: Bits, ids: list[int], x: int, y: int, short: str = "center", mid: str = "plain") -> None:
+    """Ascending ids, all in x..y, their number known."""
+    todo = [(0, len(ids), x, y)]
+    while todo:
+        i, j, x, y = todo.pop()
+        if j <= i or y - x + 1 == j - i:
+            continue
+        m = (i + j) // 2 if mid == "plain" else int(_middle(np.array([i]), np.array([j]), mid)[0])
+        least, r = x + m - i, y - x + 1 - (j - i) + 1
+        put_truncated(b, (ids[m] - least + _place(r, j - i == 1, short)) % r, r)
+        todo += [(m + 1, j, ids[m] + 1, y), (i, m, x, ids[m] - 1)]
 
 
-@codec("midpoint", lambda g, u: midpoint_bits(np.cumsum(g), u))
-def _midpoint():
-    def put(b, gaps, u):
-        ids = np.cumsum(gaps).tolist()
-        put_ids(b, ids, 0, len(ids), 1, u)
+def take_ids(b: Bits, n: int, x: int, y: int, short: str = "center", mid: str = "plain") -> list[int]:
+    ids = [0] * n
+    todo = [(0, n, x, y)]
+    while todo:
+        i, j, x, y = todo.pop()
+        if j <= i:
+            continue
+        if y - x + 1 == j - i:
+            ids[i:j] = range(x, y + 1)
+            continue
+        m = (i + j) // 2 if mid == "plain" else int(_middle(np.array([i]), np.array([j]), mid)[0])
+        least, r = x + m - i, y - x + 1 - (j - i) + 1
+        ids[m] = least + (get_truncated(b, r) - _place(r, j - i == 1, short)) % r
+        todo += [(m + 1, j, ids[m] + 1, y), (i, m, x, ids[m] - 1)]
+    return ids
 
-    def put_ids(b, ids, i, j, x, y):
-        todo = [(i, j, x, y)]
-        while todo:
-            i, j, x, y = todo.pop()
-            if j <= i or y - x + 1 == j - i:
-                continue
-            m = (i + j) // 2
-            least, most = x + m - i, y - (j - 1 - m)
-            _center_put(b, ids[m] - least, most - least + 1)
-            todo += [(m + 1, j, ids[m] + 1, y), (i, m, x, ids[m] - 1)]
 
-    def take(b, n, u):
-        ids = [0] * n
-        todo = [(0, n, 1, u)]
-        while todo:
-            i, j, x, y = todo.pop()
-            if j <= i:
-                continue
-            if y - x + 1 == j - i:
-                ids[i:j] = range(x, y + 1)
-                continue
-            m = (i + j) // 2
-            least, most = x + m - i, y - (j - 1 - m)
-            ids[m] = least + _center_get(b, most - least + 1)
-            todo += [(m + 1, j, ids[m] + 1, y), (i, m, x, ids[m] - 1)]
-        return [p - q for p, q in zip(ids, [0, *ids], strict=False)]
+def gaps_from(ids: list[int]) -> list[int]:
+    return [p - q for p, q in zip(ids, [0, *ids], strict=False)]
 
-    return put, take
+
+def midpoint_code(name: str, short: str, mid: str) -> None:
+    CODECS[name] = Codec(name, lambda b, g, u: put_ids(b, np.cumsum(g).tolist(), 1, u, short, mid), lambda b, n, u: gaps_from(take_ids(b, n, 1, u, short, mid)), lambda g, u: midpoint_bits(np.cumsum(g), u, short=short, mid=mid))
+
+
+midpoint_code("midpoint", "center", "plain")
+for _short in ("none", "center", "center+leaf_ends"):
+    for _mid in ("plain", "pow2"):
+        midpoint_code(f"midpoint_:{_short}:{_mid}", _short, _mid)
 
 
 def blocked_midpoint(gaps: np.ndarray, u: int, block: int = BLOCK, pad: bool = False, skip: str | None = None) -> dict[str, int]:
     """Bits by part of the blocked form: maxima of the blocks as a list of their own, each block inside known bounds with
-    its last id free. ``skip``: 'plain' adds a byte-coded span and an offset to each block, 'trimmed' the offset only."""
+    its last id free. ``skip``: 'plain' adds a byte-coded span and an offset to each block, 'trimmed' the offset only; what is
+    skipped to starts at a byte, so either pads."""
+    pad = pad or skip is not None
     ids = np.cumsum(gaps)
     last = np.append(ids[block - 1 :: block], ids[-1]) if len(ids) % block else ids[block - 1 :: block]
     maxima = midpoint_bits(last, u)
@@ -676,6 +682,53 @@ def blocked_midpoint(gaps: np.ndarray, u: int, block: int = BLOCK, pad: bool = F
     return {"maxima": maxima, "payload": payload, "padding": padding, "directory": directory}
 
 
+def blocked_code(name: str, block: int = BLOCK, pad: bool = False, skip: str | None = None) -> None:
+    """The blocked midpoint coder: maxima, then (with ``skip``) the directory, then the blocks."""
+
+    def put(b, gaps, u):
+        ids = np.cumsum(gaps).tolist()
+        tops = [ids[min(i + block, len(ids)) - 1] for i in range(0, len(ids), block)]
+        put_ids(b, tops, 1, u)
+        parts, low = [], 1
+        for k, top in enumerate(tops):
+            own = Bits()
+            put_ids(own, ids[k * block : min((k + 1) * block, len(ids)) - 1], low, top - 1)
+            n = 8 * len(own.out) + own.n
+            if skip:
+                _vb_put(b, max(1, -(-n // 8)), 7)  # the next block's offset, less this one's
+                if skip == "plain":
+                    _vb_put(b, top - low + 1, 7)
+            parts.append((own.bytes(), n))
+            low = top + 1
+        for raw, n in parts:
+            for i in range(0, n, 8):
+                m = min(8, n - i)
+                b.put(raw[i >> 3] >> 8 - m, m)
+            b.put(0, -n % 8 if pad or skip else 0)
+
+    def take(b, n, u):
+        tops = take_ids(b, -(-n // block), 1, u)
+        for _ in tops if skip else []:
+            _vb_get(b, 7)
+            if skip == "plain":
+                _vb_get(b, 7)
+        ids, low = [], 1
+        for k, top in enumerate(tops):
+            start = b.at
+            ids += [*take_ids(b, min(block, n - k * block) - 1, low, top - 1), top]
+            b.at += -(b.at - start) % 8 if pad or skip else 0
+            low = top + 1
+        return gaps_from(ids)
+
+    CODECS[name] = Codec(name, put, take, lambda g, u: sum(blocked_midpoint(g, u, block, pad, skip).values()) if len(g) else 0)
+
+
+blocked_code("midpoint_block")
+blocked_code("midpoint_block:pad", pad=True)
+blocked_code("midpoint_block:plain", skip="plain")
+blocked_code("midpoint_block:trimmed", skip="trimmed")
+
+
 def ef_bits(n: int, u: int) -> int:
     """The closed form for n ids in 1..u."""
     low = (u // n).bit_length() - 1 if u > n else 0
@@ -718,40 +771,113 @@ def ef_block_bits(gaps: np.ndarray, block: int = BLOCK) -> int:
     return out
 
 
+@codec("ef_block", lambda g, u: ef_block_bits(g))
+def _ef_block():
+    def put(b, gaps, u):
+        for i in range(0, len(gaps), BLOCK):
+            part = gaps[i : i + BLOCK]
+            b.put_delta(sum(part))
+            CODECS["elias_fano"].put(b, part, sum(part))
+
+    def take(b, n, u):
+        out = []
+        while len(out) < n:
+            span, m = b.get_delta(), min(BLOCK, n - len(out))
+            out += CODECS["elias_fano"].take(b, m, span)
+            b.at += (span >> _ef_low(m, span)) - (sum(out[-m:]) >> _ef_low(m, span))
+        return out
+
+    return put, take
+
+
+def _ef_low(n: int, u: int) -> int:
+    return (u // n).bit_length() - 1 if u > n else 0
+
+
 def part_bits(n: int, span: int, fixed: int) -> int:
     """A part of a partitioned list: nothing if dense, else the shorter of bitmap and Elias-Fano, and its entry."""
     return fixed + (0 if n == span else min(span, ef_bits(n, span)))
 
 
-def partitioned_ef_bits(gaps: np.ndarray, how: str = "approx", eps: float = 0.03, fixed: int = 64, longest: int = 20_000) -> int:
-    """Least total over cuts. 'opt' looks at all O(n^2) of them (only lists up to ``longest``), 'approx' from every place
-    only at those where the cost first passes the next power of 1 + eps."""
-    ids = np.concatenate([[0], np.cumsum(gaps)]).tolist()
+def partitions(gaps: np.ndarray, how: str = "approx", eps: float = 0.03, fixed: int = 64, longest: int = 20_000) -> tuple[int, list[int]]:
+    """(bits, ends of the parts) of least total over cuts. 'opt' looks at all O(n^2) of them (only lists up to ``longest``),
+    'approx' from every place only at those where the cost first passes the next power of 1 + eps."""
+    ids = np.concatenate([[0], np.cumsum(gaps)]).astype(np.int64).tolist()
     n = len(ids) - 1
-    best = [0] + [1 << 62] * n
+    best, back = [0] + [1 << 62] * n, [0] * (n + 1)
     if how == "opt":
         if n > longest:
             raise ValueError("list too long for the optimal partition")
         for j in range(1, n + 1):
-            best[j] = min(best[i] + part_bits(j - i, ids[j] - ids[i], fixed) for i in range(j))
-        return best[n]
-    bounds = [float(fixed)]
-    top = part_bits(n, ids[n], fixed)
-    while bounds[-1] < top:
-        bounds.append(bounds[-1] * (1 + eps))
-    ends = [0] * len(bounds)  # of each window, moving right with its start
-    for i in range(n):
-        for w, limit in enumerate(bounds):
-            j = max(ends[w], i + 1)
-            while j < n and part_bits(j + 1 - i, ids[j + 1] - ids[i], fixed) <= limit:
-                j += 1
-            ends[w] = j
-            c = best[i] + part_bits(j - i, ids[j] - ids[i], fixed)
-            if c < best[j]:
-                best[j] = c
-            if j == n:
-                break
-    return best[n]
+            best[j], back[j] = min((best[i] + part_bits(j - i, ids[j] - ids[i], fixed), i) for i in range(j))
+    else:
+        bounds = [float(fixed)]
+        top = part_bits(n, ids[n], fixed) if n else 0
+        while bounds[-1] < top:
+            bounds.append(bounds[-1] * (1 + eps))
+        ends = [0] * len(bounds)  # of each window, moving right with its start
+        for i in range(n):
+            for w, limit in enumerate(bounds):
+                j = max(ends[w], i + 1)
+                while j < n and part_bits(j + 1 - i, ids[j + 1] - ids[i], fixed) <= limit:
+                    j += 1
+                ends[w] = j
+                c = best[i] + part_bits(j - i, ids[j] - ids[i], fixed)
+                if c < best[j]:
+                    best[j], back[j] = c, i
+                if j == n:
+                    break
+    cuts, at = [], n
+    while at:
+        cuts.append(at)
+        at = back[at]
+    return best[n], cuts[::-1]
+
+
+def partitioned_ef_bits(gaps: np.ndarray, how: str = "approx", **more) -> int:
+    return partitions(gaps, how, **more)[0]
+
+
+def partitioned_code(name: str, how: str, fixed: int = 64) -> None:
+    """Parts behind entries of 24 bits for the length, 40 for the span and, if ``fixed`` has room, 32 for the offset."""
+
+    def put(b, gaps, u):
+        at = 0
+        for end in partitions(np.array(gaps, np.int64), how, fixed=fixed)[1]:
+            part = gaps[at:end]
+            span = sum(part)
+            b.put(len(part), 24)
+            b.put(span, 40)
+            if fixed > 64:
+                b.put(part_bits(len(part), span, 0), 32)
+            if len(part) < span and span <= ef_bits(len(part), span):
+                for g in part:
+                    put_unary(b, g)
+            elif len(part) < span:
+                CODECS["elias_fano"].put(b, part, span)
+            at = end
+
+    def take(b, n, u):
+        out = []
+        while len(out) < n:
+            m, span = b.get(24), b.get(40)
+            if fixed > 64:
+                b.get(32)
+            if m == span:
+                out += [1] * m
+            elif span <= ef_bits(m, span):
+                out += [get_unary(b) for _ in range(m)]
+            else:
+                out += CODECS["elias_fano"].take(b, m, span)
+                b.at += (span >> _ef_low(m, span)) - (sum(out[-m:]) >> _ef_low(m, span))
+        return out
+
+    CODECS[name] = Codec(name, put, take, lambda g, u: partitioned_ef_bits(g, how, fixed=fixed))
+
+
+partitioned_code("pef_opt", "opt")
+partitioned_code("pef_approx", "approx")
+partitioned_code("pef_skip", "approx", 96)
 
 
 def bernoulli_bits(gaps: np.ndarray, u: int) -> float:
@@ -772,10 +898,114 @@ def bitmap_chunks_bits(gaps: np.ndarray, chunk: int = 1 << 16) -> int:
     return int((32 + np.minimum(16 * n, chunk)).sum())
 
 
-def compressed_bits(gaps: np.ndarray, how: str) -> int:
+@codec("bitmap_runs", lambda g, u: bitmap_runs_bits(g, u) if len(g) else 0)
+def _bitmap_runs():
+    """Words of 32 bits: a literal one (0 and 31 bits) or a run of empty ones (1 and their number)."""
+
+    def put(b, gaps, u):
+        at, word, top = -1, -1, (u - 1) // 31
+        held = 0
+
+        def run(n):
+            if n:
+                b.put(1, 1)
+                b.put(n, 31)
+
+        for g in gaps:
+            at += g
+            if at // 31 != word:
+                if held:
+                    b.put(held, 32)
+                run(at // 31 - word - 1)
+                word, held = at // 31, 0
+            held |= 1 << 30 - at % 31
+        if held:
+            b.put(held, 32)
+        run(top - word)
+
+    def take(b, n, u):
+        ids, word = [], 0
+        while len(ids) < n:
+            if b.get(1):
+                word += b.get(31)
+            else:
+                x = b.get(31)
+                ids += [word * 31 + i + 1 for i in range(31) if x >> 30 - i & 1]
+                word += 1
+        return gaps_from(ids)
+
+    return put, take
+
+
+@codec("bitmap_chunks", lambda g, u: bitmap_chunks_bits(g))
+def _bitmap_chunks():
+    """Behind 16 bits for the chunk (less the last one) and 16 for the number of ids, less one: ids of 16 bits, or a bitmap."""
+
+    def put(b, gaps, u):
+        ids, last = (np.cumsum(gaps) - 1).tolist(), 0
+        i = 0
+        while i < len(ids):
+            c, j = ids[i] >> 16, i
+            while j < len(ids) and ids[j] >> 16 == c:
+                j += 1
+            if c - last >= 1 << 16:
+                raise ValueError("chunks further apart than 2**32 ids")
+            b.put(c - last, 16)
+            b.put(j - i - 1, 16)
+            if 16 * (j - i) <= 1 << 16:
+                for x in ids[i:j]:
+                    b.put(x & 65535, 16)
+            else:
+                at = -1
+                for x in ids[i:j]:
+                    put_unary(b, (x & 65535) - at)
+                    at = x & 65535
+                b.put(0, 65535 - at)
+            last, i = c, j
+
+    def take(b, n, u):
+        ids, c = [], 0
+        while len(ids) < n:
+            c += b.get(16)
+            m = b.get(16) + 1
+            if 16 * m <= 1 << 16:
+                ids += [(c << 16 | b.get(16)) + 1 for _ in range(m)]
+            else:
+                ids += [(c << 16) + i + 1 for i in range(1 << 16) if b.get(1)]
+        return gaps_from(ids)
+
+    return put, take
+
+
+def compressor(name: str, pack, unpack) -> None:
     """Stand-ins for general-purpose compressors, over byte-coded gaps."""
-    raw = CODECS["vbyte"].encode(gaps, 1 << 62)
-    return 8 * len({"zlib": zlib.compress, "bz2": bz2.compress, "lzma": lzma.compress}[how](raw))
+
+    def put(b, gaps, u):
+        for x in pack(CODECS["vbyte"].encode(gaps, 1 << 62)):
+            b.put(x, 8)
+
+    CODECS[name] = Codec(name, put, lambda b, n, u: CODECS["vbyte"].take(Bits(unpack(b.data)), n, u), lambda g, u: 8 * len(pack(CODECS["vbyte"].encode(g, 1 << 62))))
+
+
+compressor("zlib", zlib.compress, zlib.decompress)
+compressor("bz2", bz2.compress, bz2.decompress)
+compressor("lzma", lzma.compress, lzma.decompress)
+
+
+def compose(name: str, first: str, pack=zlib.compress, unpack=zlib.decompress) -> Codec:
+    """A block or list codec with an entropy stage behind it."""
+    inner = CODECS[first]
+
+    def put(b, gaps, u):
+        for x in pack(inner.encode(gaps, u)):
+            b.put(x, 8)
+
+    CODECS[name] = Codec(name, put, lambda b, n, u: inner.take(Bits(unpack(b.data)), n, u))
+    return CODECS[name]
+
+
+compose("simple8b+zlib", "simple8b")
+compose("packing+lzma", "packing", lzma.compress, lzma.decompress)
 
 
 def midpoint_udf():

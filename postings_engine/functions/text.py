@@ -46,6 +46,46 @@ def html_text(c: Column) -> Column:
     return c
 
 
+def html_text_strict():
+    """A function of a column: text outside scripts and styles by the standard library's parser, which also decodes every
+    entity. One Arrow batch at a time; :func:`html_text` stays in the JVM."""
+    import pandas as pd
+    from pyspark.sql.functions import pandas_udf
+
+    @pandas_udf("string")
+    def f(pages: pd.Series) -> pd.Series:
+        from html.parser import HTMLParser
+
+        class Text(HTMLParser):
+            def __init__(self):
+                super().__init__()
+                self.out, self.hidden = [], 0
+
+            def handle_starttag(self, tag, attrs):
+                self.hidden += tag in ("script", "style")
+                self.out.append(" ")
+
+            def handle_endtag(self, tag):
+                self.hidden -= tag in ("script", "style") and self.hidden > 0
+                self.out.append(" ")
+
+            def handle_data(self, data):
+                if not self.hidden:
+                    self.out.append(data)
+
+        def text(page):
+            if page is None:
+                return None
+            parser = Text()
+            parser.feed(page)
+            parser.close()
+            return "".join(parser.out)
+
+        return pages.map(text)
+
+    return f
+
+
 def trim_urls(c: Column) -> Column:
     """Cuts urls in a text after ``?`` and drops path pieces of more than 30 characters."""
     c = F.regexp_replace(c, r"(https?://[^\s?]*)\?\S*", "$1")
@@ -71,8 +111,11 @@ def dedup_docs(df: DataFrame, text_col: str = "text", id_col: str = "doc_id") ->
     return df.join(least, id_col, "left_semi")
 
 
-def with_stems(tok: DataFrame) -> DataFrame:
-    """(doc, stem) of (doc, term): the stemmer sees each distinct term once."""
+def with_stems(tok: DataFrame, of: Column | None = None) -> DataFrame:
+    """(doc, stem) of (doc, term): the stemmer sees each distinct term once. With ``of``, a condition on ``tok``, terms of
+    other rows pass through as they are."""
+    if of is not None:
+        return with_stems(tok.where(of).select("doc", "term")).unionByName(tok.where(~F.coalesce(of, F.lit(False))).select("doc", "term")).distinct()
     from .stem import stem_udf
 
     known = tok.select("term").distinct().withColumn("stem", stem_udf()("term"))

@@ -62,6 +62,12 @@ def block_code_bits(lists: Lists) -> DataFrame:
     return packed_blocks(lists).agg(F.count(F.lit(1)).alias("blocks"), F.sum(8 + F.col("n") * F.col("top")).cast("long").alias("packing_bits"), F.sum(16 + best).cast("long").alias("pfor_opt_bits"), F.sum(ef).cast("long").alias("ef_block_bits"))
 
 
+def directory_bits(lists: Lists, block: int = 128) -> int:
+    """Skip data of any blocked form: byte-coded span and length of each block of lists with more than one."""
+    rows = packed_blocks(Lists(lists.gaps.where(F.size("gaps") > block), lists.d, lists.w, lists.i), block)
+    return rows.agg(F.coalesce(F.sum(closed.vbyte(F.col("span")) + closed.vbyte(F.greatest(F.lit(1).cast("long"), F.ceil(F.col("n") * F.greatest(F.col("top"), F.lit(1)) / 8)))), F.lit(0))).first()[0]
+
+
 def kernel_bits(lists: Lists, names: list[str], by_list: bool = False) -> DataFrame:
     """(codec, bits), or (term, n, shard, codec, bits): kernels over Arrow batches. A shard is coded inside its own span
     if the list has several. With pef_opt, the lists too long for it come as ``OPT_LONG``, if there are any."""
@@ -208,9 +214,22 @@ def bitmap_context_bits(lists: Lists, k: int, w: int, adaptive: bool = False, bi
     return lists.gaps.sparkSession.createDataFrame([(float(payload), model)], "payload_bits double, model_bits bigint")
 
 
-def packed_classes(lists: Lists, block: int = 128, classes: int = 16, mantissa: str = "raw") -> DataFrame:
+def packed_symbols(gaps: np.ndarray, mantissa: str) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(bit lengths, symbols, raw bits) of gaps. 'modelled': a symbol is a whole gap, or from 2**16 on a class behind all
+    gaps; 'raw': always a class. What a class leaves open is sent raw."""
+    width = trits.bit_lengths(gaps)
+    wide = np.ones(len(gaps), bool) if mantissa == "raw" else gaps >= 1 << 16
+    return width, np.where(wide, width + (0 if mantissa == "raw" else 1 << 16), gaps), np.where(wide, width - 1, 0)
+
+
+def selector_of(width: np.ndarray, classes: int = 16) -> int:
+    cls = np.sort(np.minimum(width - 1, classes - 1))
+    return int(cls[(len(cls) - 1) // 2] * classes + cls[-1])
+
+
+def packed_classes(lists: Lists, block: int = 128, classes: int = 16, mantissa: str = "modelled") -> DataFrame:
     """(selector, symbol, n, raw): how often each symbol occurs in blocks of each selector = (median class, maximum class),
-    and the bits sent raw. Symbol -1 counts the selector's blocks. With mantissa 'modelled' a symbol is a whole gap."""
+    and the bits sent raw. Symbol -1 counts the selector's blocks."""
 
     def run(batches):
         for b in batches:
@@ -221,23 +240,21 @@ def packed_classes(lists: Lists, block: int = 128, classes: int = 16, mantissa:
             first = np.flatnonzero(place % block == 0)
             n = np.diff(np.append(first, len(gaps)))
             own = np.repeat(np.arange(len(first)), n)
-            width = trits.bit_lengths(gaps)
+            width, sym, raw = packed_symbols(gaps, mantissa)
             cls = np.minimum(width - 1, classes - 1)
             top = np.maximum.reduceat(cls, first)
             by = np.lexsort((cls, own))
-            median = cls[by][first + (n - 1) // 2]
-            selector = median * classes + top
-            sym = width if mantissa == "raw" else gaps
-            pairs, count = np.unique(np.stack([selector[own], sym], 1), axis=0, return_counts=True)
+            selector = cls[by][first + (n - 1) // 2] * classes + top
+            pairs, at, count = np.unique(np.stack([selector[own], sym], 1), axis=0, return_inverse=True, return_counts=True)
+            sent = np.bincount(at.ravel(), raw, len(pairs)).astype(np.int64)
             blocks, m = np.unique(selector, return_counts=True)
-            raw = count * (pairs[:, 1] - 1) if mantissa == "raw" else 0 * count
-            yield pa.RecordBatch.from_pydict({"selector": pa.array(np.concatenate([pairs[:, 0], blocks])), "symbol": pa.array(np.concatenate([pairs[:, 1], np.full(len(blocks), -1)])), "n": pa.array(np.concatenate([count, m]).astype(np.int64)), "raw": pa.array(np.concatenate([raw, np.zeros(len(blocks))]).astype(np.int64))})
+            yield pa.RecordBatch.from_pydict({"selector": pa.array(np.concatenate([pairs[:, 0], blocks])), "symbol": pa.array(np.concatenate([pairs[:, 1], np.full(len(blocks), -1)])), "n": pa.array(np.concatenate([count, m]).astype(np.int64)), "raw": pa.array(np.concatenate([sent, np.zeros(len(blocks), np.int64)]))})
 
     rows = lists.gaps.select("gaps").mapInArrow(run, "selector bigint, symbol bigint, n bigint, raw bigint")
     return rows.groupBy("selector", "symbol").agg(F.sum("n").alias("n"), F.sum("raw").alias("raw"))
 
 
-def packed_arith_bits(lists: Lists, selector: str = "arith", mantissa: str = "raw", bits: int = 12, **how) -> DataFrame:
+def packed_arith_bits(lists: Lists, selector: str = "arith", mantissa: str = "modelled", bits: int = 12, **how) -> DataFrame:
     """(blocks, selector_bits, payload_bits, model_bits, selector_bits_per_block): order-0 models, one for the selectors
     (or 6 raw bits with 'raw6'), one for each selector's symbols; a model stores a number and a fraction for each symbol."""
     c = packed_classes(lists, mantissa=mantissa, **how)

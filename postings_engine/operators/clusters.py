@@ -65,28 +65,64 @@ def space_reference_lists(pairs: DataFrame, clusters: DataFrame, r: int, d: int)
     return _best(df.withColumn("s", saved).where("s > 0"), F.col("s"), r)
 
 
-def split_by_reference(pairs: DataFrame, clusters: DataFrame, reference: DataFrame, shrink: bool = True) -> DataFrame:
-    """(term, c, part, x): 'hit' with the position in the cluster's reference list, or 'rest' with the id, less the number
-    of reference ids below it if ``shrink``.
+def _with_below(rows: DataFrame, marks: DataFrame, x: str) -> DataFrame:
+    """``rows`` (c, x, ...) with ``below``, how many of the cluster's ``marks`` (c, y) are less than x, and ``hit``, whether x
+    is one: an as-of join without a sort of a cluster's rows.
 
-    Ids are cut into ranges of RANGE. For each cluster and range a row holds its reference ids and how many lie in the
-    ranges before; pairs meet it in a join by cluster and range.
+    Numbers are cut into ranges of RANGE. For each cluster and range a row holds its marks and how many lie in the ranges
+    before; rows meet it in a join by cluster and range.
     """
-    cell = F.floor(F.col("ord") / RANGE).cast("long")
-    held = reference.groupBy("c", cell.alias("cell")).agg(F.sort_array(F.collect_list("ord")).alias("ids"))
-    ahead = F.sum("m").over(Window.partitionBy("c").orderBy("cell").rowsBetween(Window.unboundedPreceding, -1))  # over numbers of ranges only
-    after = F.coalesce(F.lead("cell").over(Window.partitionBy("c").orderBy("cell")), F.lit(None).cast("long"))
-    counts = held.select("c", "cell", F.size("ids").alias("m")).withColumns({"ahead": F.coalesce(ahead, F.lit(0).cast("long")), "next": after})
-    top = pairs.agg(F.coalesce(F.max(cell), F.lit(0))).first()[0]
-    # ranges without a reference id share what the last one with some has
-    spread = counts.select("c", F.explode(F.sequence("cell", F.greatest(F.col("cell"), F.coalesce(F.col("next") - 1, F.lit(top))))).alias("cell"), F.col("cell").alias("at"), "ahead", "m")
-    known = spread.join(held.withColumnRenamed("cell", "at"), ["c", "at"]).select("c", "cell", F.when(F.col("cell") == F.col("at"), F.col("ahead")).otherwise(F.col("ahead") + F.col("m")).alias("ahead"), F.when(F.col("cell") == F.col("at"), F.col("ids")).otherwise(F.array().cast("array<bigint>")).alias("ids"))
-    rows = pairs.join(clusters, "term").withColumn("cell", cell).join(known, ["c", "cell"], "left")
+    cell = lambda c: F.floor(F.col(c) / RANGE).cast("long")
+    held = marks.groupBy("c", cell("y").alias("cell")).agg(F.sort_array(F.collect_list("y")).alias("ids"))
+    own = Window.partitionBy("c").orderBy("cell")  # over numbers of ranges only
+    counts = held.select("c", "cell", F.size("ids").alias("m")).withColumns({"ahead": F.coalesce(F.sum("m").over(own.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0).cast("long")), "next": F.lead("cell").over(own)})
+    top = rows.agg(F.coalesce(F.max(cell(x)), F.lit(0))).first()[0]
+    # ranges without a mark share what the last one with some has
+    until = F.greatest(F.col("cell"), F.coalesce(F.col("next") - 1, F.lit(top)))
+    spread = counts.select("c", F.explode(F.sequence("cell", until)).alias("cell"), F.col("cell").alias("at"), "ahead", "m")
+    here = F.col("cell") == F.col("at")
+    known = spread.join(held.withColumnRenamed("cell", "at"), ["c", "at"]).select("c", "cell", F.when(here, F.col("ahead")).otherwise(F.col("ahead") + F.col("m")).alias("ahead"), F.when(here, F.col("ids")).otherwise(F.array().cast("array<bigint>")).alias("ids"))
     ids = F.coalesce("ids", F.array().cast("array<bigint>"))
-    below = F.coalesce("ahead", F.lit(0).cast("long")) + F.size(F.filter(ids, lambda y: y < F.col("ord")))
-    hit = F.array_contains(ids, F.col("ord"))
-    value = F.when(hit, below + 1).otherwise(F.col("ord") - (below if shrink else 0))
-    return rows.select("term", "c", F.when(hit, "hit").otherwise("rest").alias("part"), value.cast("long").alias("x"))
+    joined = rows.withColumn("cell", cell(x)).join(known, ["c", "cell"], "left")
+    return joined.withColumns({"below": F.coalesce("ahead", F.lit(0).cast("long")) + F.size(F.filter(ids, lambda y: y < F.col(x))), "hit": F.array_contains(ids, F.col(x))}).drop("cell", "ahead", "ids")
+
+
+def split_by_reference(pairs: DataFrame, clusters: DataFrame, reference: DataFrame, shrink: bool = True) -> DataFrame:
+    """(term, c, part, x): 'hit' with the position in the cluster's reference list, or 'rest' with the id, less the number
+    of reference ids below it if ``shrink``."""
+    rows = _with_below(pairs.join(clusters, "term"), reference.select("c", F.col("ord").alias("y")), "ord")
+    value = F.when(F.col("hit"), F.col("below") + 1).otherwise(F.col("ord") - (F.col("below") if shrink else 0))
+    return rows.select("term", "c", F.when(F.col("hit"), "hit").otherwise("rest").alias("part"), value.cast("long").alias("x"))
+
+
+def merge_by_reference(split: DataFrame, reference: DataFrame, shrink: bool = True) -> DataFrame:
+    """(term, ord) back from :func:`split_by_reference`."""
+    hits = split.where("part = 'hit'").join(reference.select("c", "ord", F.col("rank").cast("long").alias("x")), ["c", "x"]).select("term", "ord")
+    rest = split.where("part = 'rest'")
+    if not shrink:
+        return hits.unionByName(rest.select("term", F.col("x").alias("ord")))
+    # the i-th reference id lies below an id that has shrunk to x if it is less than x + i
+    marks = reference.select("c", (F.col("ord") - F.col("rank")).cast("long").alias("y"))
+    return hits.unionByName(_with_below(rest, marks, "x").select("term", (F.col("x") + F.col("below")).alias("ord")))
+
+
+def clustered_roundtrip(lists: Lists, clusters: DataFrame, r: int, codec: str = "midpoint", shrink: bool = True) -> DataFrame:
+    """(mismatches) of coding and decoding the clustered form of any codec of single lists, or of a trit coder."""
+    from ..plans.measures import list_bytes, list_gaps
+    from .coders import decode, encode
+
+    pairs, clusters = cut(to_ids(lists.gaps)), cut(clusters)
+    reference = cut(reference_lists(pairs, clusters, r))
+    split = cut(split_by_reference(pairs, clusters, reference, shrink))
+    back = None
+    for part, universe in (("hit", r), ("rest", lists.d)):
+        gaps = cut(to_gaps(split.where(F.col("part") == part).select("term", F.col("x").alias("ord"))))
+        own = Lists(gaps, universe, 0, gaps.agg(F.coalesce(F.sum(F.size("gaps")), F.lit(0))).first()[0])
+        done = decode(cut(encode(own, codec))) if codec.startswith("trit_") else list_gaps(cut(list_bytes(own, codec)), codec, universe)
+        one = to_ids(done).withColumnRenamed("ord", "x").join(clusters, "term").select("term", "c", F.lit(part).alias("part"), "x")
+        back = one if back is None else back.unionByName(one)
+    merged = merge_by_reference(back, reference, shrink)
+    return merged.exceptAll(pairs).unionByName(pairs.exceptAll(merged)).agg(F.count(F.lit(1)).alias("mismatches"))
 
 
 def clustered_bits(lists: Lists, clusters: DataFrame, r: int, name: str = "midpoint", shrink: bool = True, reference: DataFrame | None = None) -> DataFrame:

@@ -288,15 +288,20 @@ def roundtrip_mismatches(lists: DataFrame, decoded: DataFrame) -> DataFrame:
 def sweep_static(lists: Lists, contexts: dict[str, Context], bits: int | str = 8) -> DataFrame:
     """(model, contexts, model_bits, payload_bits) for each context model, from one count pass; 'exact' counts are stored
     at the least width that holds them and predict exactly."""
-    n = collected(context_counts(lists.gaps, contexts), contexts)
+    rows = priced(collected(context_counts(lists.gaps, contexts), contexts), contexts, bits)
+    return lists.gaps.sparkSession.createDataFrame(rows, "model string, contexts bigint, model_bits bigint, payload_bits double")
+
+
+def priced(counts: dict[str, np.ndarray], contexts: dict[str, Context], bits: int | str) -> list[tuple[str, int, int, float]]:
+    """(model, contexts, model_bits, payload_bits) of counted models at one width of the stored fractions."""
     rows = []
     for name, c in contexts.items():
+        n = counts[name]
         if bits == "exact":
-            width = max(1, int(n[name].max()).bit_length())
-            rows.append((name, c.size, c.kinds * width * c.size, trits.ideal_bits(n[name])))
+            rows.append((name, c.size, c.kinds * max(1, int(n.max()).bit_length()) * c.size, float(trits.ideal_bits(n))))
         else:
-            rows.append((name, c.size, c.model_bits(bits), trits.ideal_bits(n[name], trits.quantise(n[name], bits))))
-    return lists.gaps.sparkSession.createDataFrame([(a, b, c, float(d)) for a, b, c, d in rows], "model string, contexts bigint, model_bits bigint, payload_bits double")
+            rows.append((name, c.size, c.model_bits(bits), float(trits.ideal_bits(n, trits.quantise(n, bits)))))
+    return rows
 
 
 def sweep_adaptive(lists: Lists, contexts: dict[str, tuple[Context, int | None]], order: str = "length", target: int = SEGMENT_TRITS, halving: str = "context", prior=None) -> DataFrame:

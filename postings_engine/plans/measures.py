@@ -86,20 +86,54 @@ def timed(action: Callable[[], DataFrame], runs: int = 3) -> float:
     return sum(took) / runs
 
 
-def time_codec(lists: Lists, method: str, runs: int = 3) -> tuple[float, float]:
-    """Microseconds per integer to code and to decode, jobs as a whole."""
-    i = max(1, lists.i)
-    if method.startswith("trit_"):
-        from ..operators.ids import cut
+def verify(lists: Lists, names: list[str]) -> DataFrame:
+    """(codec, lists, ints, mismatches, wrong_sizes, bits): every list shard coded and decoded by each codec, in one pass;
+    a size is wrong if the bytes are not the priced bits, rounded up."""
+    import numpy as np
+    import pyarrow as pa
+
+    from ..operators.codecs import CODECS
+
+    d = lists.d
 
-        up = timed(lambda: coders.encode(lists, method), runs)
-        done = cut(coders.encode(lists, method))
-        return 1e6 * up / i, 1e6 * timed(lambda: coders.decode(done), runs) / i
+    def run(batches):
+        for b in batches:
+            rows = [(np.array(g, np.int64), d if n == len(g) else sum(g)) for g, n in zip(b.column(1).to_pylist(), b.column(0).to_pylist(), strict=True)]
+            out = []
+            for name in names:
+                c, bad, wrong, bits = CODECS[name], 0, 0, 0
+                for g, u in rows:
+                    raw, size = c.encode(g, u), c.bits(g, u)
+                    bad += not np.array_equal(c.decode(raw, len(g), u), g)
+                    wrong += len(raw) != -(-size // 8)
+                    bits += size
+                out.append((name, len(rows), sum(len(g) for g, _ in rows), bad, wrong, bits))
+            yield pa.RecordBatch.from_arrays([pa.array(list(x)) for x in zip(*out, strict=True)], names=["codec", "lists", "ints", "mismatches", "wrong_sizes", "bits"])
+
+    kind = "codec string, lists bigint, ints bigint, mismatches bigint, wrong_sizes bigint, bits bigint"
+    return lists.gaps.select("n", "gaps").mapInArrow(run, kind).groupBy("codec").agg(*(F.sum(c).alias(c) for c in ("lists", "ints", "mismatches", "wrong_sizes", "bits")))
+
+
+def overheads(lists: Lists) -> DataFrame:
+    """(form, bits, ratio): what blocks, padding and skip data add to the midpoint coder, and skip data to partitions."""
+    base = {"midpoint_block": "midpoint", "midpoint_block:pad": "midpoint_block", "midpoint_block:plain": "midpoint_block", "midpoint_block:trimmed": "midpoint_block", "pef_skip": "pef_approx"}
+    got = baselines.kernel_bits(lists, [*base, "midpoint", "pef_approx"])
+    pairs = F.create_map(*(F.lit(x) for kv in base.items() for x in kv))
+    own = got.where(F.col("codec").isin(list(base))).withColumn("base", pairs[F.col("codec")])
+    return own.join(got.select(F.col("codec").alias("base"), F.col("bits").alias("b")), "base").select(F.col("codec").alias("form"), "base", "bits", F.round(F.col("bits") / F.col("b"), 6).alias("ratio"))
+
+
+def time_codec(lists: Lists, method: str, runs: int = 10, **how) -> tuple[float, float]:
+    """Microseconds per integer to code and to decode, jobs as a whole, mean of ``runs``."""
     from ..operators.ids import cut
 
-    up = timed(lambda: list_bytes(lists, method), runs)
-    done = cut(list_bytes(lists, method))
-    return 1e6 * up / i, 1e6 * timed(lambda: list_gaps(done, method, lists.d), runs) / i
+    i = max(1, lists.i)
+    if method.startswith("trit_"):
+        code, back = lambda: coders.encode(lists, method, **how), coders.decode
+    else:
+        code, back = lambda: list_bytes(lists, method), lambda done: list_gaps(done, method, lists.d)
+    up, done = timed(code, runs), cut(code())
+    return 1e6 * up / i, 1e6 * timed(lambda: back(done), runs) / i
 
 
 def list_bytes(lists: Lists, method: str) -> DataFrame:

@@ -9,13 +9,20 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..operators import baselines, clusters, coders, trits
-from ..operators.postings import Lists, filter_min_len, threshold_for_share
+from ..operators.ids import cut
+from ..operators.postings import Lists, filter_min_len, threshold_for_share, to_ids
 from ..sources.tables import read_table
 from . import measures
 from .corpora import column_lists, corpus
 
 Row = tuple[str, str, str, str, str, float, int]
 WORKLOADS: dict[str, Callable[[SparkSession, str], Iterable[Row]]] = {}
+#: The axes of the sweeps. With 0 and 1 apart a context costs 3 to the k, so k ends at 8 there.
+EVEN = tuple(range(0, 15, 2))
+W6_GRID = [(k, w) for k in (0, 2, 4, 6, 8) for w in EVEN]
+W7_GRID = [(k, w) for k in EVEN for w in EVEN] + [(k, w) for k in (12, 14, 16) for w in (20, 40, 60)]
+W9_BOTH = {"merged": trits.hybrid(10, 12, 4), "apart": trits.Context(10, (12,), 4, False, False)}
+W9_BITS = (*range(2, 24), "exact")
 SCHEMA = "workload string, dataset string, method string, params string, part string, bits double, ints bigint"
 
 
@@ -26,7 +33,7 @@ def workload(f):
 
 def run_workload(spark: SparkSession, name: str, sf_dir: str) -> DataFrame:
     """Measurements are few rows: one for each dataset, method, setting and part."""
-    rows = [(name, *r[:4], float(r[4]), int(r[5])) for r in WORKLOADS[name](spark, sf_dir)]
+    rows = [(name, *r[:4], round(float(r[4]), 1), int(r[5])) for r in WORKLOADS[name](spark, sf_dir)]
     return spark.createDataFrame(rows, SCHEMA).withColumn("bpi", F.round(F.col("bits") / F.greatest(F.col("ints"), F.lit(1)), 4))
 
 
@@ -35,10 +42,6 @@ def _compared(dataset: str, lists: Lists, methods=measures.MAIN, params: str = "
         yield dataset, r.method, params, r.part, r.bits, lists.i
 
 
-def _largest(lists: dict[str, Lists], k: int) -> dict[str, Lists]:
-    return dict(sorted(lists.items(), key=lambda x: -x[1].i)[:k])
-
-
 @workload
 def w1_mailboxes(spark, sf_dir):
     """Conversations, split by role and whole, by bisection."""
@@ -98,22 +101,22 @@ def _sweep(dataset, lists, contexts, bits, method="trit_static"):
 def w6_static_apart(spark, sf_dir):
     """k and w with 0 and 1 kept apart, counts stored exactly."""
     lists = corpus(spark, sf_dir, "documents", "source")
-    yield from _sweep("documents", lists, {f"k={k} w={w}": trits.full_count(k, w) for k in (0, 2, 4, 6, 8) for w in (0, 4, 8, 12)}, "exact")
+    yield from _sweep("documents", lists, {f"k={k} w={w}": trits.full_count(k, w) for k, w in W6_GRID}, "exact")
 
 
 @workload
 def w7_static_merged(spark, sf_dir):
     """k and w with 0 and 1 merged in contexts, 8-bit fractions."""
     lists = corpus(spark, sf_dir, "documents", "source")
-    yield from _sweep("documents", lists, {f"k={k} w={w}": trits.hybrid(k, w, -(-k // 3)) for k in (0, 2, 4, 6, 8, 10, 12) for w in (0, 4, 8, 12, 16)}, 8)
+    yield from _sweep("documents", lists, {f"k={k} w={w}": trits.hybrid(k, w, -(-k // 3)) for k, w in W7_GRID}, 8)
 
 
 @workload
 def w8_adaptive(spark, sf_dir):
     """k, w and the halving period of the adaptive coder."""
     lists = corpus(spark, sf_dir, "documents", "source")
-    grid = {f"k={k} w={w} n=256": (trits.hybrid(k, w, min(2 * k, 8)), 256) for k in (0, 4, 7, 10) for w in (0, 7, 12)}
-    grid |= {f"k=7 w=7 n={n}": (trits.hybrid(7, 7, 8), n) for n in (64, 1024, 4096, None)}
+    grid = {f"k={k} w={w} n=256": (trits.hybrid(k, w, min(2 * k, 8)), 256) for k in EVEN for w in EVEN}
+    grid |= {f"k=7 w=7 n={n}": (trits.hybrid(7, 7, 8), n) for n in (64, 256, 1024, 4096, None)}
     for r in coders.sweep_adaptive(lists, grid).collect():
         yield "documents", "trit_adaptive", r.model, "payload", r.payload_bits, lists.i
 
@@ -122,10 +125,11 @@ def w8_adaptive(spark, sf_dir):
 def w9_widths(spark, sf_dir):
     """The width of stored fractions at k = 10, w = 12, k_init = 4, with and without merging."""
     lists = corpus(spark, sf_dir, "documents", "source")
-    both = {"merged": trits.hybrid(10, 12, 4), "apart": trits.Context(8, (12,), 4, False, False)}
-    for b in (2, 4, 6, 8, 12, 16, 23, "exact"):
-        for d, m, p, part, bits, i in _sweep("documents", lists, both, b):
-            yield d, m, f"{p} bits={b}", part, bits, i
+    n = coders.collected(coders.context_counts(lists.gaps, W9_BOTH), W9_BOTH)
+    for b in W9_BITS:
+        for name, contexts, model_bits, payload in coders.priced(n, W9_BOTH, b):
+            yield "documents", "trit_static", f"{name} bits={b}", "model", model_bits, lists.i
+            yield "documents", "trit_static", f"{name} bits={b}", "payload", payload, lists.i
 
 
 KERNELS = ["midpoint", "midpoint_block", "midpoint_block:pad", "elias_fano", "ef_block", "pef_approx", "pef_opt", "simple9", "simple16", "simple8b", "qmx", "packing", "packing_vector", "pfor_fast", "pfor_new", "pfor_opt", "split_blocks", "adaptive_frames", "group_varint", "g8iu", "bitmap_runs", "bitmap_chunks", "zlib", "bz2", "lzma"]
@@ -140,8 +144,8 @@ def _kernels(dataset, lists, names, params=""):
 
 @workload
 def w10_all_methods(spark, sf_dir):
-    """All codecs, the two trit coders, and clustered forms, on pages and a table of verse size."""
-    for table in ("pages", "benchmark"):
+    """All codecs, the two trit coders, and clustered forms, on documents, pages and a table of verse size."""
+    for table in ("documents", "pages", "benchmark"):
         lists = corpus(spark, sf_dir, table, "bisect")
         yield from _kernels(table, lists, KERNELS)
         gap = baselines.gap_code_bits(lists).first().asDict()
@@ -149,11 +153,11 @@ def w10_all_methods(spark, sf_dir):
             yield table, name, "", "payload", gap[f"{name}_bits"], lists.i
         yield table, "bernoulli", "", "payload", baselines.density_bits(lists).first().bernoulli_bits, lists.i
         yield from _compared(table, lists, ("packed_arith", "trit_static", "trit_adaptive", "bitmap_markov4"))
-    own = clusters.cluster_terms(lists, 4, 16)
-    for shrink in (False, True):
-        for name in ("midpoint", "pef_approx", "packed_arith", "trit_adaptive"):
-            for r in clusters.clustered_bits(lists, own, 8, name, shrink).collect():
-                yield "benchmark", f"clustered:{name}", f"shrink={shrink}", r.part, r.bits, lists.i
+        own = clusters.cluster_terms(lists, 4, 16)
+        for shrink in (False, True):
+            for name in ("midpoint", "pef_approx", "packed_arith", "trit_adaptive"):
+                for r in clusters.clustered_bits(lists, own, max(8, lists.d // 8), name, shrink).collect():
+                    yield table, f"clustered:{name}", f"shrink={shrink}", r.part, r.bits, lists.i
 
 
 SKIPPING = ["midpoint", "midpoint_block", "midpoint_block:pad", "midpoint_block:plain", "midpoint_block:trimmed", "pef_approx", "pef_skip"]
@@ -161,20 +165,20 @@ SKIPPING = ["midpoint", "midpoint_block", "midpoint_block:pad", "midpoint_block:
 
 @workload
 def w11_filtered_skipping(spark, sf_dir):
-    """Blocked and skipping forms on long lists only, with clustered and space-based forms."""
-    lists, m = _filtered(corpus(spark, sf_dir, "pages", "bisect"), 0.882)
-    yield from _kernels("pages", lists, SKIPPING, f"min_len={m}")
-    yield from _compared("pages", lists, ("packed_arith", "trit_adaptive"), f"min_len={m}")
-    own = clusters.cluster_terms(lists, 8, 32)
-    r = max(8, lists.d // 8)
-    for name in ("midpoint", "pef_approx"):
-        for x in clusters.clustered_bits(lists, own, r, name).collect():
-            yield "pages", f"clustered:{name}", f"r={r}", x.part, x.bits, lists.i
-    from ..operators.postings import to_ids
-
-    space = clusters.space_reference_lists(to_ids(lists.gaps), own, r, lists.d)
-    for x in clusters.clustered_bits(lists, own, r, "pef_approx", reference=space).collect():
-        yield "pages", "clustered:pef_approx:space", f"r={r}", x.part, x.bits, lists.i
+    """Blocked and skipping forms on long lists only, with clustered and space-based forms and their skip data."""
+    for table, share in (("pages", 0.882), ("pages", 0.912), ("documents", 0.882), ("documents", 0.912)):
+        lists, m = _filtered(corpus(spark, sf_dir, table, "bisect"), share)
+        params = f"share={share} min_len={m}"
+        yield from _kernels(table, lists, SKIPPING, params)
+        yield from _compared(table, lists, ("packed_arith", "trit_adaptive"), params)
+        yield table, "packed_arith", params, "directory", baselines.directory_bits(lists), lists.i
+        own = clusters.cluster_terms(lists, 8, 32)
+        r = max(8, lists.d // 8)
+        pairs = cut(to_ids(lists.gaps))
+        space = clusters.space_reference_lists(pairs, own, r, lists.d)
+        for name, reference in (("midpoint", None), ("pef_approx", None), ("pef_skip", None), ("pef_approx", space)):
+            for x in clusters.clustered_bits(lists, own, r, name, reference=reference).collect():
+                yield table, f"clustered:{name}" + (":space" if reference is not None else ""), f"{params} r={r}", x.part, x.bits, lists.i
 
 
 @workload
@@ -184,17 +188,6 @@ def w12_skipping(spark, sf_dir):
         yield from _kernels("pages", corpus(spark, sf_dir, "pages", order), SKIPPING, order)
 
 
-@workload
-def w13_times(spark, sf_dir):
-    """Microseconds per integer (under ``bits``) of coding and decoding, on the verse-like table and conversations."""
-    for table in ("benchmark", "conversations"):
-        lists = corpus(spark, sf_dir, table)
-        for m in ("midpoint", "delta", "trit_static", "trit_adaptive"):
-            up, down = measures.time_codec(lists, m, 1)
-            yield table, m, "microseconds per integer", "compress", up * lists.i, lists.i
-            yield table, m, "microseconds per integer", "decompress", down * lists.i, lists.i
-
-
 @workload
 def w14_batches(spark, sf_dir):
     """Density classes: the four-state bitmap coder whole and by class, and the best method of each class."""
@@ -241,12 +234,12 @@ def w16_bit_contexts(spark, sf_dir):
 @workload
 def w17_balanced(spark, sf_dir):
     """One stored number for 0 and 1 together: half the model, a longer payload."""
-    lists = corpus(spark, sf_dir, "pages", "bisect")
+    lists = corpus(spark, sf_dir, "documents", "source")
     c = trits.hybrid(5, 6, 2)
     n = coders.collected(coders.context_counts(lists.gaps, {"m": c}), {"m": c})["m"]
     for balanced in (False, True):
-        yield "pages", "trit_static", f"balanced={balanced}", "payload", trits.ideal_bits(n, trits.quantise(n, 8, balanced)), lists.i
-        yield "pages", "trit_static", f"balanced={balanced}", "model", c.model_bits(8, 1 if balanced else 2), lists.i
+        yield "documents", "trit_static", f"balanced={balanced}", "payload", trits.ideal_bits(n, trits.quantise(n, 8, balanced)), lists.i
+        yield "documents", "trit_static", f"balanced={balanced}", "model", c.model_bits(8, 1 if balanced else 2), lists.i
 
 
 @workload

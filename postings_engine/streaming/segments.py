@@ -31,6 +31,26 @@ def sessions(events: DataFrame, gap: str = "30 minutes", delay: str = "1 hour")
     return events.withWatermark("ts", delay).groupBy(F.session_window("ts", gap).alias("window"), "user_id").agg(F.count(F.lit(1)).alias("n"))
 
 
+def late_rows(query) -> int:
+    """Rows that a query dropped as later than its watermark."""
+    return sum(op.numRowsDroppedByWatermark for p in query.recentProgress for op in p.stateOperators)
+
+
+def running_counts(events: DataFrame, delay: str = "1 hour") -> DataFrame:
+    """(event_type, n, last) after each micro-batch: a stateful operator that holds one row for each type."""
+    import pandas as pd
+
+    def step(key, frames, state):
+        n, last = state.get if state.exists else (0, -1)
+        for f in frames:
+            n, last = n + len(f), max(last, int(f["event_id"].max()))
+        state.update((n, last))
+        yield pd.DataFrame({"event_type": [key[0]], "n": [n], "last": [last]})
+
+    rows = on_time(events, delay).select("event_type", "event_id")
+    return rows.groupBy("event_type").applyInPandasWithState(step, "event_type string, n long, last long", "n long, last long", "update", "NoTimeout")
+
+
 def lists_of_events(events: DataFrame, value: Column | None = None) -> Lists:
     """Value -> event numbers from 1."""
     value = F.col("event_type") if value is None else value

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Iterable
 
+import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -49,7 +50,6 @@ def html_text(c: Column) -> Column:
 def html_text_strict():
     """A function of a column: text outside scripts and styles by the standard library's parser, which also decodes every
     entity. One Arrow batch at a time; :func:`html_text` stays in the JVM."""
-    import pandas as pd
     from pyspark.sql.functions import pandas_udf
 
     @pandas_udf("string")

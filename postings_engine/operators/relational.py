@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.functions import udtf
@@ -87,7 +88,6 @@ def register(spark: SparkSession) -> None:
 def midpoint_total() -> Column:
     """A grouped aggregate: bits of the midpoint coder over lists (ids, u)."""
     import numpy as np
-    import pandas as pd
     from pyspark.sql.functions import pandas_udf
 
     from .codecs import midpoint_bits

@@ -72,7 +72,7 @@ def context_counts(lists: DataFrame, contexts: dict[str, Context]) -> DataFrame:
     def sparse(name, ctx, n):
         wide = np.zeros((len(ctx), 4), np.int64)
         wide[:, : n.shape[1]] = n
-        return pa.RecordBatch.from_pydict({"model": pa.array([name] * len(ctx), pa.string()), "ctx": pa.array(ctx), **{f"n{j}": pa.array(wide[:, j].copy()) for j in range(4)}})
+        return pa.RecordBatch.from_pydict({"model": pa.array([name] * len(ctx), pa.string()), "ctx": pa.array(ctx, pa.int64()), **{f"n{j}": pa.array(wide[:, j].copy()) for j in range(4)}})
 
     def run(batches):
         total: dict[str, np.ndarray] = {}
@@ -88,8 +88,7 @@ def context_counts(lists: DataFrame, contexts: dict[str, Context]) -> DataFrame:
                 s, pos = cache[c.kinds]
                 ids = c.ids(s, pos)
                 if c.size > DENSE_CONTEXTS:
-                    used, own = np.unique(ids, return_inverse=True)
-                    yield sparse(name, used, trits.counts(own, s, len(used), c.kinds))
+                    yield sparse(name, *trits.sparse_counts(ids, s, c.kinds))
                     continue
                 n = trits.counts(ids, s, c.size, c.kinds)
                 total[name] = total[name] + n if name in total else n
@@ -108,12 +107,14 @@ def collected(counts: DataFrame, contexts: dict[str, Context]) -> dict[str, np.n
     """Counts as arrays on the driver; at most MAX_CONTEXTS rows for each model."""
     out = {name: np.zeros((c.size, c.kinds), np.int64) for name, c in contexts.items()}
     t = counts.toArrow()
-    names = np.array(t.column("model").to_pylist())
+    coded = t.column("model").combine_chunks().dictionary_encode()
+    coded = coded.combine_chunks() if isinstance(coded, pa.ChunkedArray) else coded
+    place, names = coded.indices.to_numpy(), coded.dictionary.to_pylist()
     ctx = t.column("ctx").to_numpy()
     wide = np.stack([t.column(f"n{j}").to_numpy() for j in range(4)], 1) if t.num_rows else np.zeros((0, 4), np.int64)
     for name, c in contexts.items():
-        mine = names == name
-        if mine.any():
+        if name in names:
+            mine = np.flatnonzero(place == names.index(name))
             out[name][ctx[mine]] = wide[mine][:, : c.kinds]
     return out
 
@@ -297,8 +298,9 @@ def priced(counts: dict[str, np.ndarray], contexts: dict[str, Context], bits: in
     rows = []
     for name, c in contexts.items():
         n = counts[name]
+        n = n[n.any(1)]  # a context that never occurs costs its place in the model only
         if bits == "exact":
-            rows.append((name, c.size, c.kinds * max(1, int(n.max()).bit_length()) * c.size, float(trits.ideal_bits(n))))
+            rows.append((name, c.size, c.kinds * max(1, int(n.max(initial=0)).bit_length()) * c.size, float(trits.ideal_bits(n))))
         else:
             rows.append((name, c.size, c.model_bits(bits), float(trits.ideal_bits(n, trits.quantise(n, bits)))))
     return rows

@@ -94,39 +94,53 @@ class Context:
 
     def ids(self, s: np.ndarray, pos: np.ndarray) -> np.ndarray:
         """Context of each symbol; ``pos`` is its place in its list. The initial ones come first, by length."""
-        n, reach = len(s), self.reach
-        out = np.zeros(n, np.int64)
-        z = (s == 2).astype(np.int64)
-        digit = z if self.merge else np.minimum(s, 2).astype(np.int64)
-        far = pos >= reach
-        code = np.zeros(n, np.int64)
-        for j in range(self.k, 0, -1):
-            code[j:] = code[j:] * self.base + digit[: max(n - j, 0)]
-        if reach:
-            total = np.concatenate([[0], np.cumsum(z)])
-            at, scale, back = np.arange(n), self.base**self.k, self.k
-            general = code.copy()
-            for w in self.windows:
-                a, b = np.maximum(at - back - w, 0), np.maximum(at - back, 0)
-                general += scale * (total[b] - total[a])
-                scale *= w + 1
-                back += w
-            out[far] = self.initial + general[far]
-            near = ~far
-            if near.any():
-                b = 2 if self.merge_init else 3
-                d = z if self.merge_init else np.minimum(s, 2).astype(np.int64)
-                short = np.zeros(n, np.int64)
-                for q in range(self.k_init + 1):
-                    mine = near & (np.minimum(pos, self.k_init) == q)
-                    idx = np.flatnonzero(mine)
-                    short[idx] = sum(b**i for i in range(q))
-                    for j in range(1, q + 1):
-                        short[idx] += d[idx - j] * b ** (j - 1)
-                out[near] = short[near]
+        n, kind = len(s), np.int32 if self.size * 4 < 1 << 31 else np.int64
+        z = (s == 2).astype(kind)
+        digits = {2: z} if self.merge and self.merge_init else {2: z, 3: np.minimum(s, 2).astype(kind)}
+        out = _recent(digits[self.base], self.k, self.base)
+        if not self.reach:
+            return out
+        total = np.concatenate([[0], np.cumsum(z)]).astype(kind)
+        scale, back = self.base**self.k, self.k
+        for w in self.windows:
+            a, b = _behind(total, back + w, n), _behind(total, back, n)
+            b -= a
+            b *= scale
+            out += b
+            scale *= w + 1
+            back += w
+        out += self.initial
+        near = np.flatnonzero(pos < self.reach)
+        b = 2 if self.merge_init else 3
+        q = np.minimum(pos[near], self.k_init)
+        powers = np.array([b**i for i in range(self.k_init + 1)], kind)
+        before = (np.cumsum(powers) - powers).astype(kind)
+        out[near] = before[q] + _recent(digits[b], self.k_init, b)[near] % powers[q]
         return out
 
 
+def _recent(digit: np.ndarray, k: int, base: int) -> np.ndarray:
+    """The k digits before each place as a number, the nearest lowest; by halves, so log(k) passes."""
+    if k < 2:
+        out = np.zeros_like(digit)
+        if k:
+            out[1:] = digit[:-1]
+        return out
+    half = k // 2
+    out = _recent(digit, half, base)
+    far = out if k == 2 * half else _recent(digit, k - half, base)
+    far = far[: max(len(digit) - half, 0)] * digit.dtype.type(base**half)
+    out[half:] += far
+    return out
+
+
+def _behind(total: np.ndarray, back: int, n: int) -> np.ndarray:
+    """Of running totals (0 first), the one ``back`` places before each of n places."""
+    out = np.zeros(n, total.dtype)
+    out[back:] = total[: max(n - back, 0)]
+    return out
+
+
 def none() -> Context:
     return Context(0)
 
@@ -156,6 +170,16 @@ def counts(ids: np.ndarray, s: np.ndarray, size: int, kinds: int = 3) -> np.ndar
     return np.bincount(ids * kinds + s, minlength=size * kinds).reshape(size, kinds)
 
 
+def sparse_counts(ids: np.ndarray, s: np.ndarray, kinds: int = 3) -> tuple[np.ndarray, np.ndarray]:
+    """(contexts that occur, their counts by symbol), without a table of all contexts."""
+    both, times = np.unique(ids * kinds + s, return_counts=True)
+    context = both // kinds
+    used = np.flatnonzero(np.diff(context, prepend=-1))
+    out = np.zeros((len(used), kinds), np.int64)
+    out[np.repeat(np.arange(len(used)), np.diff(np.append(used, len(both)))), both % kinds] = times
+    return context[used], out
+
+
 def ideal_bits(n: np.ndarray, q: np.ndarray | None = None) -> float:
     """Of counts n by (context, symbol), coded with the integer fractions q, by default their own frequencies."""
     q = n if q is None else q
@@ -216,14 +240,14 @@ def adaptive_bits(ids: np.ndarray, s: np.ndarray, size: int, kinds: int = 3, for
     """Ideal bits of one adaptive stream: counts start at the prior (one row, or one for each context), grow by one, and are halved (floor, at least 1) after
     every ``forget`` steps of a context, or of the whole stream with halving='global'.
 
-    Between two halvings a count is what it was after the first plus what has occurred since, so all contexts go through
-    their n-th period together; by the global clock, all symbols of a period do.
+    Between two halvings the steps of a context cost the same in any order: log2 of rising products, so of each period only
+    its counts matter. All contexts go through their n-th period together; by the global clock, all symbols of a period do.
     """
     first = starting_counts(prior, size, kinds)
     if not len(s):
         return 0.0
-    s = s.astype(np.int64)
     if halving == "global" and forget:
+        s = s.astype(np.int64)
         c, out = first.copy(), 0.0
         for a in range(0, len(s), forget):
             i, x = ids[a : a + forget], s[a : a + forget]
@@ -233,32 +257,37 @@ def adaptive_bits(ids: np.ndarray, s: np.ndarray, size: int, kinds: int = 3, for
                 np.add.at(c, (i, x), 1)
                 c = np.maximum(c >> 1, 1)
         return out
-    by = np.argsort(ids, kind="stable")
-    i, x = ids[by], s[by]
     n = np.bincount(ids, minlength=size)
-    place = np.arange(len(i)) - np.repeat(np.cumsum(n) - n, n)
-    period = place // forget if forget else np.zeros_like(place)
-    starts = np.flatnonzero(np.concatenate([[True], (i[1:] != i[:-1]) | (period[1:] != period[:-1])]))  # of (context, period)
-    run = np.repeat(np.arange(len(starts)), np.diff(np.append(starts, len(i))))
-    total = np.bincount(run * kinds + x, minlength=len(starts) * kinds).reshape(-1, kinds)
-    c = np.empty((len(starts), kinds), np.int64)
-    turn = period[starts]
+    turns = -(-n // forget) if forget else np.minimum(n, 1)
+    context = np.repeat(np.arange(size), turns)
+    turn = np.arange(len(context)) - np.repeat(np.cumsum(turns) - turns, turns)
+    steps = n[context] - turn * forget if forget else n[context]
+    steps = np.minimum(steps, forget) if forget else steps
+    run = np.repeat(np.arange(len(steps)) * kinds, steps)  # symbols by context and period
+    run += s[_by_group(ids, size)]
+    total = np.bincount(run, minlength=len(steps) * kinds).reshape(-1, kinds)
+    c = np.empty((len(steps), kinds), np.int64)
     order = np.argsort(turn, kind="stable")
     cuts = np.searchsorted(turn[order], np.arange(int(turn.max()) + 2))
     for t in range(len(cuts) - 1):
         own = order[cuts[t] : cuts[t + 1]]
-        c[own] = first[i[starts[own]]] if t == 0 else np.maximum(c[own - 1] + total[own - 1] >> 1, 1)
-    same, all_ = np.zeros(len(x), np.int64), np.arange(len(x)) - starts[run]
-    for k in range(kinds):
-        z = x == k
-        before = np.cumsum(z) - z
-        same[z] = (before - before[starts][run])[z]
-    return float((np.log2(c.sum(1)[run] + all_) - np.log2(c[run, x] + same)).sum())
+        c[own] = first[context[own]] if t == 0 else np.maximum(c[own - 1] + total[own - 1] >> 1, 1)
+    whole = c.sum(1)
+    log = np.concatenate([[0.0, 0.0], np.cumsum(np.log2(np.arange(1, int((whole + steps).max()))))])  # of (m - 1)!
+    return float((log[whole + steps] - log[whole]).sum() - (log[c + total] - log[c]).sum())
+
+
+def _by_group(ids: np.ndarray, size: int) -> np.ndarray:
+    """Places ordered by group, then by place; 16 bits at a time, which are sorted by counting."""
+    by = np.argsort((ids & 0xFFFF).astype(np.uint16), kind="stable")
+    return by if size <= 1 << 16 else by[np.argsort((ids >> 16).astype(np.uint16)[by], kind="stable")]
 
 
 def starting_counts(prior, size: int, kinds: int) -> np.ndarray:
     """Counts of all contexts before the first symbol: ones, a row for all, or a table."""
     own = np.ones(kinds, np.int64) if prior is None else np.asarray(prior, np.int64)
+    if own.min() < 1:
+        raise ValueError("starting counts are at least 1")
     return np.broadcast_to(own, (size, kinds)).copy()
 
 

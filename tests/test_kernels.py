@@ -190,3 +190,30 @@ def test_bisection_groups_topics():
 def test_stems():
     pairs = {"caresses": "caress", "flies": "fli", "agreed": "agre", "hopping": "hop", "relational": "relat", "conditional": "condit", "running": "run", "national": "nation", "cats": "cat", "the": "the", "generously": "generous", "sky": "sky", "happiness": "happi", "adjustment": "adjust"}
     assert {w: stem(w) for w in pairs} == pairs
+
+
+def test_sparse_counts_equal_the_table():
+    rng = np.random.default_rng(3)
+    for n in (0, 1, 700):
+        ids, s = rng.integers(0, 50, n).astype(np.int32), rng.integers(0, 3, n).astype(np.uint8)
+        used, got = trits.sparse_counts(ids, s)
+        whole = trits.counts(ids, s, 50)
+        assert used.tolist() == np.flatnonzero(whole.any(1)).tolist() and np.array_equal(got, whole[used])
+
+
+def test_adaptive_bits_of_wide_models_with_halving():
+    """More than 16 bits of contexts, against counts kept one by one."""
+    rng = np.random.default_rng(4)
+    size = 1 << 18
+    ids, s = rng.choice([5, 70_000, size - 1], 900), rng.integers(0, 3, 900)
+    counts, steps, bits = {}, {}, 0.0
+    for i, x in zip(ids.tolist(), s.tolist(), strict=True):
+        c = counts.setdefault(i, [1, 1, 1])
+        bits += np.log2(sum(c) / c[x])
+        c[x] += 1
+        steps[i] = steps.get(i, 0) + 1
+        if steps[i] % 16 == 0:
+            counts[i] = [max(1, v >> 1) for v in c]
+    assert abs(trits.adaptive_bits(ids, s.astype(np.uint8), size, 3, 16) - bits) < 1e-6
+    with pytest.raises(ValueError):
+        trits.adaptive_bits(ids, s, size, 3, 16, prior=(0, 1, 1))

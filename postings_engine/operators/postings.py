@@ -17,6 +17,8 @@ from .ordering import order_by
 
 #: Ids of one shard of a list; no row ever holds more.
 SHARD = 1 << 20
+#: Maps of at most so many documents (16 bytes each) are broadcast; postings never are.
+SMALL_MAP = 1 << 20
 
 
 @dataclass(frozen=True)
@@ -30,9 +32,11 @@ class Lists:
     i: int
 
 
-def postings(tok: DataFrame, doc_map: DataFrame) -> DataFrame:
-    """(term, ord) of (doc, term) and (doc, ord)."""
-    return tok.join(doc_map, "doc").select("term", "ord")
+def postings(tok: DataFrame, doc_map: DataFrame, d: int | None = None) -> DataFrame:
+    """(term, ord) of (doc, term) and (doc, ord). ``d``, if known, is the number of documents and says whether their map is
+    broadcast. Left to itself the planner may take the postings for the smaller side: it knows texts before they are split."""
+    side = F.broadcast(doc_map) if d is not None and d <= SMALL_MAP else doc_map.hint("merge")
+    return tok.join(side, "doc").select("term", "ord")
 
 
 def postings_from_column(df: DataFrame, value: Column, row: Column) -> DataFrame:
@@ -45,9 +49,10 @@ def to_gaps(pairs: DataFrame, shard: int = SHARD) -> DataFrame:
     a shard's count and last id, never its ids, meet those of the word's other shards in a task."""
     own = F.floor((F.col("ord") - 1) / shard).cast("long").alias("shard")
     lists = pairs.groupBy("term", own).agg(F.sort_array(F.collect_list("ord")).alias("ids"))
-    ends = pairs.groupBy("term", own).agg(F.max("ord").alias("last"), F.count(F.lit(1)).alias("m"))
+    lists = lists.where("term is not null and shard is not null")  # the join's own filter, on both uses alike: one shuffle serves both
+    ends = lists.select("term", "shard", F.element_at("ids", -1).alias("last"), F.size("ids").alias("m"))  # from the same shuffle
     word = Window.partitionBy("term")
-    ends = ends.select("term", "shard", F.coalesce(F.lag("last").over(word.orderBy("shard")), F.lit(0).cast("long")).alias("before"), F.sum("m").over(word).alias("n"))
+    ends = ends.select("term", "shard", F.coalesce(F.lag("last").over(word.orderBy("shard")), F.lit(0).cast("long")).alias("before"), F.sum("m").over(word).cast("long").alias("n"))
     gaps = F.transform("ids", lambda x, i: x - F.when(i == 0, F.col("before")).otherwise(F.get("ids", i - 1)))
     return lists.join(ends, ["term", "shard"]).select("term", "n", "shard", "before", gaps.alias("gaps"))
 
@@ -77,9 +82,9 @@ def build(tok: DataFrame, doc_map: DataFrame | None = None, keep: bool = True) -
     """Lists of (doc, term), documents numbered by ``doc_map``, by id if none is given."""
     if doc_map is None:
         doc_map = order_by(tok.select("doc").distinct(), "doc")
-    gaps = to_gaps(postings(tok, doc_map))
-    gaps = cut(gaps) if keep else gaps
     d = doc_map.count()
+    gaps = to_gaps(postings(tok, doc_map, d))
+    gaps = cut(gaps) if keep else gaps
     w, i = gaps.agg(F.coalesce(F.sum((F.col("before") == 0).cast("long")), F.lit(0)), F.coalesce(F.sum(F.size("gaps")), F.lit(0))).first()
     return Lists(gaps, d, w, i)
 

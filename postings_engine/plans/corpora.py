@@ -31,8 +31,9 @@ def corpus(spark: SparkSession, sf_dir: str, table: str = "documents", order: st
         docs = docs.where(where)
     if dedup:
         docs = dedup_docs(docs, "text", "doc")
-    tok = cut(tokens(docs, "doc", "text"))
+    tok = tokens(docs, "doc", "text")
     if order == "bisect":
+        tok = cut(tok)  # each level reads it again
         found = ordering.order_bisect(tok)
         rest = docs.select("doc").join(found, "doc", "left_anti")  # documents without a word come last
         n = found.count()

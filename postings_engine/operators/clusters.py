@@ -108,21 +108,35 @@ def merge_by_reference(split: DataFrame, reference: DataFrame, shrink: bool = Tr
 
 def clustered_roundtrip(lists: Lists, clusters: DataFrame, r: int, codec: str = "midpoint", shrink: bool = True) -> DataFrame:
     """(mismatches) of coding and decoding the clustered form of any codec of single lists, or of a trit coder."""
+    return clustered_roundtrips(lists, clusters, r, (codec,), (shrink,)).select("mismatches")
+
+
+def clustered_roundtrips(lists: Lists, clusters: DataFrame, r: int, codecs: tuple[str, ...], shrinks: tuple[bool, ...] = (False, True)) -> DataFrame:
+    """(codec, shrink, mismatches): clusters and reference lists are found once, lists split once for each form."""
     from ..plans.measures import list_bytes, list_gaps
     from .coders import decode, encode
 
     pairs, clusters = cut(to_ids(lists.gaps)), cut(clusters)
     reference = cut(reference_lists(pairs, clusters, r))
-    split = cut(split_by_reference(pairs, clusters, reference, shrink))
-    back = None
-    for part, universe in (("hit", r), ("rest", lists.d)):
-        gaps = cut(to_gaps(split.where(F.col("part") == part).select("term", F.col("x").alias("ord"))))
-        own = Lists(gaps, universe, 0, gaps.agg(F.coalesce(F.sum(F.size("gaps")), F.lit(0))).first()[0])
-        done = decode(cut(encode(own, codec))) if codec.startswith("trit_") else list_gaps(cut(list_bytes(own, codec)), codec, universe)
-        one = to_ids(done).withColumnRenamed("ord", "x").join(clusters, "term").select("term", "c", F.lit(part).alias("part"), "x")
-        back = one if back is None else back.unionByName(one)
-    merged = merge_by_reference(back, reference, shrink)
-    return merged.exceptAll(pairs).unionByName(pairs.exceptAll(merged)).agg(F.count(F.lit(1)).alias("mismatches"))
+    out = None
+    for shrink in shrinks:
+        split = cut(split_by_reference(pairs, clusters, reference, shrink))
+        parts = []
+        for part, universe in (("hit", r), ("rest", lists.d)):
+            gaps = cut(to_gaps(split.where(F.col("part") == part).select("term", F.col("x").alias("ord"))))
+            parts.append((part, Lists(gaps, universe, 0, gaps.agg(F.coalesce(F.sum(F.size("gaps")), F.lit(0))).first()[0])))
+        for codec in codecs:
+            back = None
+            for part, own in parts:
+                done = decode(cut(encode(own, codec))) if codec.startswith("trit_") else list_gaps(cut(list_bytes(own, codec)), codec, own.d)
+                one = to_ids(done).withColumnRenamed("ord", "x").join(clusters, "term").select("term", "c", F.lit(part).alias("part"), "x")
+                back = one if back is None else back.unionByName(one)
+            merged = merge_by_reference(back, reference, shrink)
+            both = merged.select("term", "ord", F.lit(1).alias("s")).unionByName(pairs.select("term", "ord", F.lit(-1).alias("s")))
+            wrong = both.groupBy("term", "ord").agg(F.abs(F.sum("s")).alias("m")).agg(F.coalesce(F.sum("m"), F.lit(0)).cast("long").alias("mismatches"))
+            one = wrong.select(F.lit(codec).alias("codec"), F.lit(shrink).alias("shrink"), "mismatches")
+            out = one if out is None else out.unionByName(one)
+    return out
 
 
 def clustered_bits(lists: Lists, clusters: DataFrame, r: int, name: str = "midpoint", shrink: bool = True, reference: DataFrame | None = None) -> DataFrame:

@@ -123,12 +123,7 @@ def clustered_roundtrips(spark, sf_dir):
     """Split by reference lists, coded, decoded and merged again."""
     lists = corpus(spark, sf_dir, "benchmark")
     own = cut(_letters(postings.to_ids(lists.gaps)))
-    out = None
-    for codec in ("midpoint", "pef_approx", "midpoint_block:trimmed", "trit_static", "trit_adaptive"):
-        for shrink in (False, True):
-            one = clusters.clustered_roundtrip(lists, own, 8, codec, shrink).select(F.lit(codec).alias("codec"), F.lit(shrink).alias("shrink"), "mismatches")
-            out = one if out is None else out.unionByName(one)
-    return out
+    return clusters.clustered_roundtrips(lists, own, 8, ("midpoint", "pef_approx", "midpoint_block:trimmed", "trit_static", "trit_adaptive"))
 
 
 @query

@@ -106,6 +106,12 @@ def merge_by_reference(split: DataFrame, reference: DataFrame, shrink: bool = Tr
     return hits.unionByName(_with_below(rest, marks, "x").select("term", (F.col("x") + F.col("below")).alias("ord")))
 
 
+def pair_mismatches(got: DataFrame, want: DataFrame) -> DataFrame:
+    """(mismatches): pairs (term, ord) that one side holds oftener than the other, each as often as it does."""
+    both = got.select("term", "ord", F.lit(1).alias("s")).unionByName(want.select("term", "ord", F.lit(-1).alias("s")))
+    return both.groupBy("term", "ord").agg(F.abs(F.sum("s")).alias("m")).agg(F.coalesce(F.sum("m"), F.lit(0)).cast("long").alias("mismatches"))
+
+
 def clustered_roundtrip(lists: Lists, clusters: DataFrame, r: int, codec: str = "midpoint", shrink: bool = True) -> DataFrame:
     """(mismatches) of coding and decoding the clustered form of any codec of single lists, or of a trit coder."""
     return clustered_roundtrips(lists, clusters, r, (codec,), (shrink,)).select("mismatches")
@@ -132,9 +138,7 @@ def clustered_roundtrips(lists: Lists, clusters: DataFrame, r: int, codecs: tupl
                 one = to_ids(done).withColumnRenamed("ord", "x").join(clusters, "term").select("term", "c", F.lit(part).alias("part"), "x")
                 back = one if back is None else back.unionByName(one)
             merged = merge_by_reference(back, reference, shrink)
-            both = merged.select("term", "ord", F.lit(1).alias("s")).unionByName(pairs.select("term", "ord", F.lit(-1).alias("s")))
-            wrong = both.groupBy("term", "ord").agg(F.abs(F.sum("s")).alias("m")).agg(F.coalesce(F.sum("m"), F.lit(0)).cast("long").alias("mismatches"))
-            one = wrong.select(F.lit(codec).alias("codec"), F.lit(shrink).alias("shrink"), "mismatches")
+            one = pair_mismatches(merged, pairs).select(F.lit(codec).alias("codec"), F.lit(shrink).alias("shrink"), "mismatches")
             out = one if out is None else out.unionByName(one)
     return out
 

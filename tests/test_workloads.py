@@ -339,6 +339,13 @@ def test_mixing_of_codecs(small):
         assert (rules[name].bits, rules[name].ints) == (sum(cost[t][name] for t in own), sum(len(words[t]) for t in own))
 
 
+def test_pair_mismatches(spark):
+    schema = "term string, ord bigint"
+    want = spark.createDataFrame([("a", 1), ("a", 2), ("b", 1)], schema)
+    for got, n in (([("b", 1), ("a", 2), ("a", 1)], 0), ([("a", 1), ("a", 1), ("a", 2), ("b", 2)], 3), ([], 3)):
+        assert clusters.pair_mismatches(spark.createDataFrame(got, schema), want).first().mismatches == n
+
+
 @pytest.mark.parametrize("shrink", [False, True])
 def test_clustered_bits(spark, small, shrink):
     lists, words = small(1)

@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 import __spark_entry__ as entry
 from postings_engine.operators import baselines, clusters, coders, lookup, ordering, postings
 from postings_engine.operators.postings import Lists
-from postings_engine.plans import measures
+from postings_engine.plans import corpora, measures
 from postings_engine.plans.corpora import corpus
 from postings_engine.plans.oracles import ORACLES
 from postings_engine.plans.queries import QUERIES
@@ -200,3 +200,12 @@ def test_entry(spark):
 def test_header_is_readable(spark, sf_dir):
     s = coders.encode(corpus(spark, sf_dir, "benchmark"), "trit_static")
     assert json.loads(s.first().header)["bits"] == 8
+
+
+@pytest.mark.parametrize("name", ["json_value_lists"])
+def test_a_list_of_several_shards_is_one_row(spark, duck, sf_dir, name, monkeypatch):
+    whole = postings.to_gaps
+    monkeypatch.setattr(corpora, "to_gaps", lambda pairs: whole(pairs, 50))
+    df = entry.queries()[name](spark, sf_dir)
+    want = duck.execute(ORACLES[name])
+    assert rows_of(df.columns, [tuple(r) for r in df.collect()]) == rows_of([d[0] for d in want.description], want.fetchall())

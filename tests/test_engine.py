@@ -202,7 +202,7 @@ def test_header_is_readable(spark, sf_dir):
     assert json.loads(s.first().header)["bits"] == 8
 
 
-@pytest.mark.parametrize("name", ["json_value_lists", "part_order_lists", "daily_lists"])
+@pytest.mark.parametrize("name", ["json_value_lists", "part_order_lists", "daily_lists", "event_type_lists"])
 def test_a_list_of_several_shards_is_one_row(spark, duck, sf_dir, name, monkeypatch):
     whole = postings.to_gaps
     monkeypatch.setattr(corpora, "to_gaps", lambda pairs: whole(pairs, 50))

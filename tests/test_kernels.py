@@ -217,3 +217,20 @@ def test_adaptive_bits_of_wide_models_with_halving():
     assert abs(trits.adaptive_bits(ids, s.astype(np.uint8), size, 3, 16) - bits) < 1e-6
     with pytest.raises(ValueError):
         trits.adaptive_bits(ids, s, size, 3, 16, prior=(0, 1, 1))
+
+
+@pytest.mark.parametrize("name", ["midpoint", "midpoint_:center+leaf_ends:pow2", "midpoint_block", "midpoint_block:pad", "midpoint_block:plain", "midpoint_block:trimmed", "pef_approx", "pef_skip", "pef_opt"])
+def test_sizes_of_many_lists_at_once(name):
+    rng = np.random.default_rng(11)
+    sizes = np.concatenate([rng.integers(1, 9, 40), rng.integers(100, 300, 5)])
+    rng.shuffle(sizes)
+    lists = [np.where(rng.random(n) < 0.5, 1, rng.geometric(p, n)).astype(np.int64) for n, p in zip(sizes, rng.choice([0.9, 0.1, 0.001], len(sizes)), strict=True)]
+    u = np.array([g.sum() for g in lists]) + rng.integers(0, 40, len(lists))
+    assert name in codecs.MANY
+    got = codecs.sizes_of(name, np.concatenate(lists), sizes, u)
+    assert got.tolist() == [codecs.CODECS[name].bits(g, x) for g, x in zip(lists, u, strict=True)]
+    assert (-(-got // 8)).tolist() == [len(codecs.CODECS[name].encode(g, x)) for g, x in zip(lists, u, strict=True)]
+    if name.startswith("pef"):
+        assert codecs.partition_sizes(np.concatenate(lists), sizes, "opt" if name == "pef_opt" else "approx", fixed=96 if name == "pef_skip" else 64, cells=500).tolist() == got.tolist()
+    with pytest.raises(ValueError):
+        codecs.sizes_of(name, np.array([3, 3]), np.array([2]), np.array([5]))

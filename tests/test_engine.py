@@ -209,3 +209,15 @@ def test_a_list_of_several_shards_is_one_row(spark, duck, sf_dir, name, monkeypa
     df = entry.queries()[name](spark, sf_dir)
     want = duck.execute(ORACLES[name])
     assert rows_of(df.columns, [tuple(r) for r in df.collect()]) == rows_of([d[0] for d in want.description], want.fetchall())
+
+
+@pytest.mark.parametrize("parts", [1, 5])
+def test_bisection_goes_on_in_tasks_of_its_parts(spark, sf_dir, parts, monkeypatch):
+    tok = corpora.tokens(corpora.documents_of(spark, sf_dir, "documents"), "doc", "text").cache()
+    monkeypatch.setattr(ordering, "LOCAL_PARTS", parts)
+    got = {r.doc: r.ord for r in ordering.order_bisect(tok).collect()}
+    pairs = tok.toPandas()
+    docs, terms = sorted(set(pairs["doc"])), pairs["term"].factorize()[0]
+    place = {x: i for i, x in enumerate(docs)}
+    order = ordering.bisect_block(pairs["doc"].map(place).to_numpy(), terms, len(docs))
+    assert [docs[i] for i in order] == sorted(got, key=got.get)

@@ -221,3 +221,17 @@ def test_bisection_goes_on_in_tasks_of_its_parts(spark, sf_dir, parts, monkeypat
     place = {x: i for i, x in enumerate(docs)}
     order = ordering.bisect_block(pairs["doc"].map(place).to_numpy(), terms, len(docs))
     assert [docs[i] for i in order] == sorted(got, key=got.get)
+
+
+def test_bisection_in_one_task_reads_its_pairs_once(spark):
+    read = spark.sparkContext.accumulator(0)
+
+    def count(batches):
+        for b in batches:
+            read.add(b.num_rows)
+            yield b
+
+    rows = [(i, f"{i % 3}_{j}") for i in range(60) for j in range(5)]
+    tok = spark.createDataFrame(rows, "doc bigint, term string").mapInArrow(count, "doc bigint, term string")
+    assert ordering.order_bisect(tok).count() == 60
+    assert read.value == len(rows)

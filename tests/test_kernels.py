@@ -234,3 +234,40 @@ def test_sizes_of_many_lists_at_once(name):
         assert codecs.partition_sizes(np.concatenate(lists), sizes, "opt" if name == "pef_opt" else "approx", fixed=96 if name == "pef_skip" else 64, cells=500).tolist() == got.tolist()
     with pytest.raises(ValueError):
         codecs.sizes_of(name, np.array([3, 3]), np.array([2]), np.array([5]))
+
+
+def test_bisection_against_a_plain_program():
+    def plain(docs, words, rounds, least):
+        if len(docs) <= least:
+            return docs
+        side = {x: int(i >= len(docs) // 2) for i, x in enumerate(docs)}
+        s = (len(docs) // 2, len(docs) - len(docs) // 2)
+        cost = lambda d, s: d * np.log2(s / (d + 1.0))
+        fixed = lambda x: int(np.rint(x * (1 << ordering.FRACTION)))
+        for _ in range(rounds):
+            degree = [{}, {}]
+            for x in docs:
+                for t in words[x]:
+                    degree[side[x]][t] = degree[side[x]].get(t, 0) + 1
+            gain = {}
+            for x in docs:
+                a, b = side[x], 1 - side[x]
+                gain[x] = sum(fixed(cost(degree[a][t], s[a]) - cost(degree[a][t] - 1, s[a])) - fixed(cost(degree[b].get(t, 0) + 1, s[b]) - cost(degree[b].get(t, 0), s[b])) for t in words[x])
+            left, right = (sorted((x for x in docs if side[x] == h), key=lambda x: -gain[x]) for h in (0, 1))
+            swap = [(x, y) for x, y in zip(left, right, strict=False) if gain[x] + gain[y] > 0]
+            if not swap:
+                break
+            for x, y in swap:
+                side[x], side[y] = 1, 0
+        return [y for h in (0, 1) for y in plain([x for x in docs if side[x] == h], words, rounds, least)]
+
+    rng = np.random.default_rng(5)
+    for n in (1, 9, 37, 100):
+        words = [sorted({int(x) for x in rng.zipf(1.5, 12) % 60} | ({1000 + i} if i % 3 else set())) if i % 7 else [] for i in range(n)]
+        pairs = np.array([(i, t) for i, own in enumerate(words) for t in own if sum(t in x for x in words) > 1] or np.empty((0, 2)), np.int64)
+        known = [[t for i, t in pairs.tolist() if i == x] for x in range(n)]
+        for rounds in (1, 6, 20):
+            want = plain(list(range(n)), known, rounds, 8)
+            assert ordering.bisect_block(pairs[:, 0], pairs[:, 1], n, rounds).tolist() == want
+            mixed = pairs[rng.permutation(len(pairs))]  # gains are whole numbers: the order of words is nothing to them
+            assert ordering.bisect_block(mixed[:, 0], mixed[:, 1], n, rounds).tolist() == want

@@ -2,6 +2,7 @@
 
 import json
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
@@ -235,3 +236,50 @@ def test_bisection_in_one_task_reads_its_pairs_once(spark):
     tok = spark.createDataFrame(rows, "doc bigint, term string").mapInArrow(count, "doc bigint, term string")
     assert ordering.order_bisect(tok).count() == 60
     assert read.value == len(rows)
+
+
+def test_columns_are_read_once(spark):
+    read = spark.sparkContext.accumulator(0)
+
+    def count(batches):
+        for b in batches:
+            read.add(b.num_rows)
+            yield b
+
+    kind = "v bigint, r bigint"
+    rows = spark.createDataFrame([(i % 7, 1 + i * i % 500) for i in range(300)] + [(None, 3), (2, None)], kind).mapInArrow(count, kind)
+    lists = corpora.column_lists(rows, F.col("v"), F.col("r"))
+    want = {(i % 7, 1 + i * i % 500) for i in range(300)}
+    assert (lists.d, lists.w, lists.i, read.value) == (max(r for _, r in want), 7, len(want), 302)
+    assert {(int(r.term), r.ord) for r in postings.to_ids(lists.gaps).collect()} == want
+    gaps = lists.gaps
+    read.value = 0
+    counted = postings.Lists(gaps.mapInArrow(count, gaps.schema), lists.d, lists.w, lists.i)
+    baselines.packed_arith_bits(counted).collect()
+    assert read.value == gaps.count()
+
+
+def test_static_sizes_without_segments(spark, sf_dir):
+    lists = corpus(spark, sf_dir, "conversations")
+    want = {r.part: r.bits for r in coders.sizes(coders.encode(lists, "trit_static", payload=False)).collect()}
+    got = {r.part: r.bits for r in measures.parts(lists, "trit_static").collect()}
+    assert got["model"] == want["model"] and abs(got["payload"] - want["ideal"]) <= 1
+    q, n = baselines.packed_symbols(np.array([1, 2, 65535, 65536, 1 << 40]), "modelled")[1:]
+    assert baselines.raw_bits(q, "modelled").tolist() == n.tolist()
+
+
+@pytest.mark.parametrize("mantissa", ["modelled", "raw"])
+def test_packed_classes_against_a_plain_count(spark, mantissa):
+    rng = np.random.default_rng(3)
+    rows = [(f"t{i}", n := 1 + 97 * i % 400, 0, 0, (1 + rng.zipf(1.2, n) % (1 << 20)).tolist()) for i in range(20)]
+    gaps = spark.createDataFrame(rows, "term string, n bigint, shard bigint, before bigint, gaps array<bigint>")
+    want = {}
+    for *_, g in rows:
+        for a in range(0, len(g), 128):
+            width, sym, raw = baselines.packed_symbols(np.array(g[a : a + 128]), mantissa)
+            own = baselines.selector_of(width)
+            for s, r in [*zip(sym.tolist(), raw.tolist(), strict=True), (-1, 0)]:
+                n, b = want.get((own, s), (0, 0))
+                want[own, s] = n + 1, b + r
+    got = baselines.packed_classes(postings.Lists(gaps, 1 << 30, 20, 0), mantissa=mantissa).collect()
+    assert {(r.selector, r.symbol): (r.n, r.raw) for r in got} == want

@@ -433,3 +433,20 @@ def test_bisection_order_is_a_permutation(spark, sf_dir):
     got = QUERIES["order_gain"](spark, sf_dir).first()
     assert got.mean_log2_gap == pytest.approx(mean(corpus(spark, sf_dir, "pages", "bisect")), abs=1e-4)
     assert got.control_log2_gap == pytest.approx(mean(corpus(spark, sf_dir, "pages", "random")), abs=1e-4) and got.mean_log2_gap < got.control_log2_gap
+
+
+def test_both_shares_come_from_one_order(monkeypatch):
+    made, seen = [], []
+    nothing = lambda *a, **k: []
+    lists = lambda *a: made.append(a[2:]) or postings.Lists(None, 10, 3, 20)
+    monkeypatch.setattr(workloads, "corpus", lists)
+    monkeypatch.setattr(workloads, "_filtered", lambda whole, share: seen.append((id(whole), share)) or (whole, 2))
+    for name in ("_kernels", "_compared", "cut", "to_ids"):
+        monkeypatch.setattr(workloads, name, nothing)
+    monkeypatch.setattr(workloads.baselines, "directory_bits", lambda lists: 0)
+    for name in ("cluster_terms", "space_reference_lists"):
+        monkeypatch.setattr(workloads.clusters, name, nothing)
+    monkeypatch.setattr(workloads.clusters, "clustered_bits", lambda *a, **k: type("Rows", (), {"collect": nothing})())
+    assert [r[0] for r in workloads.w11_filtered_skipping(None, "")] == ["pages"] * 2 + ["documents"] * 2
+    assert made == [("pages", "bisect"), ("documents", "bisect")]
+    assert [s for _, s in seen] == [0.882, 0.912] * 2 and seen[0][0] == seen[1][0] != seen[2][0] == seen[3][0]

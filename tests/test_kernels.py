@@ -164,6 +164,27 @@ def test_blocks():
     assert sum(codecs.blocked_midpoint(g, 5000).values()) <= sum(codecs.blocked_midpoint(g, 5000, pad=True).values())
 
 
+def test_longest_span_of_a_part():
+    n = np.array([1, 2, 3, 7, 39])
+    cost = [[codecs.part_bits(m, span, 0) for span in range(m, 900)] for m in n.tolist()]
+    for room in range(300):
+        want = [max(m + i for i, c in enumerate(own) if c <= room) for m, own in zip(n.tolist(), cost, strict=True)]
+        assert np.minimum(codecs._longest_span(n, np.full(5, room)), 899).tolist() == want
+
+
+def test_short_lists_are_one_part(monkeypatch):
+    seen = []
+    plain = codecs._approximate
+    monkeypatch.setattr(codecs, "_approximate", lambda ids, *more: seen.append(len(ids)) or plain(ids, *more))
+    rng = np.random.default_rng(5)
+    sizes = np.array([*rng.integers(1, 12, 300), 400, 0, 500])
+    lists = [rng.geometric(rng.choice([0.5, 0.02, 0.001]), n) for n in sizes]
+    for fixed in (64, 96):
+        assert codecs.partition_sizes(np.concatenate(lists), sizes, fixed=fixed).tolist() == [codecs.partitions(g, fixed=fixed)[0] for g in lists]
+        monkeypatch.setattr(codecs, "SPANS", 0)
+    assert sum(seen) <= 4  # the two long ones, twice
+
+
 def test_bitmap_contexts_by_brute_force():
     from postings_engine.operators.baselines import bitmap_context_counts
 

@@ -157,6 +157,27 @@ def test_partition_is_optimal():
         assert codecs.partitioned_ef_bits(g, "opt", fixed=16) == best <= codecs.partitioned_ef_bits(g, fixed=16)
 
 
+def test_bitmap_contexts_of_many_rows_at_once():
+    """Shards with what goes before them, in chunks of rows of any size, each against its row of the matrix."""
+    from postings_engine.operators.baselines import bitmap_context_counts
+
+    rng = np.random.default_rng(6)
+    k, w, d = 3, 4, 300
+    gaps = [rng.geometric(p, n) for p, n in zip(rng.choice([0.9, 0.3, 0.1], 30), rng.integers(1, 9, 30), strict=True)]
+    carry = [rng.geometric(0.3, rng.integers(7, 9)).tolist() if i % 3 else [] for i in range(30)]
+    before, last = np.array([sum(c) for c in carry]), rng.random(30) < 0.7
+    want = np.zeros((2**k * (w + 1), 2), int)
+    for g, c, ended in zip(gaps, carry, last, strict=True):
+        ids = set(np.cumsum([*c, *g]).tolist())
+        bits = [0] * (k + w) + [int(i + 1 in ids) for i in range(d if ended else max(ids))]
+        for i in range(k + w + sum(c), len(bits)):
+            code = sum(bits[i - j] << j - 1 for j in range(1, k + 1))
+            want[code + 2**k * sum(bits[i - k - w : i - k]), bits[i]] += 1
+    for cells in (1, 200, 1 << 21):
+        got = bitmap_context_counts(np.concatenate(gaps), np.array([len(g) for g in gaps]), d, k, w, before, carry, last, cells=cells)
+        assert got.tolist() == want.tolist()
+
+
 def test_blocks():
     g = np.diff([0, *sorted(np.random.default_rng(3).choice(5000, 300, False) + 1)])
     plain, trimmed = codecs.blocked_midpoint(g, 5000, skip="plain"), codecs.blocked_midpoint(g, 5000, skip="trimmed")

@@ -450,3 +450,18 @@ def test_both_shares_come_from_one_order(monkeypatch):
     assert [r[0] for r in workloads.w11_filtered_skipping(None, "")] == ["pages"] * 2 + ["documents"] * 2
     assert made == [("pages", "bisect"), ("documents", "bisect")]
     assert [s for _, s in seen] == [0.882, 0.912] * 2 and seen[0][0] == seen[1][0] != seen[2][0] == seen[3][0]
+
+
+def test_class_sizes_make_no_segments_of_the_static_coder(spark, monkeypatch):
+    """The static coder's size of a class follows from its counts, and is what segments have."""
+    rows = [("a", [1, 5, 9]), ("b", [2, 8]), ("c", list(range(1, 40, 2))), ("d", [3, 4])]
+    pairs = spark.createDataFrame([(t, i) for t, ids in rows for i in ids], "term string, ord bigint")
+    lists = Lists(postings.to_gaps(pairs), 1000, 4, 27)
+    plain, made = coders.encode, []
+    monkeypatch.setattr(coders, "encode", lambda own, method, **how: made.append(method) or plain(own, method, **how))
+    got = {(r.batch, r.method): (r.ints, r.bits) for r in clusters.batch_bits(lists).collect()}
+    assert set(made) == {"trit_adaptive"}
+    for batch, ids in ((3, [x for x in rows if len(x[1]) < 10]), (4, [rows[2]])):
+        own = Lists(postings.to_gaps(pairs.where(F.col("term").isin([t for t, _ in ids]))), 1000, len(ids), sum(len(x) for _, x in ids))
+        s = {r.part: r.bits for r in coders.sizes(plain(own, "trit_static", payload=False)).collect()}
+        assert got[batch, "trit_static"] == (own.i, s["model"] + s["ideal"])

@@ -465,3 +465,16 @@ def test_class_sizes_make_no_segments_of_the_static_coder(spark, monkeypatch):
         own = Lists(postings.to_gaps(pairs.where(F.col("term").isin([t for t, _ in ids]))), 1000, len(ids), sum(len(x) for _, x in ids))
         s = {r.part: r.bits for r in coders.sizes(plain(own, "trit_static", payload=False)).collect()}
         assert got[batch, "trit_static"] == (own.i, s["model"] + s["ideal"])
+
+
+def test_collections_go_side_by_side():
+    """Each waits for another: one after another they would never end."""
+    import threading
+
+    meet = threading.Barrier(2, timeout=20)
+
+    def rows(name):
+        meet.wait()
+        yield name, 1
+
+    assert list(workloads._each(rows, ("a",), ("b",))) == [("a", 1), ("b", 1)]

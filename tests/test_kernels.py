@@ -185,6 +185,18 @@ def test_blocks():
     assert sum(codecs.blocked_midpoint(g, 5000).values()) <= sum(codecs.blocked_midpoint(g, 5000, pad=True).values())
 
 
+def test_lzma_sizes_of_short_lists(monkeypatch):
+    import lzma
+
+    rng = np.random.default_rng(8)
+    data = [bytes(rng.integers(0, top, n).astype(np.uint8)) for n in range(1, 60) for top in (1, 2, 3, 256)]
+    want = [len(lzma.compress(x)) for x in data]
+    plain, small = lzma.compress, []
+    monkeypatch.setattr(lzma, "compress", lambda x, **how: small.append("filters" in how) or plain(x, **how))
+    assert [codecs.lzma_size(x) for x in data] == want
+    assert sum(small) == 4 * codecs.SHORT_LZMA
+
+
 def test_longest_span_of_a_part():
     n = np.array([1, 2, 3, 7, 39])
     cost = [[codecs.part_bits(m, span, 0) for span in range(m, 900)] for m in n.tolist()]

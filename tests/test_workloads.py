@@ -478,3 +478,21 @@ def test_collections_go_side_by_side():
         yield name, 1
 
     assert list(workloads._each(rows, ("a",), ("b",))) == [("a", 1), ("b", 1)]
+
+
+SIDE_BY_SIDE = ["w3_books"]
+
+
+@pytest.mark.parametrize("name", SIDE_BY_SIDE)
+def test_orders_go_side_by_side(spark, monkeypatch, name):
+    import threading
+
+    meet = threading.Barrier(2, timeout=5)
+
+    def take(*args, **how):
+        meet.wait()
+        raise LookupError
+
+    monkeypatch.setattr(workloads, "corpus", take)
+    with pytest.raises(LookupError):
+        list(workloads.WORKLOADS[name](spark, ""))

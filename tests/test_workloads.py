@@ -480,7 +480,7 @@ def test_collections_go_side_by_side():
     assert list(workloads._each(rows, ("a",), ("b",))) == [("a", 1), ("b", 1)]
 
 
-SIDE_BY_SIDE = ["w3_books", "w4_web"]
+SIDE_BY_SIDE = ["w3_books", "w4_web", "w5_filtered"]
 
 
 @pytest.mark.parametrize("name", SIDE_BY_SIDE)

@@ -480,7 +480,7 @@ def test_collections_go_side_by_side():
     assert list(workloads._each(rows, ("a",), ("b",))) == [("a", 1), ("b", 1)]
 
 
-SIDE_BY_SIDE = ["w3_books", "w4_web", "w5_filtered", "w15_quatrits"]
+SIDE_BY_SIDE = ["w3_books", "w4_web", "w5_filtered", "w15_quatrits", "w21_static_adaptive"]
 
 
 @pytest.mark.parametrize("name", SIDE_BY_SIDE)

@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from postings_engine.operators import baselines, clusters, coders, postings, trits
 from postings_engine.operators.codecs import CODECS
 from postings_engine.operators.postings import Lists
-from postings_engine.plans import measures, workloads
+from postings_engine.plans import measures, queries, workloads
 from postings_engine.plans.corpora import corpus
 from postings_engine.plans.queries import QUERIES
 
@@ -480,7 +480,7 @@ def test_collections_go_side_by_side():
     assert list(workloads._each(rows, ("a",), ("b",))) == [("a", 1), ("b", 1)]
 
 
-SIDE_BY_SIDE = ["w3_books", "w4_web", "w5_filtered", "w15_quatrits", "w21_static_adaptive"]
+SIDE_BY_SIDE = ["w3_books", "w4_web", "w5_filtered", "w15_quatrits", "w21_static_adaptive", "order_gain"]
 
 
 @pytest.mark.parametrize("name", SIDE_BY_SIDE)
@@ -494,5 +494,6 @@ def test_orders_go_side_by_side(spark, monkeypatch, name):
         raise LookupError
 
     monkeypatch.setattr(workloads, "corpus", take)
+    monkeypatch.setattr(queries, "corpus", take)
     with pytest.raises(LookupError):
-        list(workloads.WORKLOADS[name](spark, ""))
+        list(workloads.WORKLOADS[name](spark, "")) if name in workloads.WORKLOADS else QUERIES[name](spark, "")

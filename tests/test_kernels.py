@@ -325,3 +325,33 @@ def test_bisection_against_a_plain_program():
             assert ordering.bisect_block(pairs[:, 0], pairs[:, 1], n, rounds).tolist() == want
             mixed = pairs[rng.permutation(len(pairs))]  # gains are whole numbers: the order of words is nothing to them
             assert ordering.bisect_block(mixed[:, 0], mixed[:, 1], n, rounds).tolist() == want
+
+
+@pytest.mark.parametrize("lanes_", [1, 4, 20])
+@pytest.mark.parametrize("how", [{}, {"forget": 64}, {"forget": 50, "clock": "global"}, {"prior": (2, 2, 1, 3), "forget": 64}])
+def test_few_lanes_take_no_array_steps(lanes_, how, monkeypatch):
+    """Symbols go one by one there, and the bytes stay those of the way by arrays."""
+    from postings_engine.operators import coders, lanes
+
+    rng = np.random.default_rng(3)
+    sizes = np.sort(rng.integers(1, 60, 80))
+    gaps = rng.geometric(np.repeat(sizes / 100, sizes)).astype(np.int64)
+    for ctx in (trits.hybrid(3, 4, 2), trits.none(), trits.boxes(2, (2, 3), 1), replace(trits.hybrid(2, 3, 1), kinds=4), trits.hybrid(9, 10, 3)):
+        s, pos = coders.symbols(gaps, sizes, ctx.kinds)
+        ids, per = ctx.ids(s, pos), np.bincount(np.cumsum(pos == 0) - 1)
+        args = {"forget": None} | how | ({"prior": how["prior"][: ctx.kinds]} if "prior" in how else {})
+        model = lanes.Shared(ctx.size, ctx.kinds, args["forget"], args.get("prior"), args.get("clock", "context"))
+        by, start, active = lanes._grid(np.diff(np.concatenate([[0], np.cumsum(per)])[lanes.deal(per, lanes_)]))
+        lo, f = np.empty(len(s), np.int64), np.empty(len(s), np.int64)
+        for t, m in enumerate(active.tolist()):  # the plain way, a step of all lanes at a time
+            at = start[:m] + t
+            b, v = model.bounds(ids[at]), s[at].astype(int)
+            lo[at], f[at] = b[np.arange(m), v], b[np.arange(m), v + 1] - b[np.arange(m), v]
+            model.add(ids[at], v)
+        state, words = lanes._states(lo, f, start, None, active)
+        with monkeypatch.context() as less:
+            less.setattr(lanes, "Shared", None)
+            out, _ = lanes.encode(ids, s, per, ctx, None, lanes_, **args)
+            assert out.endswith(words.tobytes())
+            back, n = lanes.decode(out, None if ctx.kinds == 4 else sizes.tolist(), len(sizes), ctx, None, **args)
+        assert back.tolist() == gaps.tolist() and n.tolist() == sizes.tolist()

@@ -46,3 +46,20 @@ def test_aggregate_of_a_function(spark):
     df = spark.createDataFrame([("a", [1, 5, 9], 20), ("a", [2], 20), ("b", [3, 4], 9)], "k string, ids array<bigint>, u bigint")
     got = {r.k: r.b for r in df.groupBy("k").agg(relational.midpoint_total()("ids", "u").alias("b")).collect()}
     assert got == {"a": midpoint_bits([1, 5, 9], 20) + midpoint_bits([2], 20), "b": midpoint_bits([3, 4], 9)}
+
+
+def test_model_roundtrips_side_by_side(spark, sf_dir, monkeypatch):
+    """All coders go through the same call, some at a time, and each is there once and without a mismatch."""
+    from postings_engine.plans import surround
+
+    seen, plain = [], surround.together
+
+    def noted(f, items, *more):
+        items = list(items)
+        seen.append((len(items), *more))
+        return plain(f, items, *more)
+
+    monkeypatch.setattr(surround, "together", noted, raising=False)
+    rows = surround.model_roundtrips(spark, sf_dir).collect()
+    assert (11, 6) in seen
+    assert len({r.coder for r in rows}) == len(rows) == 11 and not any(r.mismatches for r in rows)

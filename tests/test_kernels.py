@@ -355,3 +355,27 @@ def test_few_lanes_take_no_array_steps(lanes_, how, monkeypatch):
             assert out.endswith(words.tobytes())
             back, n = lanes.decode(out, None if ctx.kinds == 4 else sizes.tolist(), len(sizes), ctx, None, **args)
         assert back.tolist() == gaps.tolist() and n.tolist() == sizes.tolist()
+
+
+@pytest.mark.parametrize("name", ["delta", "midpoint"])
+def test_many_lists_as_bytes_at_once(name, monkeypatch):
+    """The bytes of each list are those that it has alone, and the lists come back, some at a time too."""
+    rng = np.random.default_rng(4)
+    lists = [rng.geometric(p, n) for p in (0.9, 0.3, 0.01, 1e-6) for n in (1, 2, 3, 17, 500)] + [np.ones(40, int), np.array([2**31 - 2]), np.array([1, 2**30, 5])]
+    sizes = np.array([len(x) for x in lists])
+    u = np.array([min(int(x.sum()) + extra, 2**31 - 1) for x, extra in zip(lists, [0, 1, 7, 1000] * 6, strict=False)])
+    gaps = np.concatenate(lists).astype(np.int64)
+    want = [CODECS[name].encode(x, v) for x, v in zip(lists, u, strict=True)]
+    plain = codecs.Codec.encode, codecs.Codec.decode
+    monkeypatch.setattr(codecs.Codec, "encode", None)  # no list goes by itself
+    monkeypatch.setattr(codecs.Codec, "decode", None)
+    assert codecs.bytes_of(name, gaps, sizes, u) == want
+    for bits in (1 << 20, 300):
+        monkeypatch.setattr(codecs, "CHUNK_BITS", bits)
+        assert codecs.lists_from(name, want, sizes, u).tolist() == gaps.tolist()
+    monkeypatch.setattr(codecs.Codec, "encode", plain[0])
+    monkeypatch.setattr(codecs.Codec, "decode", plain[1])
+    wide = np.array([1 << 40, 3]), np.array([2]), np.array([1 << 41])
+    assert codecs.lists_from(name, codecs.bytes_of(name, *wide), *wide[1:]).tolist() == wide[0].tolist()  # by the plain way
+    none = np.empty(0, np.int64)
+    assert codecs.bytes_of(name, none, none, none) == [] and codecs.lists_from(name, [], none, none).tolist() == []

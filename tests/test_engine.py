@@ -283,3 +283,19 @@ def test_packed_classes_against_a_plain_count(spark, mantissa):
                 want[own, s] = n + 1, b + r
     got = baselines.packed_classes(postings.Lists(gaps, 1 << 30, 20, 0), mantissa=mantissa).collect()
     assert {(r.selector, r.symbol): (r.n, r.raw) for r in got} == want
+
+
+@pytest.mark.parametrize("bound", [6000, 1500])
+def test_levels_by_arrays_give_the_order_of_one_task(spark, bound, monkeypatch):
+    rng = np.random.default_rng(6)
+    rows = [(7 * i, f"w{j}") for i in range(512) for j in np.unique(rng.zipf(1.3, 25) % (60 + i % 5 * 40))]
+    tok = spark.createDataFrame(rows, "doc bigint, term string").cache()
+    in_order = lambda df: [r.doc for r in df.orderBy("ord").collect()]
+    monkeypatch.setattr(ordering, "GAIN_ROWS", 100)
+    monkeypatch.setattr(ordering, "BLOCK_POSTINGS", 2000)
+    assert len(rows) > bound
+    with monkeypatch.context() as less:
+        less.setattr(ordering, "_level", None)  # no joins
+        assert in_order(ordering.order_bisect(tok, local_postings=bound)) == in_order(ordering.order_bisect(tok))
+    monkeypatch.setattr(ordering, "ARRAY_DOCS", 0)
+    assert sorted(in_order(ordering.order_bisect(tok, rounds=2, local_postings=6000))) == [7 * i for i in range(512)]

@@ -379,3 +379,15 @@ def test_many_lists_as_bytes_at_once(name, monkeypatch):
     assert codecs.lists_from(name, codecs.bytes_of(name, *wide), *wide[1:]).tolist() == wide[0].tolist()  # by the plain way
     none = np.empty(0, np.int64)
     assert codecs.bytes_of(name, none, none, none) == [] and codecs.lists_from(name, [], none, none).tolist() == []
+
+
+def test_lists_of_unlike_length_go_through_the_approximate_partition_together(monkeypatch):
+    rng = np.random.default_rng(4)
+    lists = [rng.geometric(1 / m, n) for n, m in ((900, 3), (400, 40), (190, 2), (90, 300), (45, 9000))]
+    lists = [np.concatenate([x, x * 50]) for x in lists]
+    sizes, calls, plain = np.array([len(x) for x in lists]), [], codecs._approximate
+    monkeypatch.setattr(codecs, "_approximate", lambda n, *more: calls.append(len(n)) or plain(n, *more))
+    got = codecs.partition_sizes(np.concatenate(lists), sizes).tolist()
+    assert got == [codecs.partitions(x)[0] for x in lists] and calls == [5]
+    monkeypatch.setattr(codecs, "SPANS", 0)  # no table of spans
+    assert codecs.partition_sizes(np.concatenate(lists), sizes).tolist() == got

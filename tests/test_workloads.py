@@ -497,3 +497,16 @@ def test_orders_go_side_by_side(spark, monkeypatch, name):
     monkeypatch.setattr(queries, "corpus", take)
     with pytest.raises(LookupError):
         list(workloads.WORKLOADS[name](spark, "")) if name in workloads.WORKLOADS else QUERIES[name](spark, "")
+
+
+@pytest.mark.parametrize("shrinks", [(True,), (False, True)])
+def test_clustered_forms_share_their_split(spark, small, monkeypatch, shrinks):
+    lists, words = small(3)
+    own = clusters.cluster_by_hash(lists.gaps.select("term").distinct(), 3)
+    space = clusters.space_reference_lists(postings.to_ids(lists.gaps), own, 8, lists.d)
+    forms = [(name, shrink, ref) for shrink in shrinks for name, ref in (("midpoint", None), ("pef_approx", None), ("pef_approx", space))]
+    want = [sorted(map(tuple, clusters.clustered_bits(lists, own, 8, *f).collect())) for f in forms]
+    made, plain = [], clusters.split_by_reference
+    monkeypatch.setattr(clusters, "split_by_reference", lambda *a: made.append(a[3]) or plain(*a))
+    assert [sorted(map(tuple, rows)) for rows in workloads._clustered(lists, own, 8, forms)] == want
+    assert sorted(made) == sorted(2 * shrinks)  # one for each reference list, not one for each form

@@ -510,3 +510,15 @@ def test_clustered_forms_share_their_split(spark, small, monkeypatch, shrinks):
     monkeypatch.setattr(clusters, "split_by_reference", lambda *a: made.append(a[3]) or plain(*a))
     assert [sorted(map(tuple, rows)) for rows in workloads._clustered(lists, own, 8, forms)] == want
     assert sorted(made) == sorted(2 * shrinks)  # one for each reference list, not one for each form
+
+
+def test_orders_of_one_table_share_its_terms(spark, sf_dir, monkeypatch):
+    from postings_engine.plans import corpora
+
+    want = sorted(workloads.w12_skipping(spark, sf_dir))
+    made = []
+    for name in ("tokens", "kept_terms"):
+        monkeypatch.setattr(corpora, name, lambda *a, f=getattr(corpora, name), **k: made.append(a) or f(*a, **k))
+    assert sorted(workloads.w12_skipping(spark, sf_dir)) == want and len(made) == 1
+    whole = [corpus(spark, sf_dir, "pages", order) for order in ("bisect", "url")]
+    assert sorted(r for lists, order in zip(whole, ("bisect", "url"), strict=True) for r in workloads._kernels("pages", lists, workloads.SKIPPING, order)) == want
